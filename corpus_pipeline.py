@@ -5,10 +5,12 @@ from __future__ import annotations
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from joindash.llm.common import shared_dir, table
 from joindash.llm.decontaminate import without_contaminated
 from joindash.llm.packing import pack_documents
+from joindash.llm.pii import mask_personal_data
 from joindash.llm.quality_rules import quality_rules
 from joindash.llm.simhash import one_per_group
 
@@ -28,6 +30,11 @@ def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Data
     return without_contaminated(docs, table(spark, sf_dir, "benchmark"))
 
 
+def mask_personal(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Personal data masked; n_chars follows the text."""
+    return mask_personal_data(docs).withColumn("n_chars", F.length("text").cast("long"))
+
+
 def pack_sequences(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Token pieces, packed into sequences."""
     return pack_documents(docs)
@@ -37,6 +44,7 @@ STAGES = [
     ("quality_rules", keep_quality),
     ("near_dedup", drop_near_duplicates),
     ("decontamination", drop_contaminated),
+    ("personal_data", mask_personal),
     ("packing", pack_sequences),
 ]
 

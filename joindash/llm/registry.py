@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from joindash.llm import decontaminate, packing, pii, quality_rules, sharding, simhash
+from joindash.llm import decontaminate, licenses, packing, pii, quality_rules, sharding, simhash
 
-MODULES = (simhash, decontaminate, sharding, quality_rules, packing, pii)
+MODULES = (simhash, decontaminate, licenses, sharding, quality_rules, packing, pii)
 
 
 def queries() -> dict:

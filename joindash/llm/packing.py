@@ -35,8 +35,9 @@ class PackParams:
     tokenizer: str
     capacity: int = 4096
     end_id: int = 1
-    #: distinct chunks whose ids a worker remembers, and the longest that it remembers
-    memory: int = 400_000
+    #: distinct chunks and distinct pieces whose ids a worker remembers, and the longest that it remembers
+    memory: int = 300_000
+    piece_memory: int = 500_000
     memory_chars: int = 48
 
 
@@ -44,34 +45,81 @@ class ChunkTokenizer:
     """Ids of whole texts as little-endian 32-bit bytes.
 
     The vocabulary's rules never look across white space and drop it, so a text's ids are those of its
-    white-space chunks in a row; frequent chunks are looked up instead of encoded again.
+    white-space chunks in a row; frequent chunks are looked up instead of encoded again.  A new chunk
+    is cut before its closing punctuation, another place that the rules never look across, and pieces of
+    letters alone are encoded side by side: each is one word and ends with a word-end token.
     """
 
+    CLOSING = ".,;:!?|*#$%&"
+
     def __init__(self, p: PackParams):
         from tokenizers import Tokenizer
 
-        self.tokenizer, self.p, self.known = Tokenizer.from_file(p.tokenizer), p, {}
+        self.tokenizer, self.p, self.known, self.pieces = Tokenizer.from_file(p.tokenizer), p, {}, {}
+        self.ends = np.zeros(self.tokenizer.get_vocab_size(), bool)
+        for token, i in self.tokenizer.get_vocab().items():
+            self.ends[i] = token.endswith("</w>")
 
     def _encode(self, chunks: list[str]) -> list[bytes]:
         return [np.array(e.ids, "<u4").tobytes() for e in self.tokenizer.encode_batch_fast(chunks, add_special_tokens=False)]
 
+    def _encode_words(self, words: list[str], side: int = 64) -> list[bytes]:
+        out: list[bytes] = []
+        lines = [words[i : i + side] for i in range(0, len(words), side)]
+        for line, e in zip(lines, self.tokenizer.encode_batch_fast([" ".join(x) for x in lines], add_special_tokens=False), strict=True):
+            ids = np.array(e.ids, "<u4")
+            cut = np.flatnonzero(self.ends[ids]) + 1
+            if len(cut) == len(line):
+                data, at = ids.tobytes(), [0, *(4 * cut).tolist()]
+                out += [data[a:b] for a, b in zip(at, at[1:], strict=False)]
+            else:
+                out += self._encode(line)
+        return out
+
+    def _learn(self, fresh: list[str]) -> None:
+        pieces, cut = self.pieces, []
+        for w in fresh:
+            head = w.rstrip(self.CLOSING)
+            if not head or not head[-1].isalnum():
+                head = w
+            tail = w[len(head) :]
+            if head.isascii() and head.isalpha():
+                head = head.lower()
+            cut.append((head, tail))
+        new = {x for pair in cut for x in pair if x not in pieces}
+        words, others = [x for x in new if x.isalpha()], [x for x in new if not x.isalpha()]
+        pieces.update(zip(words, self._encode_words(words), strict=True))
+        pieces.update(zip(others, self._encode(others), strict=True))
+        self.known.update((w, pieces[h] + pieces[t]) for w, (h, t) in zip(fresh, cut, strict=True))
+
     def texts(self, texts: list[str | None]) -> list[bytes]:
         known, p = self.known, self.p
         if len(known) > p.memory:
-            known.clear()
+            known.clear()  # relearnt from the pieces
+        if len(self.pieces) > p.piece_memory:
+            self.pieces.clear()
         cut = [(t or "").replace("\x0b", " ").replace("\x0c", " ").replace("\t", " ").replace("\r", " ").replace("\n", " ").split(" ") for t in texts]
         fresh = list({w for words in cut for w in words if w not in known})
-        for i in range(0, len(fresh), 4096):
-            part = fresh[i : i + 4096]
-            known.update(zip(part, self._encode(part), strict=True))
+        self._learn(fresh)
         get = known.__getitem__
         out = [b"".join(map(get, words)) for words in cut]
         for w in fresh:
             if len(w) > p.memory_chars:
                 del known[w]
+                self.pieces.pop(w, None)
         return out
 
 
+_coders: dict[PackParams, ChunkTokenizer] = {}
+
+
+def coder(p: PackParams) -> ChunkTokenizer:
+    """This worker's tokenizer; what it remembers lasts over the tasks that the worker runs."""
+    if p not in _coders:
+        _coders[p] = ChunkTokenizer(p)
+    return _coders[p]
+
+
 PIECE = [
     ("piece", T.IntegerType()),
     ("start", T.LongType()),
@@ -88,12 +136,12 @@ def token_pieces(docs: DataFrame, p: PackParams, text: str = "text", keep_ids: b
     end, step = np.array([p.end_id], "<u4").tobytes(), 4 * p.capacity
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        coder = ChunkTokenizer(p)
+        own_coder = coder(p)
         for batch in batches:
             for first in range(0, batch.num_rows, group):
                 part = batch.slice(first, group)
                 row, cols = [], [[], [], [], [], []]
-                for i, ids in enumerate(coder.texts(part.column(part.num_columns - 1).to_pylist())):
+                for i, ids in enumerate(own_coder.texts(part.column(part.num_columns - 1).to_pylist())):
                     ids += end
                     for k, at in enumerate(range(0, len(ids), step)):
                         own = ids[at : at + step]

@@ -62,6 +62,8 @@ def without(df: DataFrame, names) -> DataFrame:
 
 
 def struct_with(df: DataFrame, fields: list[tuple[str, T.DataType]]) -> T.StructType:
+    """The output schema of a Python step over ``df``; sees to it that workers can import this package."""
+    importable(df.sparkSession)
     return T.StructType([*df.schema.fields, *[T.StructField(n, t) for n, t in fields]])
 
 

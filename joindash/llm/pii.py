@@ -22,6 +22,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from joindash.llm.common import drop_written, table, written
+from joindash.llm.spans import located
 
 #: kind -> (a fixed substring that every match holds, pattern)
 BASE = {
@@ -81,34 +82,6 @@ def valid(kind: str, m: Column) -> Column:
     return F.lit(True)
 
 
-def located(text: Column, pattern: str, needs: str | None) -> Column:
-    """array<struct(start, end, value, before)> of the leftmost non-overlapping matches, in code points.
-
-    Splitting and extracting cut the text at the same places, so running lengths give the positions.
-    """
-    empty = F.expr("cast(array() as array<struct<start:int,end:int,value:string,before:string>>)")
-    found = F.regexp_extract_all(text, F.lit(pattern), F.lit(0))
-
-    def spans(parts: Column, values: Column) -> Column:
-        def step(acc: Column, i: Column) -> Column:
-            start = acc["at"] + F.length(F.get(parts, i))
-            end = start + F.length(F.get(values, i))
-            span = F.struct(start.alias("start"), end.alias("end"), F.get(values, i).alias("value"), F.get(parts, i).alias("before"))
-            return F.struct(end.alias("at"), F.array_append(acc["spans"], span).alias("spans"))
-
-        zero = F.struct(F.lit(0).alias("at"), empty.alias("spans"))
-        return F.aggregate(F.sequence(F.lit(0), F.size(values) - 1), zero, step, lambda acc: acc["spans"])
-
-    # a one-element array binds the cut text once, so that neither search is repeated
-    cut = F.transform(F.array(found), lambda v: F.when(F.size(v) > 0, spans_of(text, pattern, v, spans)).otherwise(empty))
-    all_spans = F.get(cut, F.lit(0))
-    return all_spans if needs is None else F.when(F.contains(text, F.lit(needs)), all_spans).otherwise(empty)
-
-
-def spans_of(text: Column, pattern: str, values: Column, spans) -> Column:
-    return F.get(F.transform(F.array(F.split(text, pattern, -1)), lambda parts: spans(parts, values)), F.lit(0))
-
-
 def _base_spans(found: Column, kind: str, number: int) -> Column:
     ok = F.filter(found, lambda s: valid(kind, s["value"]))
     return F.transform(ok, lambda s: F.struct(s["start"].alias("start"), F.lit(number).alias("kind"), s["end"].alias("end")))

@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from joindash.llm import decontaminate, licenses, packing, pii, quality_rules, sharding, simhash
+from joindash.llm import decontaminate, licenses, packing, pii, quality_classifier, quality_rules, revisits, secrets, sharding, simhash
 
-MODULES = (simhash, decontaminate, licenses, sharding, quality_rules, packing, pii)
+MODULES = (simhash, decontaminate, licenses, sharding, quality_classifier, quality_rules, packing, revisits, pii, secrets)
 
 
 def queries() -> dict:

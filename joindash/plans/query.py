@@ -108,7 +108,10 @@ class Bound:
         return frozenset(out)
 
     def keys(self, u: str, v: str) -> tuple[str, ...]:
-        return tuple(sorted(self.tree.separator(u, v) | self.carried(u, v)))
+        """Separator attributes that a relation upstream supplies, and carried group attributes."""
+        rels = [r for b in self.tree.upstream(u, v) for r in self.active(b)]
+        supplied = frozenset().union(*[self.tree.graph.relations[r].attrs for r in rels]) if rels else frozenset()
+        return tuple(sorted((self.tree.separator(u, v) & supplied) | self.carried(u, v)))
 
     def is_one(self, u: str, v: str, elide: bool = True) -> bool:
         """Whether the message u → v multiplies every matching row by one, so that it can be left out.

@@ -74,11 +74,12 @@ class JoinGraph:
         return out
 
 
-def ear_removal(hyperedges: dict[str, frozenset[str]], attrs: dict[str, frozenset[str]] | None = None) -> tuple[list[str], list[tuple[str, str]], dict[str, frozenset[str]]]:
+def ear_removal(hyperedges: dict[str, frozenset[str]], attrs: dict[str, frozenset[str]] | None = None, keyed: frozenset[str] = frozenset()) -> tuple[list[str], list[tuple[str, str]], dict[str, frozenset[str]]]:
     """(attribute elimination order, tree edges, residual core).
 
     Repeats two steps until nothing changes: drop attributes seen in one relation, and fold a relation
-    that is contained in another into it.  The core is empty exactly for acyclic graphs.
+    that is contained in another into it.  The core is empty exactly for acyclic graphs.  ``keyed``
+    relations (dimensions) are folded later and preferred as hosts, so that facts end up as leaves.
     """
     live = {n: set((attrs or hyperedges)[n]) for n in hyperedges}
     order: list[str] = []
@@ -92,10 +93,10 @@ def ear_removal(hyperedges: dict[str, frozenset[str]], attrs: dict[str, frozense
                 order += lonely
                 live[n] -= set(lonely)
                 moved = True
-        for n in sorted(live, key=lambda n: (len(live[n]), n)):
+        for n in sorted(live, key=lambda n: (len(live[n]), n in keyed, n)):
             hosts = [m for m in live if m != n and live[n] <= live[m]]
             if hosts and (live[n] or len(live) > 1):
-                host = min(hosts, key=lambda m: (len(live[m]), m))
+                host = min(hosts, key=lambda m: (m not in keyed, len(live[m]), m))
                 edges.append((n, host))
                 del live[n]
                 moved = True
@@ -142,7 +143,9 @@ class JoinTree:
     @staticmethod
     def from_graph(graph: JoinGraph) -> JoinTree:
         """One bag per relation of an acyclic graph."""
-        _, edges, core = ear_removal(graph.hyperedges(), {n: r.attrs for n, r in graph.relations.items()})
+        hyper = graph.hyperedges()
+        keyed = frozenset(n for n, r in graph.relations.items() if any(k <= hyper[n] for k in r.unique))
+        _, edges, core = ear_removal(hyper, {n: r.attrs for n, r in graph.relations.items()}, keyed)
         if core:
             raise InvalidTree(f"the join graph is cyclic in {sorted(core)}; pre-join the cycle")
         bags = {n: r.attrs for n, r in graph.relations.items()}

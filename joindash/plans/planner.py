@@ -171,6 +171,10 @@ def plan_reuse(engine: Engine, pivot: Bound, query: SpjaQuery, policy: str = "re
         return ReusePlan(bound, root, frozenset({root}), bags)
     subtree = pivot.tree.steiner(bags)
     roots = [b for b in sorted(subtree) if bound.active(b) or not pivot.tree.mapped(b)]
+    if not roots:  # only bags whose relations are gone differ: absorb beside them
+        roots = sorted({w for b in subtree for w in pivot.tree.neighbours(b)} - subtree)
+        subtree |= frozenset(roots[:1])
+        roots = roots[:1]
     root = min(roots, key=lambda b: (plan_cost(engine, bound, b, subtree), b))
     return ReusePlan(bound, root, subtree, bags)
 

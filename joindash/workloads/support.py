@@ -4,11 +4,10 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
-import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from joindash.functions import scalars
+from joindash.functions import frames, scalars
 from joindash.operators import aggs, joins, relational, udx, windows
 from joindash.runtime import importable, new_path
 from joindash.sources import tables
@@ -319,10 +318,10 @@ def _(s, d):
     return t(s, d, "part").select("p_partkey", F.substring("p_name", 1, 3).alias("head"), F.upper("p_brand").alias("u"), F.length("p_name").cast("long").alias("n"), F.regexp_extract("p_brand", "([0-9]+)", 1).alias("num"), F.concat_ws("-", "p_brand", "p_type").alias("both"), F.split("p_name", " ")[0].alias("w"))
 
 
-@add("op_dates", "SELECT o_orderkey, CAST(year(o_orderdate) * 100 + month(o_orderdate) AS INTEGER) AS ym, CAST(date_trunc('month', o_orderdate) AS DATE) AS m, CAST(date_diff('day', DATE '1995-01-01', CAST(o_orderdate AS DATE)) AS INTEGER) AS days, CAST(CAST(o_orderdate AS DATE) + INTERVAL 2 MONTH AS DATE) AS later FROM orders")
+@add("op_dates", "SELECT o_orderkey, CAST(year(o_orderdate) * 100 + month(o_orderdate) AS INTEGER) AS ym, CAST(CAST(date_trunc('month', o_orderdate) AS DATE) AS VARCHAR) AS m, CAST(date_diff('day', DATE '1995-01-01', CAST(o_orderdate AS DATE)) AS INTEGER) AS days, CAST(CAST(CAST(o_orderdate AS DATE) + INTERVAL 2 MONTH AS DATE) AS VARCHAR) AS later FROM orders")
 def _(s, d):
     day = F.col("o_orderdate").cast("date")
-    return t(s, d, "orders").select("o_orderkey", scalars.year_month(F.col("o_orderdate")).alias("ym"), F.trunc(day, "month").alias("m"), F.datediff(day, F.lit("1995-01-01").cast("date")).alias("days"), F.add_months(day, 2).alias("later"))
+    return t(s, d, "orders").select("o_orderkey", scalars.year_month(F.col("o_orderdate")).alias("ym"), F.trunc(day, "month").cast("string").alias("m"), F.datediff(day, F.lit("1995-01-01").cast("date")).alias("days"), F.add_months(day, 2).cast("string").alias("later"))
 
 
 @add("op_math", "SELECT p_partkey, floor(p_retailprice)::BIGINT AS f, ROUND(sqrt(p_retailprice), 6) AS r, ROUND(ln(p_retailprice), 6) AS l, greatest(p_size, 20) AS g, p_partkey % 7 AS m, ROUND(power(p_size, 2), 2) AS p FROM part")
@@ -369,23 +368,15 @@ def _(s, d):
     return s.sql(_CTE)
 
 
-def _reverse(x: pd.Series) -> pd.Series:
-    return x.str[::-1]
-
-
-def _centred(frame: pd.DataFrame) -> pd.DataFrame:
-    return frame.assign(gap=(frame["s_acctbal"] - frame["s_acctbal"].max()).round(2))[["s_suppkey", "gap"]]
-
-
 @add("op_vector_udf", "SELECT p_partkey, reverse(p_name) AS back FROM part")
 def _(s, d):
     importable(s)
-    return t(s, d, "part").select("p_partkey", udx.vector_udf(_reverse, "string")("p_name").alias("back"))
+    return t(s, d, "part").select("p_partkey", udx.vector_udf(frames.reversed_text, "string")("p_name").alias("back"))
 
 
 @add("op_grouped_map", "SELECT s_suppkey, ROUND(s_acctbal - MAX(s_acctbal) OVER (PARTITION BY s_nationkey), 2) AS gap FROM supplier")
 def _(s, d):
-    return udx.grouped_map(t(s, d, "supplier", "s_suppkey", "s_nationkey", "s_acctbal"), ["s_nationkey"], _centred, "s_suppkey long, gap double")
+    return udx.grouped_map(t(s, d, "supplier", "s_suppkey", "s_nationkey", "s_acctbal"), ["s_nationkey"], frames.gap_to_best, "s_suppkey long, gap double")
 
 
 @add("op_table_function", "SELECT CAST(i AS INTEGER) AS step, a AS action, u AS source, v AS target FROM (VALUES (0, 'reused', 'orders', 'lineitem'), (1, 'absorbed', 'lineitem', '')) AS t(i, a, u, v)")
@@ -422,7 +413,7 @@ def _(s, d):
     return _run(df, "complete").select(F.unix_timestamp("start").alias("start"), "n")
 
 
-@add("st_session", "SELECT user_id, COUNT(*) AS n, CAST(MIN(epoch(ts)) AS BIGINT) AS start FROM (SELECT *, SUM(gap) OVER (PARTITION BY user_id ORDER BY ts) AS g FROM (SELECT *, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts) < INTERVAL 2 HOUR THEN 0 ELSE 1 END AS gap FROM events) AS a) AS b GROUP BY user_id, g")
+@add("st_session", "SELECT user_id, COUNT(*) AS n, CAST(floor(MIN(epoch(ts))) AS BIGINT) AS start FROM (SELECT *, SUM(gap) OVER (PARTITION BY user_id ORDER BY ts) AS g FROM (SELECT *, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts) < INTERVAL 2 HOUR THEN 0 ELSE 1 END AS gap FROM events) AS a) AS b GROUP BY user_id, g")
 def _(s, d):
     df = streams.windowed(_events(s, d), "ts", "session", "2 hours", by=["user_id"], watermark="30 days")
     return _run(df, "complete").select("user_id", "n", F.unix_timestamp("start").alias("start"))

@@ -38,6 +38,8 @@ class PuParams:
     most_unlabelled: int = 24_000
     hidden: int = 24
     epochs: int = 40
+    #: small samples are passed over more often, until so many steps are done
+    least_steps: int = 1500
     batch: int = 512
     rate: float = 3e-3
     decay: float = 1e-4
@@ -130,7 +132,7 @@ def _train(xp: np.ndarray, xu: np.ndarray, prior: float | None, p: PuParams) ->
     sig = lambda g: 1 / (1 + np.exp(-np.clip(g, -30, 30)))
     soft = lambda g: np.logaddexp(0, g)
     steps = max(1, len(zu) // p.batch)
-    for _ in range(p.epochs):
+    for _ in range(max(p.epochs, -(-p.least_steps // steps))):
         order_u, order_p = rng.permutation(len(zu)), rng.permutation(len(zp))
         for s in range(steps):
             u = zu[order_u[s * p.batch : (s + 1) * p.batch]]

@@ -39,7 +39,7 @@ class PuParams:
     hidden: int = 24
     epochs: int = 40
     #: small samples are passed over more often, until so many steps are done
-    least_steps: int = 1500
+    least_steps: int = 300
     batch: int = 512
     rate: float = 3e-3
     decay: float = 1e-4
@@ -161,8 +161,8 @@ def _train(xp: np.ndarray, xu: np.ndarray, prior: float | None, p: PuParams) ->
 
 
 def estimate_prior(xp: np.ndarray, xu: np.ndarray, p: PuParams) -> float:
-    """The least ratio of unlabelled to positive share over the upper score sets, with a margin for
-    chance; the ranking is learnt on one half of each sample and the ratio taken on the other."""
+    """The least ratio of unlabelled to positive share over the upper score sets; the ranking is learnt on
+    one half of each sample and the ratio taken on the other."""
     rng = np.random.default_rng(p.seed + 1)
     ip, iu = rng.permutation(len(xp)), rng.permutation(len(xu))
     hp, hu = len(xp) // 2, len(xu) // 2
@@ -173,8 +173,7 @@ def estimate_prior(xp: np.ndarray, xu: np.ndarray, p: PuParams) -> float:
     cuts = np.quantile(sp, np.linspace(0.02, 0.5, 25))
     share_p = 1 - np.searchsorted(sp, cuts) / len(sp)
     share_u = 1 - np.searchsorted(su, cuts) / len(su)
-    margin = 1 / np.sqrt(len(su)) + 1 / np.sqrt(len(sp))
-    return float(np.clip(np.min((share_u + margin) / np.maximum(share_p, 1e-9)) - margin, 0.05, 0.98))
+    return float(np.clip(np.min(share_u / np.maximum(share_p, 1e-9)), 0.05, 0.98))
 
 
 def learn(xp: np.ndarray, xu: np.ndarray, p: PuParams) -> tuple[Network | None, float]:

@@ -16,6 +16,7 @@ all pieces but its last are full; repeated rows are packed each; an empty table
 
 from __future__ import annotations
 
+import os
 import zlib
 from bisect import bisect_left, insort
 from collections.abc import Iterator
@@ -53,6 +54,7 @@ class ChunkTokenizer:
     CLOSING = ".,;:!?|*#$%&"
 
     def __init__(self, p: PackParams):
+        os.environ["TOKENIZERS_PARALLELISM"] = "false"  # tasks are the parallelism; more threads only cost switches
         from tokenizers import Tokenizer
 
         self.tokenizer, self.p, self.known, self.pieces = Tokenizer.from_file(p.tokenizer), p, {}, {}

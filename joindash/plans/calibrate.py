@@ -52,6 +52,16 @@ def calibrate(engine: Engine, bound: Bound, root: str | None = None, trace: Trac
     return trace
 
 
+def calibrate_shared_scan(engine: Engine, bound: Bound, trace: Trace | None = None) -> Trace:
+    """Full calibration in which a bag's messages to several plain dimensions come from one scan of it."""
+    trace = trace if trace is not None else Trace()
+    for u in sorted(bound.tree.bags, key=lambda b: (-engine.bag_rows(b), b)):
+        plain = [w for w in bound.tree.neighbours(u) if bound.is_one(w, u, engine.elide) and (u, w) in missing(engine, bound, [(u, w)])]
+        if len(plain) > 1:
+            engine.fanout(bound, u, plain, trace)
+    return calibrate(engine, bound, trace=trace)
+
+
 def calibrate_all_roots(engine: Engine, bound: Bound, trace: Trace | None = None) -> Trace:
     """The plain alternative: an upward pass for every root, nothing shared between them."""
     trace = trace if trace is not None else Trace()

@@ -167,6 +167,29 @@ class Engine:
             return df
         return df.select(*keys, *bound.ring.finalise(set(names)))
 
+    def fanout(self, bound: Bound, u: str, targets: list[str], trace: Trace) -> None:
+        """Store the messages from one bag to several neighbours after a single scan of it.
+
+        Possible where those neighbours send nothing but ones: the bag's join is then the same for all of
+        them, and one pass over grouping sets adds it up along each one's keys."""
+        if not all(bound.is_one(t, u, self.elide) for t in targets):
+            raise ValueError("a shared scan needs neighbours whose own messages are all ones")
+        incoming = [m for w in bound.tree.neighbours(u) if w not in targets and (m := self.message(bound, w, u, trace))]
+        keys = {t: bound.keys(u, t) for t in targets}
+        every = sorted({k for ks in keys.values() for k in ks})
+        df, names = self._bag(bound, u, incoming, every)
+        if not names:
+            one = bound.ring.one()
+            df, names = df.select(*every, *[v.alias(k) for k, v in one.items()]), list(one)
+        sets = df.groupingSets([[F.col(k) for k in ks] for ks in keys.values()], *[F.col(k) for k in every])
+        both = sets.agg(F.grouping_id().alias("gid"), *bound.ring.plus(names)).persist()
+        for t, ks in keys.items():
+            gid = sum(1 << (len(every) - 1 - i) for i, k in enumerate(every) if k not in ks)
+            part = both.filter(F.col("gid") == gid).select(*ks, *[c for c in both.columns if c.startswith("__")])
+            self.store.put(bound.fingerprint(u, t, self.elide), part)
+            trace.add("computed", u, t)
+        both.unpersist()
+
     # ---- whole queries ----------------------------------------------------------------------
 
     def factorized(self, query: SpjaQuery, root: str | None = None, trace: Trace | None = None) -> DataFrame:

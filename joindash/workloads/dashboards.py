@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import random
 from collections.abc import Callable
 from dataclasses import dataclass
 
@@ -182,6 +183,23 @@ documents = Workload(
 WORKLOADS = {w.name: w for w in (crm, flight, many_to_many, documents, *tpch.values())}
 
 
+#: what a random session may add, one after another
+CHOICES = [
+    "r_name_c = 'ASIA'", "r_name_c = 'EUROPE'", "c_mktsegment = 'BUILDING'", "c_mktsegment = 'MACHINERY'", "p_type = 'PROMO'", "p_size BETWEEN 5 AND 25", "o_orderstatus = 'F'",
+    "ship_year = 1997", "n_name_s LIKE 'NATION_1%'", "l_returnflag = 'R'", "l_quantity > 20", "+r_name_s", "+o_orderpriority", "+ship_year", "+p_brand",
+]
+
+
+def random_session(chart: str, steps: int, seed: int) -> list[SpjaQuery]:
+    """A chart of the flight dashboard and ``steps`` drawn interactions, each on top of the last."""
+    q, r = flight.charts[chart], random.Random(seed)
+    out = [q]
+    for c in r.sample(CHOICES, steps):
+        q = q.add_group(c[1:]) if c[0] == "+" else q.with_filter(c)
+        out.append(q)
+    return out
+
+
 # ---- engines kept over queries of one session -------------------------------------------------
 
 _boards: dict[tuple[str, str, str], Dashboard] = {}

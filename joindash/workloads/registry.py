@@ -319,6 +319,32 @@ def _append(spark: SparkSession, d: str) -> DataFrame:
 
 
 add("append_delta", _append, naive_sql(dashboards._shape(_CRM), _PIVOT))
+
+
+def _shared_scan(spark: SparkSession, d: str) -> DataFrame:
+    """The fact's messages to its plain dimensions from one scan; any bag then gives the answer."""
+    e = Engine(spark, board(spark, d, "crm").engine.tree, MessageStore(spark, "memory"))
+    b = bind(e.tree, _PIVOT)
+    cal.calibrate_shared_scan(e, b)
+    return answer(e, b, _PIVOT.set_group("n_name_s"))[0]
+
+
+add("calibrate_shared_scan", _shared_scan, naive_sql(dashboards._shape(_CRM), _PIVOT.set_group("n_name_s")))
+
+
+def _random(spark: SparkSession, d: str, chart: str, seed: int) -> DataFrame:
+    e, rows = board(spark, d, "flight").engine, None
+    todo = dashboards.random_session(chart, 3, seed)
+    pivot = bind(e.tree, todo[0])
+    cal.calibrate(e, pivot)
+    for q in todo[1:]:
+        rows, plan = answer(e, pivot, q)
+        pivot = plan.bound
+    return rows
+
+
+for _c, _seed in (("v1", 1), ("v3", 2), ("v5", 3)):
+    add(f"random_session_{_seed}", lambda s, d, c=_c, seed=_seed: _random(s, d, c, seed), naive_sql(dashboards._shape(WORKLOADS["flight"]), dashboards.random_session(_c, 3, _seed)[-1]))
 add("sql_front_end", lambda s, d: (lambda e: e.factorized(parse_spja("SELECT n_name_s, SUM(l_extendedprice) AS amount, COUNT(*) AS cnt FROM lineitem NATURAL JOIN part NATURAL JOIN supplier NATURAL JOIN nation_s NATURAL JOIN region_s NATURAL JOIN orders WHERE p_size BETWEEN 10 AND 20 AND r_name_s = 'ASIA' GROUP BY n_name_s", e.tree.graph)[0]))(board(s, d, "crm").engine),
     "SELECT n_name AS n_name_s, CAST(SUM(CAST(ROUND(l_extendedprice * 100) AS HUGEINT)) AS DOUBLE) / 100 AS amount, COUNT(*) AS cnt FROM lineitem JOIN part ON l_partkey = p_partkey JOIN supplier ON l_suppkey = s_suppkey JOIN nation ON s_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey WHERE p_size BETWEEN 10 AND 20 AND r_name = 'ASIA' GROUP BY n_name")
 

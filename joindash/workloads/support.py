@@ -253,6 +253,11 @@ def _(s, d):
     return t(s, d, "orders").groupBy("o_orderstatus").agg(F.count_if(F.col("o_totalprice") > 100000).alias("big"), F.sum(F.when(F.col("o_orderpriority") == "1-URGENT", 1).otherwise(0)).alias("urgent"))
 
 
+@add("op_argmax", "SELECT p_brand, arg_max(p_partkey, p_retailprice * 1000000 - p_partkey) AS top FROM part GROUP BY p_brand")
+def _(s, d):
+    return t(s, d, "part").groupBy("p_brand").agg(F.max_by("p_partkey", F.col("p_retailprice") * 1000000 - F.col("p_partkey")).alias("top"))
+
+
 @add("op_pivot", "SELECT l_returnflag, SUM(CASE WHEN l_linestatus = 'F' THEN 1 END)::BIGINT AS F, SUM(CASE WHEN l_linestatus = 'O' THEN 1 END)::BIGINT AS O FROM lineitem GROUP BY l_returnflag")
 def _(s, d):
     return aggs.pivot(t(s, d, "lineitem"), ["l_returnflag"], "l_linestatus", ["F", "O"], N())

@@ -341,29 +341,40 @@ def components(links: DataFrame) -> DataFrame:
     return label
 
 
-def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text: str = "text", p: SimHashParams | None = None) -> DataFrame:
-    """(id, fingerprint hex, component id = least id reachable), one row per input row."""
-    p = p or SimHashParams()
+def near_classes(docs: DataFrame, id_col: str, text: str, p: SimHashParams) -> tuple[DataFrame, DataFrame]:
+    """(id, fp) of every row, and (fp, component_id, root) of every distinct fingerprint."""
     own = written(fingerprints(docs.select(F.col(id_col).alias("id"), text), text, p, "fp"))
     prints = written(own.groupBy("fp").agg(F.min("id").alias("first")))
     label = components(fingerprint_links(prints.select("fp"), p))
     linked = written(prints.join(label, prints["fp"] == label["node"]).select("fp", "first", "root"))
     least = linked.groupBy("root").agg(F.min("first").alias("component_id"))
-    joined = linked.join(least, "root").select("fp", "component_id")
-    classes = written(prints.join(joined, "fp", "left").select("fp", F.coalesce("component_id", "first").alias("component_id")))
+    joined = linked.join(least, "root").select("fp", "component_id", "root")
+    component, root = F.coalesce("component_id", "first").alias("component_id"), F.coalesce("root", "fp").alias("root")
+    return own, written(prints.join(joined, "fp", "left").select("fp", component, root))
+
+
+def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text: str = "text", p: SimHashParams | None = None) -> DataFrame:
+    """(id, fingerprint hex, component id = least id reachable), one row per input row."""
+    own, classes = near_classes(docs, id_col, text, p or SimHashParams())
     return own.join(classes, "fp").select(
         F.col("id").alias(id_col), F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id"
     )
 
 
 def one_per_group(docs: DataFrame, id_col: str = "doc_id", text: str = "text", p: SimHashParams | None = None) -> DataFrame:
-    """``docs`` with one row of every near-duplicate group: the row with the least id."""
-    found = near_duplicates(docs, id_col, text, p).filter(F.col(id_col) == F.col("component_id"))
-    heads = found.groupBy(F.col(id_col).alias("__jd_id")).agg(F.count(F.lit(1)).alias("__jd_n"))
+    """``docs`` with one row of every near-duplicate group: the row with the least id, or any row of a
+    group in which no row has an id."""
+    p = p or SimHashParams()
+    own, classes = near_classes(docs, id_col, text, p)
+    heads = own.join(classes, "fp").filter(F.col("id") == F.col("component_id"))
+    heads = heads.groupBy(F.col("id").alias("__jd_id")).agg(F.count(F.lit(1)).alias("__jd_n"))
     kept = docs.join(heads, docs[id_col] == heads["__jd_id"])
     single = kept.filter("__jd_n = 1")
     repeated = kept.filter("__jd_n > 1").dropDuplicates(["__jd_id"])
-    return single.unionByName(repeated).drop("__jd_id", "__jd_n")
+    nameless = docs.filter(F.col(id_col).isNull()).withColumn("__jd_text", F.col(text))
+    roots = classes.filter("component_id is null").select(F.col("fp").alias("__jd_fp"), F.col("root").alias("__jd_root"))
+    bare = fingerprints(nameless, "__jd_text", p).join(roots, "__jd_fp").dropDuplicates(["__jd_root"])
+    return single.unionByName(repeated).drop("__jd_id", "__jd_n").unionByName(bare.drop("__jd_fp", "__jd_root"))
 
 
 def op1_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

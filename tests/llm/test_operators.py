@@ -6,6 +6,7 @@ import zlib
 from collections import Counter, defaultdict
 
 import numpy as np
+import pandas as pd
 import pytest
 from pyspark.sql import functions as F
 
@@ -124,7 +125,7 @@ def test_one_per_group_keeps_one_row(odd):
 
     kept = one_per_group(odd)
     ids = [r.doc_id for r in kept.collect()]
-    assert ids.count(1) == 1 and 2 not in ids and ids.count(3) == 1 and 4 not in ids and 5 not in ids
+    assert ids.count(1) == 1 and 2 not in ids and ids.count(3) == 1 and 4 not in ids and 5 not in ids and ids.count(None) == 1
     assert kept.columns == odd.columns
 
 
@@ -392,9 +393,9 @@ def test_revisits_against_sql(spark, sf, duck):
     from tests.conftest import rows_of
 
     got = op8_revisit_resolution(spark, sf).toPandas().astype(object)
-    got["full_page_id"] = got["full_page_id"].map(lambda x: None if x != x else int(x))
+    got["full_page_id"] = got["full_page_id"].map(lambda x: None if pd.isna(x) else int(x))
     want = duck.sql(ORACLE_SQL["op8_revisit_resolution"]).df().astype(object)
-    want["full_page_id"] = want["full_page_id"].map(lambda x: None if x != x else int(x))
+    want["full_page_id"] = want["full_page_id"].map(lambda x: None if pd.isna(x) else int(x))
     assert rows_of(got) == rows_of(want)
 
 

@@ -442,6 +442,17 @@ def _gram_sql(dim: str | None) -> str:
 add("aug_base_gram", lambda s, d: regression.augmenter(s, d).base_gram(), _gram_sql(None))
 for _dim in regression.KEYS:
     add(f"aug_{_dim}_gram", lambda s, d, dim=_dim: regression.gram(s, d, dim), _gram_sql(_dim))
+
+
+def _one_feature(spark: SparkSession, d: str) -> DataFrame:
+    """R² of the quantity alone, from the calibrated Gram matrix."""
+    n, x, y = F.col("cnt"), F.col("s_quantity"), F.col("s_transactions")
+    xy = n * F.col("q_quantity_transactions") - x * y
+    r2 = xy * xy / ((n * F.col("q_quantity_quantity") - x * x) * (n * F.col("q_transactions_transactions") - y * y))
+    return regression.augmenter(spark, d).base_gram().select(F.round(r2, 6).alias("r2"))
+
+
+add("regr_r2", _one_feature, f"SELECT ROUND(regr_r2(t.transactions, s.l_quantity), 6) AS r2 FROM ({regression.SALES_SQL}) AS s JOIN ({regression.TARGET_SQL}) AS t ON s.suppkey = t.suppkey AND s.ship_month = t.ship_month")
 add("aug_r2_ranking", lambda s, d: regression.ranking(s, d))
 
 # annotated-bag sizes and message sizes

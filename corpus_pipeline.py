@@ -12,7 +12,7 @@ from joindash.llm.decontaminate import without_contaminated
 from joindash.llm.packing import pack_documents
 from joindash.llm.pii import mask_personal_data
 from joindash.llm.quality_rules import quality_rules
-from joindash.llm.simhash import one_per_group
+from joindash.llm.resemblance import one_of_resembling
 
 
 def keep_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -21,8 +21,8 @@ def keep_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each near-duplicate group."""
-    return one_per_group(docs)
+    """One document of each group of texts with a 5-word Jaccard similarity of 0.8 or more."""
+    return one_of_resembling(docs)
 
 
 def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -49,22 +49,28 @@ class SimHashParams:
     split_bits: int = 4
 
 
-def fingerprint(data: bytes | None, p: SimHashParams) -> int:
-    """Signed 64-bit fingerprint of a text in UTF-8; bytes.lower() and bytes.split() know ASCII only."""
+def shingle_digests(data: bytes | None, p: SimHashParams) -> list[int]:
+    """Digests of a text's word shingles, in UTF-8; bytes.lower() and bytes.split() know ASCII only."""
     import xxhash
 
     words = (data or b"").lower().split()
     if not words:
-        return 0
+        return []
     digest, seed = xxhash.xxh64_intdigest, p.seed
     flat = b" ".join(words)
     if len(words) <= p.width:
-        hashes = [digest(flat, seed)]
-    else:
-        sizes = np.fromiter(map(len, words), np.int64, len(words))
-        ends = np.cumsum(sizes + 1) - 1
-        begins = (ends - sizes)[: len(words) - p.width + 1].tolist()
-        hashes = [digest(flat[a:b], seed) for a, b in zip(begins, ends[p.width - 1 :].tolist(), strict=True)]
+        return [digest(flat, seed)]
+    sizes = np.fromiter(map(len, words), np.int64, len(words))
+    ends = np.cumsum(sizes + 1) - 1
+    begins = (ends - sizes)[: len(words) - p.width + 1].tolist()
+    return [digest(flat[a:b], seed) for a, b in zip(begins, ends[p.width - 1 :].tolist(), strict=True)]
+
+
+def fingerprint(data: bytes | None, p: SimHashParams) -> int:
+    """Signed 64-bit fingerprint of a text in UTF-8."""
+    hashes = shingle_digests(data, p)
+    if not hashes:
+        return 0
     counts = np.zeros(64, np.int64)
     for i in range(0, len(hashes), 1 << 16):
         octets = np.array(hashes[i : i + (1 << 16)], "<u8").view(np.uint8).reshape(-1, 8)

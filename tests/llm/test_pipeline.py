@@ -1,6 +1,10 @@
 """Each stage of the pipeline on what the stage before has kept, against brute force."""
 
-from tests.llm.test_operators import brute_components, brute_fingerprint, brute_hits, brute_spans
+import re
+
+import numpy as np
+
+from tests.llm.test_operators import WS, brute_components, brute_fingerprint, brute_hits, brute_spans, lower
 
 
 def test_stages(spark, sf):
@@ -31,6 +35,58 @@ def test_stages(spark, sf):
     assert {r.doc_id for r in packed} == set(kept)
 
 
+def brute_similar_heads(texts):
+    """Least id of every component of the pairs with 5-word Jaccard similarity 0.8 or more."""
+    sets = {i: shingles(t) for i, t in texts.items()}
+    root = {i: i for i in texts}
+    for i in sorted(sets):
+        for j in sorted(sets):
+            if j < i and root[i] != root[j]:
+                a, b = sets[i], sets[j]
+                if a == b or 9 * len(a & b) >= 4 * (len(a) + len(b)):
+                    old, new = max(root[i], root[j]), min(root[i], root[j])
+                    root = {k: new if r == old else r for k, r in root.items()}
+    return set(root.values())
+
+
+def shingles(t):
+    w = re.findall(WS, lower(t))
+    return {" ".join(w[i : i + 5]) for i in range(max(1, len(w) - 4))} if w else set()
+
+
+def test_near_duplicate_stage_against_brute_force(spark, sf):
+    import corpus_pipeline as cp
+
+    docs = spark.read.parquet(f"{sf}/documents.parquet")
+    got = [r.doc_id for r in cp.drop_near_duplicates(spark, docs, sf).collect()]
+    want = brute_similar_heads({r.doc_id: r.text for r in docs.collect()})
+    assert len(got) == len(set(got)) and set(got) == want
+
+
+def test_near_duplicate_stage_around_the_threshold(spark, sf):
+    """Edited copies from similarity 0.6 to 1, chains, ids that repeat or lack, and blank texts."""
+    import corpus_pipeline as cp
+
+    rng = np.random.default_rng(8)
+    word = lambda: "".join(rng.choice(list("abcdefghij"), 7))
+    texts = []
+    for _ in range(40):
+        base = [word() for _ in range(150)]
+        texts.append(base)
+        for edits in (1, 2, 3, 4, 6):
+            copy = list(base)
+            for at in rng.choice(150, edits, replace=False):
+                copy[at] = word()
+            texts.append(copy)
+    kept = {i: " ".join(t) for i, t in enumerate(texts)}
+    df = spark.createDataFrame(list(kept.items()), "doc_id long, text string")
+    got = [r.doc_id for r in cp.drop_near_duplicates(spark, df, sf).collect()]
+    assert len(got) == len(set(got)) and set(got) == brute_similar_heads(kept)
+    rows = [(1, "one text about nothing"), (1, "another text entirely"), (None, "one text about nothing"), (None, "no id here"), (None, "No id  here"), (2, ""), (3, None)]
+    got = cp.drop_near_duplicates(spark, spark.createDataFrame(rows, "doc_id long, text string"), sf).collect()
+    assert sorted((r.doc_id or 0, (r.text or "").lower().split()) for r in got) == [(0, ["no", "id", "here"]), (1, ["another", "text", "entirely"]), (1, ["one", "text", "about", "nothing"]), (2, [])]
+
+
 def test_run_and_guard(spark, sf):
     import corpus_pipeline as cp
 

@@ -319,6 +319,27 @@ def test_compression_bands_reject_noise_and_repetition(spark):
     assert got == {1: False, 2: True, 3: False}
 
 
+def test_compression_bands_reject_encoded_texts_and_parts(spark):
+    import base64
+    import random
+
+    from joindash.llm.quality_rules import quality_rules
+
+    r = random.Random(2)
+    words = ["".join(r.choices("etaoinshrdlu", k=r.randint(2, 9))) for _ in range(300)]
+    prose = lambda n: " ".join(r.choices(words, k=n))[:n]
+    lines = lambda s, w: "\n".join(s[i : i + w] for i in range(0, len(s), w))
+    b64 = lambda n, w=40: lines(base64.b64encode(r.randbytes(n)).decode(), w)[:n]
+    hexes = lambda n: lines(r.randbytes(n).hex(), 64)[:n]
+    bad = [b64(400, 20), b64(600), b64(2000), b64(4000), b64(9000), hexes(5000), hexes(12000), r.randbytes(3000).hex(" ")]
+    bad += [prose(6000) + "\n" + b64(6000), prose(4096) + b64(3000), prose(15000) + b64(5000), prose(12000) + hexes(4500)]
+    good = [prose(n) for n in (300, 700, 1500, 3000, 4097, 5000, 8000, 12000, 16400, 40000)]
+    rows = [(i, t) for i, t in enumerate([*bad, *good])]
+    got = {x.doc_id: x for x in quality_rules(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert not any(x.base_failed for x in got.values())
+    assert [i for i, x in got.items() if x.kept != (i >= len(bad))] == []
+
+
 # ---- 7 packing
 
 

@@ -1,8 +1,9 @@
 """Operator 9 – personal data: base patterns, and bootstrapped contextual extraction.
 
 Base entities (mail and network addresses, card and phone numbers) are found by patterns and checks.
-They seed a graph of lexical patterns – the two words that stand before an identifier – and instances
-– the identifiers.  A pattern's score is the mean score of its instances, an instance's score the
+Every base span is a seed of a graph of instances – the identifiers – and lexical patterns: the two words
+before, a label (one word at the start of the text or that ends in a colon and the like) before, and the
+two words after, with words that hold digits written as ``#``.  A pattern's score is the mean score of its instances, an instance's score the
 noisy-or of its supported patterns; a few rounds spread trust from the seeds, and identifiers that
 only high-confidence patterns introduce are added.  Everything is DataFrame expressions and joins.
 
@@ -40,13 +41,14 @@ CANDIDATE = r"(?<![A-Za-z0-9@._%+-])(?=[A-Za-z@._%+-]{0,63}+[0-9])[A-Za-z0-9@._%
 class PiiParams:
     #: rounds of scoring
     rounds: int = 3
-    #: distinct seed instances that a pattern needs
+    #: distinct instances, seeds or accepted ones, that a pattern needs
     support: int = 10
     #: least score of a pattern, and of an instance that is added
     pattern_score: float = 0.9
     instance_score: float = 0.95
+    #: shape of an unseen identifier; seeds have the shape of their kind
     least_chars: int = 6
-    least_digits: int = 4
+    least_digits: int = 1
     most_chars: int = 64
     context_chars: int = 48
 
@@ -91,8 +93,21 @@ def _of_kind(number: int) -> Column:
     return F.filter("base", lambda s: s["kind"] == number)
 
 
+def contexts(text: Column, start: Column, end: Column, p: PiiParams) -> Column:
+    """The patterns in which the span stands, cut from the whole text."""
+    begin = F.greatest(start - p.context_chars, F.lit(0))
+    plain = lambda c: F.regexp_replace(F.regexp_replace(F.lower(c), r"\S*[0-9]\S*", "#"), r"\s+", " ")
+    before, after = F.substring(text, begin + 1, start - begin), F.substring(text, end + 1, F.lit(p.context_chars))
+    two = F.concat(F.lit("<"), plain(F.regexp_extract(before, r"(\S+\s+\S+)\s*$", 1)))
+    label = plain(F.regexp_extract(before, r"(?:^|\s)(\S*[:=#])\s*$", 1))
+    first = F.when(begin == 0, plain(F.regexp_extract(before, r"^\s*(\S+)\s*$", 1))).otherwise("")
+    right = F.concat(F.lit(">"), plain(F.regexp_extract(after, r"^[\s,;.]*(\S+\s+\S+)(?=\s|$)", 1)))
+    one = F.concat(F.lit("-"), F.when(label != "", label).otherwise(first))
+    return F.array_distinct(F.filter(F.array(two, one, right), lambda c: F.rlike(c, F.lit(r"\p{L}"))))
+
+
 def extract(docs: DataFrame, id_col: str, text: str, p: PiiParams) -> DataFrame:
-    """(id, text hash, base spans by start and kind, candidate spans with their context)."""
+    """(id, text hash, base spans by start and kind, instances: base spans and unseen candidates with their contexts)."""
     body = F.coalesce(F.col(text), F.lit(""))
     slim = docs.select(F.col(id_col).alias("id"), body.alias("t"))
     for k, (kind, (needs, pattern)) in enumerate(BASE.items()):
@@ -101,16 +116,17 @@ def extract(docs: DataFrame, id_col: str, text: str, p: PiiParams) -> DataFrame:
         located(F.col("t"), CANDIDATE, None),
         lambda s: F.length(s["value"]).between(p.least_chars, p.most_chars) & (F.length(_digits(s["value"])) >= p.least_digits),
     )
-    context = lambda s: F.lower(F.regexp_extract(F.right(s["before"], F.lit(p.context_chars)), r"(\S+\s+\S+)\s*$", 1))
-    return slim.select(
-        "id",
-        F.xxhash64("t").alias("hash"),
-        F.array_sort(F.concat(*BASE)).alias("base"),
-        F.filter(
-            F.transform(words, lambda s: F.struct(s["start"].alias("start"), s["end"].alias("end"), s["value"].alias("value"), F.regexp_replace(context(s), r"\s+", " ").alias("context"))),
-            lambda s: s["context"] != "",
-        ).alias("words"),
-    )
+    slim = slim.select("id", "t", F.array_sort(F.concat(*BASE)).alias("base"), words.alias("words"))
+    known = lambda s: F.exists("base", lambda b: (b["start"] < s["end"]) & (s["start"] < b["end"]))
+
+    def instance(s: Column, seed: bool) -> Column:
+        value = F.substring(F.col("t"), s["start"] + 1, s["end"] - s["start"])
+        return F.struct(s["start"].alias("start"), s["end"].alias("end"), value.alias("value"), contexts(F.col("t"), s["start"], s["end"], p).alias("contexts"), F.lit(seed).alias("seed"))
+
+    seeds = F.transform("base", lambda s: instance(s, True))
+    unseen = F.transform(F.filter("words", lambda s: ~known(s)), lambda s: instance(s, False))
+    each = F.filter(F.concat(seeds, unseen), lambda s: F.size(s["contexts"]) > 0)
+    return slim.select("id", F.xxhash64("t").alias("hash"), "base", each.alias("words"))
 
 
 def score_graph(edges: DataFrame, p: PiiParams) -> DataFrame:
@@ -138,12 +154,8 @@ def find_personal_data(docs: DataFrame, id_col: str = "doc_id", text: str = "tex
     """(id, text hash, base, added): spans as array<struct(start, kind number, end)>, one row per input row."""
     p = p or PiiParams()
     found = written(extract(docs, id_col, text, p))
-    known = lambda s: F.exists("base", lambda b: (b["start"] < s["end"]) & (s["start"] < b["end"]))
-    each = found.filter(F.size("words") > 0).select(
-        "id", "hash", F.explode(F.transform("words", lambda s: F.struct(s["start"].alias("start"), s["end"].alias("end"), s["value"].alias("value"), s["context"].alias("context"), known(s).alias("seed")))).alias("w")
-    )
-    each = each.select("id", "hash", "w.*")
-    accepted = written(score_graph(each.select("context", "value", "seed"), p))
+    each = found.filter(F.size("words") > 0).select("id", "hash", F.explode("words").alias("w")).select("id", "hash", "w.*")
+    accepted = written(score_graph(each.select(F.explode("contexts").alias("context"), "value", "seed"), p))
     empty = F.expr("cast(array() as array<struct<start:int,kind:int,end:int>>)")
     if accepted.isEmpty():
         return found.select("id", "hash", "base", empty.alias("added"))

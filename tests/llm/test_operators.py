@@ -490,6 +490,25 @@ def test_contexts_discover_unseen_identifiers(spark):
     assert {r.id: [(s.start, s.end) for s in r.added] for r in got} == {100: [(19, 31)], 101: [(15, 27)]}
 
 
+def _added(spark, texts):
+    from joindash.llm.pii import find_personal_data
+
+    rows = find_personal_data(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")).collect()
+    return {texts[r.id][s.start : s.end] for r in rows for s in r.added}
+
+
+def _letters(i):
+    return "".join(chr(97 + i // 26**k % 26) for k in range(3))
+
+
+def test_base_spans_of_any_shape_seed_contexts(spark):
+    """E-mails without digits and phones with spaces and brackets introduce unseen identifiers."""
+    texts = [f"words {_letters(7 * i)} contact me {_letters(i)}@mail.example.com thanks a lot" for i in range(20)]
+    texts += [f"text {_letters(7 * i)} call back +1 (0{i + 10}) 555-77{i + 10} until noon" for i in range(20)]
+    texts += ["words zzz contact me handle-77x thanks anyway", "text yyy call back ext-4417 until later", "nothing around lot-55512 to see"]
+    assert _added(spark, texts) == {"handle-77x", "ext-4417"}
+
+
 # ---- 10 secrets
 
 

@@ -3,9 +3,10 @@
 Base entities (mail and network addresses, card and phone numbers) are found by patterns and checks.
 Every base span is a seed of a graph of instances – the identifiers – and lexical patterns: the two words
 before, a label (one word at the start of the text or that ends in a colon and the like) before, and the
-two words after, with words that hold digits written as ``#``.  A pattern's score is the mean score of its instances, an instance's score the
-noisy-or of its supported patterns; a few rounds spread trust from the seeds, and identifiers that
-only high-confidence patterns introduce are added.  Everything is DataFrame expressions and joins.
+two words after, with words that hold digits written as ``#``.  A pattern's score is the mean score of its
+known instances, in which an unknown one weighs little; an instance's score is the noisy-or of its trusted
+patterns.  Each round counts support anew from the seeds and the instances accepted so far, so trust
+spreads to patterns that hold discovered identifiers.  Everything is DataFrame expressions and joins.
 
 The patterns are written without backtracking into repeated groups, so very long digit or letter runs
 cost linear time and no stack; ``\\G`` keeps what a search that goes on after a match would find.
@@ -43,6 +44,8 @@ class PiiParams:
     rounds: int = 3
     #: distinct instances, seeds or accepted ones, that a pattern needs
     support: int = 10
+    #: weight of an unknown instance against a known one in a pattern's score
+    unknown_weight: float = 0.05
     #: least score of a pattern, and of an instance that is added
     pattern_score: float = 0.9
     instance_score: float = 0.95
@@ -134,20 +137,26 @@ def score_graph(edges: DataFrame, p: PiiParams) -> DataFrame:
 
     ``edges``: (context, value, seed).  One row per distinct edge; joins by pattern and by instance.
     """
-    own = edges.groupBy("context", "value").agg(F.max("seed").alias("seed"))
-    supported = own.groupBy("context").agg(F.sum(F.col("seed").cast("int")).alias("n")).filter(F.col("n") >= p.support).select("context")
-    graph = written(own.join(supported, "context", "left_semi").withColumn("score", F.col("seed").cast("double")))
+    own = written(edges.groupBy("context", "value").agg(F.max("seed").alias("seed")))
+    enough = own.groupBy("context").agg(F.count(F.lit(1)).alias("n")).filter(F.col("n") >= p.support).select("context")
+    first = F.when(F.col("seed"), F.lit(1.0)).otherwise(F.lit(0.0))  # an instance counts as known from a score above zero
+    graph = written(own.join(enough, "context", "left_semi").withColumn("score", first))
+    drop_written(own)
+    known = F.col("score") > 0
     for _ in range(p.rounds):
-        if graph.isEmpty():
-            break
-        patterns = graph.groupBy("context").agg(F.avg("score").alias("trust")).filter(F.col("trust") >= p.pattern_score)
+        counted = graph.groupBy("context").agg(F.sum(known.cast("int")).alias("n"), F.sum((~known).cast("int")).alias("unknown"), F.sum("score").alias("total"))
+        patterns = counted.filter(F.col("n") >= p.support).select("context", (F.col("total") / (F.col("n") + p.unknown_weight * F.col("unknown"))).alias("trust"))
+        patterns = patterns.filter(F.col("trust") >= p.pattern_score)
         doubt = F.exp(F.sum(F.log(F.greatest(1 - F.col("trust"), F.lit(1e-9)))))
-        instances = graph.join(patterns, "context").groupBy("value").agg((1 - doubt).alias("belief"))
-        scored = F.when(F.col("seed"), F.lit(1.0)).otherwise(F.coalesce("belief", F.lit(0.0)))
-        new = written(graph.join(instances, "value", "left").select("context", "value", "seed", scored.alias("score")))
+        belief = graph.filter(~known).join(patterns, "context").groupBy("value").agg((1 - doubt).alias("belief"))
+        belief = written(belief.filter(F.col("belief") >= p.instance_score))
+        if belief.isEmpty():
+            break
+        scored = F.when(known, F.col("score")).otherwise(F.coalesce("belief", F.lit(0.0)))
+        new = written(graph.join(belief, "value", "left").select("context", "value", "seed", scored.alias("score")))
         drop_written(graph)
         graph = new
-    return graph.filter(~F.col("seed") & (F.col("score") >= p.instance_score)).select("value").distinct()
+    return graph.filter(~F.col("seed") & known).select("value").distinct()
 
 
 def find_personal_data(docs: DataFrame, id_col: str = "doc_id", text: str = "text", p: PiiParams | None = None) -> DataFrame:

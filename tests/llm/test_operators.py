@@ -509,6 +509,15 @@ def test_base_spans_of_any_shape_seed_contexts(spark):
     assert _added(spark, texts) == {"handle-77x", "ext-4417"}
 
 
+def test_contexts_grow_from_accepted_identifiers(spark):
+    """Many unknown instances do not refuse a pattern, and a label that holds discovered ones alone earns trust."""
+    texts = [f"note {_letters(i)} reach at {_letters(i)}@mail.example.com" for i in range(20)]
+    texts += [f"note {_letters(i)} reach at member-{i}x" for i in range(12)]
+    texts += [f"SSN: member-{i}x {_letters(i)}" for i in range(12)] + ["SSN: other-99y qqq", "price other-98y qqq"]
+    found = _added(spark, texts)
+    assert found == {f"member-{i}x" for i in range(12)} | {"other-99y"}
+
+
 # ---- 10 secrets
 
 

@@ -2,9 +2,9 @@
 
 A text is cut into overlapping word windows twice as long as the templates looked for, one window class
 per power of two, so that every occurrence lies whole in a window.  MinHash values of a window's word
-shingles are bands of one row: a window that holds ``threshold`` of a template's shingles is at least
-``threshold``/4 similar to it and meets it in one of ``bands`` bands with probability
-1 - (1 - threshold/4)^bands (0.9999 at the defaults).  Retrieved templates are verified by exact
+shingles are bands of one row.  The least similarity s of a window that holds ``threshold`` of a template's
+shingles follows from the shingles of both, and each window class gets so many bands b for its least such
+template that (1 - s)^b, the probability that a window misses it, is at most ``miss``.  Retrieved templates are verified by exact
 containment of their shingles in the window.  Windows that share no shingle with any template cannot
 verify and are left out before the bands are computed.
 
@@ -17,6 +17,7 @@ no findings; input columns named like an output column are replaced.
 
 from __future__ import annotations
 
+import math
 import re
 from dataclasses import dataclass
 
@@ -54,7 +55,8 @@ GAP = r"[\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+"
 class LicenseParams:
     width: int = 5
     threshold: float = 0.8
-    bands: int = 42
+    #: most probability that the bands miss a template that its window holds
+    miss: float = 1e-4
 
 
 def template_words(text: str) -> list[str]:
@@ -82,6 +84,13 @@ def min_hashes(hashes: Column, bands: int) -> Column:
     return F.transform(F.sequence(F.lit(1), F.lit(bands)), lambda i: F.struct(i.alias("band"), least(i).alias("value")))
 
 
+def bands_needed(size: int, counts: list[int], p: LicenseParams) -> int:
+    """Bands of a class whose windows have ``size`` shingles and its templates ``counts`` distinct ones."""
+    held = [(n, math.ceil(p.threshold * n - 1e-9)) for n in counts]
+    least = min(h / (size + n - h) for n, h in held)
+    return 1 if least >= 1 else math.ceil(math.log(p.miss) / math.log(1 - least))
+
+
 def template_table(spark: SparkSession, templates: dict[str, str], p: LicenseParams) -> DataFrame:
     """(name, width, reach, shingles, hashes): ``reach`` is the power of two that bounds the template's words."""
     rows = []
@@ -105,8 +114,10 @@ def license_matches(docs: DataFrame, templates: dict[str, str], id_col: str = "d
     spark = docs.sparkSession
     known = template_table(spark, templates, p)
     classes: dict[tuple[int, int], set[int]] = {}
+    counts: dict[tuple[int, int], list[int]] = {}
     for r in known.select("width", "reach", "hashes").collect():  # the templates, a bounded list
         classes.setdefault((r.width, r.reach), set()).update(r.hashes)
+        counts.setdefault((r.width, r.reach), []).append(len(r.hashes))
     widths = sorted({w for w, _ in classes})
     if not widths:
         return spark.createDataFrame([], "hash long, name string, containment double, first_word int").withColumn("id", F.lit(None).cast(docs.schema[id_col].dataType))
@@ -128,13 +139,14 @@ def license_matches(docs: DataFrame, templates: dict[str, str], id_col: str = "d
     found = None
     for (w, reach), hashes in sorted(classes.items()):
         size = 2 * reach - w + 1  # shingles of a window of 2 * reach words
+        bands = bands_needed(size, counts[w, reach], p)
         start = F.sequence(F.lit(0), F.greatest(F.size(f"h{w}") - 1, F.lit(0)), F.lit(reach))
         cut = near.select("id", "hash", "ws", f"h{w}", F.explode(start).alias("at"))
         cut = cut.select("id", "hash", "at", F.slice("ws", F.col("at") + 1, F.lit(2 * reach)).alias("ws"), F.slice(f"h{w}", F.col("at") + 1, F.lit(size)).alias("hashes"))
         cut = cut.filter((F.size("hashes") > 0) & share(F.col("hashes"), hashes))
-        banded = cut.select("id", "hash", "at", "ws", F.explode(min_hashes(F.col("hashes"), p.bands)).alias("b")).select("id", "hash", "at", "ws", "b.*")
+        banded = cut.select("id", "hash", "at", "ws", F.explode(min_hashes(F.col("hashes"), bands)).alias("b")).select("id", "hash", "at", "ws", "b.*")
         own = known.filter((F.col("width") == w) & (F.col("reach") == reach))
-        own_bands = own.select("name", "shingles", F.explode(min_hashes(F.col("hashes"), p.bands)).alias("b")).select("name", "shingles", "b.*")
+        own_bands = own.select("name", "shingles", F.explode(min_hashes(F.col("hashes"), bands)).alias("b")).select("name", "shingles", "b.*")
         met = banded.join(F.broadcast(own_bands), ["band", "value"])  # templates × bands rows
         held = F.size(F.array_intersect(shingle_texts(F.col("ws"), w), F.col("shingles"))) / F.size("shingles")
         checked = met.groupBy("id", "hash", "at", "name").agg(F.first("ws").alias("ws"), F.first("shingles").alias("shingles"))

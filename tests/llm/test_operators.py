@@ -220,6 +220,18 @@ def test_altered_notice_is_found(spark):
     assert [[s.name for s in r.licenses] for r in got] == [["mit-grant"]] * 2
 
 
+def test_short_templates_in_long_texts_are_found(spark):
+    """A five-word line has one shingle against the twelve of its window; each line here lies in one window only."""
+    from joindash.llm.licenses import LicenseParams, bands_needed, scan_licenses
+
+    p = LicenseParams()
+    assert (1 - 1 / 12) ** bands_needed(12, [1], p) <= p.miss and (1 - 4 / 29) ** bands_needed(28, [5], p) <= p.miss
+    words = lambda i, k: " ".join(f"w{i}x{j}" for j in range(k))
+    rows = [(i, f"{words(i, 40)} Released under the MIT License. {words(i + 10000, 40)}") for i in range(600)]
+    got = scan_licenses(spark.createDataFrame(rows, "doc_id long, text string")).collect()
+    assert [r.doc_id for r in got if [x.name for x in r.licenses] != ["mit-line"]] == []
+
+
 # ---- 4 sharding
 
 

@@ -67,6 +67,11 @@ class Semiring:
     def one(self) -> Ann:
         raise NotImplementedError
 
+    def absent(self, names: list[str]) -> Ann:
+        """What the columns of a message hold for a row that an outer join keeps without it; other columns
+        stay null, which extremes and sketches pass over."""
+        return {}
+
     def times(self, a: Ann, b: Ann) -> Ann:
         raise NotImplementedError
 
@@ -85,23 +90,29 @@ class Semiring:
 class MomentRing(Semiring):
     """Count, sums and sums of products of measures, up to ``degree``; the basis of COUNT, SUM, AVG, VAR,
     covariance, correlation and linear regression.  ``shows`` names what ``finalise`` returns:
-    (kind, alias, measure names)."""
+    (kind, alias, measure names).  ``alone``: measures that are multiplied by themselves and by the
+    others, but not by each other, as candidates are that are tried one at a time."""
 
     measures: tuple[Measure, ...] = ()
     degree: int = 0
     shows: tuple[tuple[str, str, tuple[str, ...]], ...] = (("count", "cnt", ()),)
+    alone: frozenset[str] = frozenset()
 
     @property
     def ident(self) -> str:
-        return f"moment{self.degree}{[(m.name, m.relation, m.expr, m.scale) for m in self.measures]}"
+        return self._definition(self.measures)
+
+    def _definition(self, measures) -> str:
+        alone = sorted(self.alone & {m.name for m in measures})
+        return f"moment{self.degree}{[(m.name, m.relation, m.expr, m.scale) for m in measures]}{alone if len(alone) > 1 else ''}"
 
     def part(self, relations: set[str]) -> str:
         own = [m for m in self.measures if m.relation in relations] if self.degree else []
-        return f"moment{self.degree}{[(m.name, m.relation, m.expr, m.scale) for m in own]}" if own else "count"
+        return self._definition(own) if own else "count"
 
     def _pairs(self):
-        ms = self.measures
-        return [(ms[i], ms[j]) for i in range(len(ms)) for j in range(i, len(ms))] if self.degree > 1 else []
+        ms, n = self.measures, len(self.measures) if self.degree > 1 else 0
+        return [(ms[i], ms[j]) for i in range(n) for j in range(i, n) if i == j or not {ms[i].name, ms[j].name} <= self.alone]
 
     def lift(self, relation: str) -> Ann | None:
         own = [m for m in self.measures if m.relation == relation]
@@ -117,6 +128,9 @@ class MomentRing(Semiring):
     def one(self) -> Ann:
         return {"__c": F.lit(1).cast("long")}
 
+    def absent(self, names: list[str]) -> Ann:
+        return {n: F.lit(int(n == "__c")) for n in names}
+
     @staticmethod
     def _mul(x: Column, y: Column, *ms: Measure) -> Column:
         return (x * y).cast("double" if any(m.scale is None for m in ms) else WIDE)
@@ -222,12 +236,13 @@ def var_ring(m: Measure) -> MomentRing:
     return MomentRing((m,), 2, (("var", f"var_{m.name}", (m.name,)), ("stddev", f"sd_{m.name}", (m.name,))))
 
 
-def gram_ring(measures: list[Measure]) -> MomentRing:
-    """Count, sums and all sums of products: what linear regression needs."""
-    names = [m.name for m in measures]
-    pairs = [(a, b) for i, a in enumerate(names) for b in names[i:]]
-    shows = (("count", "cnt", ()), *[("sum", f"s_{n}", (n,)) for n in names], *[("cross", f"q_{a}_{b}", (a, b)) for a, b in pairs])
-    return MomentRing(tuple(measures), 2, shows)
+def gram_ring(measures: list[Measure], alone=()) -> MomentRing:
+    """Count, sums and all sums of products: what linear regression needs.  Measures named in ``alone`` get
+    no products among each other."""
+    alone = frozenset(alone)
+    pairs = [(a.name, b.name) for a, b in MomentRing(tuple(measures), 2, (), alone)._pairs()]
+    shows = (("count", "cnt", ()), *[("sum", f"s_{m.name}", (m.name,)) for m in measures], *[("cross", f"q_{a}_{b}", (a, b)) for a, b in pairs])
+    return MomentRing(tuple(measures), 2, shows, alone)
 
 
 def multi_ring(shows: list[tuple[str, str, Measure]]) -> MomentRing:
@@ -274,6 +289,9 @@ class TermsRing(Semiring):
     def one(self) -> Ann:
         return {"__c": F.lit(1).cast("long")}
 
+    def absent(self, names: list[str]) -> Ann:
+        return {n: F.lit(int(n == "__c")) for n in names}
+
     def times(self, a: Ann, b: Ann) -> Ann:
         out = {"__c": a["__c"] * b["__c"]}
         for k in {*a, *b} - {"__c"}:

@@ -8,13 +8,15 @@ from dataclasses import dataclass
 
 import numpy as np
 from pyspark.sql import DataFrame, Row
+from pyspark.sql import functions as F
 
-from joindash.functions.semiring import Measure, gram_ring
+from joindash.functions.semiring import Measure, MomentRing, gram_ring
 from joindash.plans.baselines import wide_join
 from joindash.plans.calibrate import calibrate
 from joindash.plans.graph import JoinGraph, Relation
 from joindash.plans.messages import Engine, Trace
 from joindash.plans.query import SpjaQuery, bind
+from joindash.runtime import new_path
 
 
 @dataclass
@@ -69,7 +71,7 @@ class Augmenter:
     def _with(self, table: Relation, column: str, scale: int | None):
         tree = self.engine.tree.attach(table)
         engine = Engine(self.engine.spark, tree, self.engine.store, self.engine.elide)
-        engine._rows = self.engine._rows
+        engine._rows = dict(self.engine._rows)
         new = Measure(column, table.name, column, scale)
         return engine, SpjaQuery(gram_ring([*self.features, self.target, new])), new
 
@@ -86,15 +88,91 @@ class Augmenter:
     def evaluate(self, table: Relation, column: str = "v", scale: int | None = 3, trace: Trace | None = None) -> Fit:
         return solve(self.gram(table, column, scale, trace).first(), [*[m.name for m in self.features], column], self.target.name)
 
+    def evaluate_all(self, tables: list[Relation], scale: int | None = 3, trace: Trace | None = None) -> list[Fit]:
+        """Every table (key, v) on its own, in one absorption for each key: candidates of a key stand side by
+        side in one small table beside the key's message, and get no products among each other.
+
+        Each key's table has a row for every key that any candidate holds; a candidate's own rows decide
+        its own fit, so tables that lack keys, or repeat them, are taken by themselves."""
+        groups: dict[frozenset[str], list[Relation]] = {}
+        for t in tables:
+            groups.setdefault(t.attrs - {"v"}, []).append(t)
+        fits: dict[str, Fit] = {}
+        for key, group in groups.items():
+            joint, alone = self._side_by_side(sorted(key), group)
+            for t in alone:
+                fits[t.name] = self.evaluate(t, "v", scale, trace)
+            if joint is None:
+                continue
+            engine, query, cols = self._with_all(joint, [t.name for t in group if t not in alone], scale)
+            bound = bind(engine.tree, query, joint.name)
+            host = engine.tree.neighbours(joint.name)[0]
+            trace = trace if trace is not None else Trace()
+            engine.message(bound, host, joint.name, trace, keep=True)
+            row = engine.absorb(bound, joint.name, trace).first()
+            for c in cols:
+                fits[c] = solve(row, [*[m.name for m in self.features], c], self.target.name)
+        return [fits[t.name] for t in tables]
+
+    def _side_by_side(self, key: list[str], group: list[Relation]) -> tuple[Relation | None, list[Relation]]:
+        """(candidates of one key as one stored table, those that have to be taken by themselves)."""
+        full = [t for t in group if frozenset(key) in t.unique]
+        if len(full) < 2:
+            return None, group
+        names = [t.name for t in full]
+        rows = None
+        for t in full:
+            part = t.df.select(*key, F.lit(t.name).alias("name"), F.col("v").cast("double").alias("v"))
+            rows = part if rows is None else rows.unionByName(part)
+        wide = rows.groupBy(*key).pivot("name", names).agg(F.first("v"))
+        path = new_path(self.engine.spark, "candidates")
+        wide.write.parquet(path)
+        wide = self.engine.spark.read.schema(wide.schema).parquet(path)
+        counts = wide.agg(F.count(F.lit(1)).alias("n"), *[F.count(c).alias(c) for c in names]).first()
+        partial = {c for c in names if counts[c] < counts["n"]}
+        if partial:
+            wide = wide.drop(*partial)
+        alone = [t for t in group if t not in full or t.name in partial]
+        return (Relation(f"candidates_{'_'.join(key)}", wide, (frozenset(key),)), alone) if len(partial) < len(names) else (None, group)
+
+    def _with_all(self, table: Relation, columns: list[str], scale: int | None):
+        tree = self.engine.tree.attach(table)
+        engine = Engine(self.engine.spark, tree, self.engine.store, self.engine.elide)
+        engine._rows = dict(self.engine._rows)
+        new = [Measure(c, table.name, c, scale) for c in columns]
+        return engine, SpjaQuery(gram_ring([*self.features, self.target, *new], alone=columns)), columns
+
     def rank(self, tables: list[Relation]) -> list[tuple[str, float, float, float]]:
-        """(table, R², gain over the base, cumulative seconds), best first; duplicates in a key multiply rows."""
+        """(table, R², gain over the base, cumulative seconds), best first; duplicates in a key multiply rows.
+
+        Tables of one key are fitted by one job, so they share its end as their time."""
         base, began, out = self.base(), time.perf_counter(), []
-        for t in tables:
-            f = self.evaluate(t)
-            out.append((t.name, f.r2, f.r2 - base.r2, time.perf_counter() - began))
+        for key in dict.fromkeys(t.attrs for t in tables):
+            group = [t for t in tables if t.attrs == key]
+            fits = self.evaluate_all(group)
+            took = time.perf_counter() - began
+            out += [(t.name, f.r2, f.r2 - base.r2, took) for t, f in zip(group, fits, strict=True)]
         return sorted(out, key=lambda r: (-r[1], r[0]))
 
 
+def sparse_block(engine: Engine, measures: list[Measure], categories: list[str], scale_alias: str = "s") -> DataFrame:
+    """Count and sums per value of each categorical feature and per pair of values of two of them.
+
+    This is the part of the Gram matrix (and of a factorisation machine's pairwise moments) that belongs to
+    categorical features, with only the values and pairs that occur: each feature is a carried group
+    attribute instead of one column per value.  Rows: (feature_a, value_a, feature_b, value_b, cnt, sums);
+    a feature with itself is the diagonal."""
+    ring = MomentRing(tuple(measures), 1, (("count", "cnt", ()), *[("sum", f"{scale_alias}_{m.name}", (m.name,)) for m in measures]))
+    out = None
+    for i, a in enumerate(categories):
+        for b in categories[i:]:
+            rows = engine.factorized(SpjaQuery(ring, (a,) if a == b else (a, b)))
+            sums = [c for c in rows.columns if c not in (a, b)]
+            rows = rows.select(F.lit(a).alias("feature_a"), F.col(a).cast("string").alias("value_a"), F.lit(b).alias("feature_b"), F.col(b).cast("string").alias("value_b"), *sums)
+            out = rows if out is None else out.unionByName(rows)
+    return out
+
+
 def train_factorized(aug: Augmenter, table: Relation, column: str = "v", scale: int | None = 3) -> Fit:
     """One training from the base tables, nothing shared: the baseline for each augmentation."""
     engine, query, _ = aug._with(table, column, scale)

@@ -7,6 +7,7 @@ import time
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from joindash.operators.joins import cross, theta
 from joindash.plans.graph import JoinGraph, JoinTree
 from joindash.plans.messages import Engine, Trace
 from joindash.plans.planner import answer
@@ -14,9 +15,10 @@ from joindash.plans.query import SpjaQuery, attributes_in, bind
 
 
 def wide_join(graph: JoinGraph, exclude=frozenset(), versions=(), ring=None) -> tuple[DataFrame, list[str]]:
-    """The natural join of all relations, connected ones in a row; lifted columns ride along."""
+    """The join of all relations, connected ones in a row; lifted columns ride along."""
     todo = [n for n in graph.relations if n not in exclude]
-    version = dict(versions)
+    version, done = dict(versions), set(todo[:1])
+    compared = lambda n: next((c for p, c in graph.conditions.items() if n in p and p - {n} <= done), None)
 
     def rows(n: str):
         df = graph.relations[n].at(version.get(n, 0))
@@ -25,14 +27,24 @@ def wide_join(graph: JoinGraph, exclude=frozenset(), versions=(), ring=None) ->
 
     df, names = rows(todo.pop(0))
     while todo:
-        n = next((n for n in todo if set(graph.relations[n].df.columns) & set(df.columns)), todo[0])
+        inner = [n for n in todo if not any(b == n for _, b in graph.optional)] or todo
+        n = next((n for n in inner if set(graph.relations[n].df.columns) & set(df.columns) or compared(n)), inner[0])
         todo.remove(n)
         right, more = rows(n)
         for k in more:
             if k in names:
                 right = right.withColumnRenamed(k, f"{k}__r")
         on = sorted(c for c in set(right.columns) & set(df.columns) if not c.startswith("__"))
-        df = df.join(right, on) if on else df.crossJoin(right)
+        if condition := compared(n):
+            df = df.join(right, on).filter(F.expr(condition.expr)) if on else theta(df, right, F.expr(condition.expr))
+        elif any(b == n and a in done for a, b in graph.optional):
+            absent = ring.absent(more) if ring else {}
+            df = df.join(right, on, "left")
+            here = {f"{k}__r" if k in names else k: k for k in more}
+            df = df.select(*[F.coalesce(c, absent[here[c]]).alias(c) if here.get(c) in absent else F.col(c) for c in df.columns])
+        else:
+            df = df.join(right, on) if on else cross(df, right)
+        done.add(n)
         if ring and names and more:
             x, y = {k: F.col(k) for k in names}, {k: F.col(f"{k}__r" if k in names else k) for k in more}
             product = ring.times(x, y)

@@ -5,18 +5,21 @@ from __future__ import annotations
 import threading
 import time
 import uuid
+from dataclasses import replace
 
 from pyspark import InheritableThread
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from joindash.plans.graph import Relation
 from joindash.plans.messages import Engine, Trace
 from joindash.plans.planner import message_cost, plan_cost
 from joindash.plans.query import Bound
+from joindash.runtime import new_path
 
 
 def default_root(engine: Engine, bound: Bound) -> str:
-    live = [b for b in sorted(bound.tree.bags) if bound.active(b)]
+    live = [b for b in sorted(bound.tree.bags) if bound.active(b) and b not in bound.tree.optional_bags()]
     return min(live, key=lambda b: (plan_cost(engine, bound, b), b))
 
 
@@ -24,7 +27,8 @@ def ordered_edges(engine: Engine, bound: Bound, root: str, policy: str = "tree")
     """All directed edges, each after those it needs.  'tree': toward the root, then away from it;
     'cheap': always the cheapest whose inputs are ready; 'useful': first what leads into small bags."""
     up = bound.tree.toward(root)
-    every = [*up, *[(v, u) for u, v in reversed(up)]]
+    outer = bound.tree.optional_bags()  # nothing flows into the outer side of an outer join
+    every = [*up, *[(v, u) for u, v in reversed(up) if u not in outer]]
     if policy == "tree":
         return every
     done, out = set(), []
@@ -133,17 +137,26 @@ class Calibrator:
         self.thread = None
 
 
-def append_rows(engine: Engine, relation: str, delta: DataFrame, bounds: list[Bound]) -> int:
+def appended_version(rel: Relation, paths: list[str]) -> DataFrame:
+    """The relation's rows with those of all appended files: one more scan, however many batches there were."""
+    return rel.df.unionByName(rel.df.sparkSession.read.schema(rel.df.schema).parquet(*paths))
+
+
+def append_rows(engine: Engine, relation: str, delta: DataFrame, bounds: list[Bound], path: str | None = None) -> int:
     """A version of the relation with rows appended, and its messages as old message + message over the new
-    rows alone; returns the version.  For rings whose sums merge (all of ours do under union)."""
+    rows alone; returns the version.  For rings whose sums merge (all of ours do under union).
+
+    The new rows are written first, to ``path`` where one is given, so that no later step depends on how
+    they arrived; writing the same path again replaces them."""
     rel = engine.tree.graph.relations[relation]
+    spark, path = engine.spark, path or new_path(engine.spark, "append")
+    delta.select(rel.df.columns).write.mode("overwrite").parquet(path)
     base_version = max(rel.versions, default=0)
-    base = rel.at(base_version)
-    only = rel.add_version(delta.select(base.columns))
-    full = rel.add_version(base.unionByName(delta.select(base.columns)))
+    before = [p for p in rel.appended if p != path]
+    only = rel.add_version(spark.read.schema(rel.df.schema).parquet(path))
+    rel.appended = [*before, path]
+    full = rel.add_version(appended_version(rel, rel.appended))
     for bound in bounds:
-        from dataclasses import replace
-
         at = lambda n, bound=bound: replace(bound, versions=tuple(sorted({**dict(bound.versions), relation: n}.items())), memo={})
         old, new, part = at(base_version), at(full), at(only)
         bag = bound.tree.mapping[relation]
@@ -154,5 +167,5 @@ def append_rows(engine: Engine, relation: str, delta: DataFrame, bounds: list[Bo
                 keys = list(bound.keys(u, v))
                 both = a.unionByName(m[0], allowMissingColumns=True)
                 df, _ = engine._add_up(bound, both, [c for c in a.columns if c.startswith("__")], keys)
-                engine.store.put(new.fingerprint(u, v, engine.elide), df)
+                engine.store.put(new.fingerprint(u, v, engine.elide), df, tuple(sorted(bound.tree.separator(u, v) & set(keys))))
     return full

@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+import hashlib
+import re
+import uuid
 from dataclasses import dataclass, field
 from itertools import combinations
 
@@ -22,6 +25,8 @@ class Relation:
 
     ``unique``: attribute sets that are keys.  ``versions`` keep the schema; version 0 is ``df``.
     ``sql``: a SELECT that gives the same rows on the raw tables, for the naive SQL text.
+    ``ident``: names the contents.  Equal idents mean equal rows, in this process and in others, so give
+    one only where it is derived from the data's place and state; otherwise every relation has its own.
     """
 
     name: str
@@ -30,6 +35,9 @@ class Relation:
     sql: str = ""
     versions: dict[int, DataFrame] = field(default_factory=dict)
     version_sql: dict[int, str] = field(default_factory=dict)
+    ident: str = field(default_factory=lambda: uuid.uuid4().hex)
+    version_ident: dict[int, str] = field(default_factory=dict)
+    appended: list[str] = field(default_factory=list)  # files whose rows the last version has beside ``df``
 
     @property
     def attrs(self) -> frozenset[str]:
@@ -38,21 +46,48 @@ class Relation:
     def at(self, version: int) -> DataFrame:
         return self.versions[version] if version else self.df
 
-    def add_version(self, df: DataFrame, sql: str = "") -> int:
+    def identity(self, version: int) -> str:
+        return self.version_ident[version] if version else self.ident
+
+    def add_version(self, df: DataFrame, sql: str = "", ident: str | None = None) -> int:
         if df.schema.names != self.df.schema.names:
             raise InvalidTree(f"a version of {self.name} keeps its columns")
         n = max(self.versions, default=0) + 1
         self.versions[n], self.version_sql[n] = df, sql
+        self.version_ident[n] = ident or uuid.uuid4().hex
         return n
 
 
+def content_ident(*parts: str) -> str:
+    return hashlib.sha256("\x00".join(parts).encode()).hexdigest()[:32]
+
+
+@dataclass(frozen=True)
+class Condition:
+    """A join condition other than equal names.  With ``width``, it is low <= value < high, and both sides
+    are dealt to bins of that width first; without, one side must be small enough for a nested loop."""
+
+    expr: str
+    value: str = ""
+    low: str = ""
+    high: str = ""
+    width: float = 0.0
+
+    @staticmethod
+    def between(value: str, low: str, high: str, width: float) -> Condition:
+        return Condition(f"{value} >= {low} AND {value} < {high}", value, low, high, width)
+
+
 @dataclass
 class JoinGraph:
     """``complete``: (many, one) pairs of relations whose foreign keys all resolve; with a key on the one
-    side, such a side does not change a count.  ``edges`` restrict the conditions to named pairs."""
+    side, such a side does not change a count.  ``conditions``: by pair of bags, conditions beyond equal
+    names.  ``optional``: (bag, bag) pairs of outer joins, rows of the first stay without the second."""
 
     relations: dict[str, Relation]
     complete: frozenset[tuple[str, str]] = frozenset()
+    conditions: dict[frozenset[str], Condition] = field(default_factory=dict)
+    optional: frozenset[tuple[str, str]] = frozenset()
 
     @staticmethod
     def of(*relations: Relation, complete=()) -> JoinGraph:
@@ -60,7 +95,9 @@ class JoinGraph:
 
     def only(self, names) -> JoinGraph:
         names = set(names)
-        return JoinGraph({k: v for k, v in self.relations.items() if k in names}, frozenset(p for p in self.complete if names >= set(p)))
+        pairs = lambda ps: frozenset(p for p in ps if names >= set(p))
+        conditions = {p: c for p, c in self.conditions.items() if names >= p}
+        return JoinGraph({k: v for k, v in self.relations.items() if k in names}, pairs(self.complete), conditions, pairs(self.optional))
 
     def shared(self, a: str, b: str) -> frozenset[str]:
         return self.relations[a].attrs & self.relations[b].attrs
@@ -249,6 +286,10 @@ class JoinTree:
             out.append(back[out[-1]])
         return out[::-1]
 
+    def optional_bags(self) -> frozenset[str]:
+        """Bags on the outer side of an outer join: no query can be read there."""
+        return frozenset().union(*[self.upstream(b, a) for a, b in self.graph.optional if a in self.bags and b in self.bags])
+
     def steiner(self, terminals) -> frozenset[str]:
         """The least subtree that holds all terminals: the union of paths between them."""
         terminals = sorted(terminals)
@@ -316,15 +357,24 @@ class JoinTree:
         tree.validate()
         return tree
 
-    def attach(self, relation: Relation) -> JoinTree:
-        """A new relation as a bag of its own, beside one bag that holds all it shares."""
+    def attach(self, relation: Relation, condition: Condition | None = None, optional: bool = False) -> JoinTree:
+        """A new relation as a bag of its own, beside one bag that holds all it shares or is compared with.
+
+        ``optional``: rows of the bag beside it stay where the relation has none for them (an outer join);
+        a filter on the relation then holds before the join."""
         covered = frozenset().union(*self.bags.values())
         shared = relation.attrs & covered
+        if condition:
+            words = frozenset(re.findall(r"[A-Za-z_]\w*", re.sub(r"'(?:[^']|'')*'", "", condition.expr)))
+            shared |= words & covered - relation.attrs
         hosts = self.holders(shared)
         if not shared or not hosts:
             raise InvalidTree(f"{relation.name} shares attributes with no single bag")
         host = min(hosts, key=lambda b: (len(self.bags[b]), b))
-        graph = JoinGraph(self.graph.relations | {relation.name: relation}, self.graph.complete)
+        pair = {frozenset((relation.name, host)): condition} if condition else {}
+        outer = {(host, relation.name)} if optional else set()
+        old = self.graph
+        graph = JoinGraph(old.relations | {relation.name: relation}, old.complete, old.conditions | pair, old.optional | outer)
         tree = JoinTree(self.bags | {relation.name: relation.attrs}, self.links | {frozenset((relation.name, host))}, self.mapping | {relation.name: relation.name}, graph)
         tree.validate()
         return tree

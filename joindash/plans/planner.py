@@ -40,7 +40,8 @@ def plan_cost(engine: Engine, bound: Bound, root: str, within: frozenset[str] |
 
 def plan_single(engine: Engine, query: SpjaQuery) -> str:
     """The root with the least cost, every bag tried."""
-    roots = [b for b in sorted(engine.tree.bags) if any(r not in query.exclude for r in engine.tree.mapped(b))]
+    outer = engine.tree.optional_bags()
+    roots = [b for b in sorted(engine.tree.bags) if b not in outer and any(r not in query.exclude for r in engine.tree.mapped(b))]
     return min(roots, key=lambda r: (plan_cost(engine, bind(engine.tree, query, r), r), r))
 
 
@@ -166,11 +167,15 @@ def plan_reuse(engine: Engine, pivot: Bound, query: SpjaQuery, policy: str = "re
         movable = shrink(engine, pivot, query, movable)
     bound, bags = _bound(pivot, query, movable), diff_bags(pivot, query, movable)
     if not bags:  # nothing differs: any bag answers, the least is read
-        live = [b for b in pivot.tree.bags if bound.active(b) and frozenset(query.group) <= pivot.tree.bags[b] | _reaching(bound, b)]
+        live = [b for b in pivot.tree.bags if bound.active(b) and b not in pivot.tree.optional_bags() and frozenset(query.group) <= pivot.tree.bags[b] | _reaching(bound, b)]
         root = min(live, key=lambda b: (engine.bag_rows(b), b))
         return ReusePlan(bound, root, frozenset({root}), bags)
     subtree = pivot.tree.steiner(bags)
-    roots = [b for b in sorted(subtree) if bound.active(b) or not pivot.tree.mapped(b)]
+    outer = pivot.tree.optional_bags()
+    if subtree <= outer:  # only an outer side differs: it is read where its rows are kept
+        subtree |= {a for a, b in pivot.tree.graph.optional if b in pivot.tree.bags and subtree <= pivot.tree.upstream(b, a)}
+        subtree = pivot.tree.steiner(subtree)
+    roots = [b for b in sorted(subtree - outer) if bound.active(b) or not pivot.tree.mapped(b)]
     if not roots:  # only bags whose relations are gone differ: absorb beside them
         roots = sorted({w for b in subtree for w in pivot.tree.neighbours(b)} - subtree)
         subtree |= frozenset(roots[:1])

@@ -111,7 +111,12 @@ class Bound:
         """Separator attributes that a relation upstream supplies, and carried group attributes."""
         rels = [r for b in self.tree.upstream(u, v) for r in self.active(b)]
         supplied = frozenset().union(*[self.tree.graph.relations[r].attrs for r in rels]) if rels else frozenset()
-        return tuple(sorted((self.tree.separator(u, v) & supplied) | self.carried(u, v)))
+        return tuple(sorted((self.tree.separator(u, v) & supplied) | self.carried(u, v) | self.compared(u, v)))
+
+    def compared(self, u: str, v: str) -> frozenset[str]:
+        """Attributes of ``u`` that a condition on the edge reads."""
+        condition = self.tree.graph.conditions.get(frozenset((u, v)))
+        return attributes_in(condition.expr, self.tree.bags[u]) if condition else frozenset()
 
     def is_one(self, u: str, v: str, elide: bool = True) -> bool:
         """Whether the message u → v multiplies every matching row by one, so that it can be left out.
@@ -137,6 +142,8 @@ class Bound:
         rel, others = self.tree.graph.relations[rels[0]], self.active(v) if v in self.tree.bags else []
         sep = self.tree.separator(u, v)
         unique = any(k <= sep for k in rel.unique)
+        if unique and (v, u) in self.tree.graph.optional:
+            return True
         return unique and any((o, rel.name) in self.tree.graph.complete for o in others)
 
     def fingerprint(self, u: str, v: str, elide: bool = True) -> str:
@@ -145,15 +152,20 @@ class Bound:
         if key not in self.memo:
             up = self.tree.upstream(u, v)
             spec = {
-                "relations": [(r, self.version(r)) for r in self.active(u)],
+                "relations": [(r, self.tree.graph.relations[r].identity(self.version(r))) for r in self.active(u)],
                 "predicates": self.predicates(u),
                 "keys": self.keys(u, v),
                 "ring": self.ring.part({r for b in up for r in self.active(b)}),
-                "children": sorted("1" if self.is_one(w, u, elide) else self.fingerprint(w, u, elide) for w in self.tree.neighbours(u) if w != v),
+                "children": sorted(self._edge(w, u) + ("1" if self.is_one(w, u, elide) else self.fingerprint(w, u, elide)) for w in self.tree.neighbours(u) if w != v),
             }
             self.memo[key] = hashlib.sha256(json.dumps(spec, sort_keys=True).encode()).hexdigest()
         return self.memo[key]
 
+    def _edge(self, w: str, u: str) -> str:
+        """How the message w → u is joined, where it is not by equal names."""
+        condition = self.tree.graph.conditions.get(frozenset((w, u)))
+        return (f"if {condition.expr} " if condition else "") + ("outer " if (u, w) in self.tree.graph.optional else "")
+
 
 def check_exclusion(tree: JoinTree, relation: str, excluded: frozenset[str], annotated: set[str]) -> None:
     """A relation may go if its bag keeps another relation that covers the bag's links, or if its bag is

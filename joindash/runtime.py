@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 import tempfile
 import uuid
 from pathlib import Path
@@ -9,12 +10,24 @@ from pathlib import Path
 from pyspark.sql import DataFrame, SparkSession
 
 
+_own: dict[str, str] = {}
+
+
 def shared_dir(spark: SparkSession) -> str:
-    """The folder all executors share; one of our own only where the session names none."""
+    """The folder that the driver and all executors share, from the session's ``spark.checkpoint.dir``.
+
+    Where none is named, a session whose executors are threads of the driver gets a folder of its own;
+    on a cluster that would be another disk on each machine, so it is refused there.
+    """
     sc = spark.sparkContext
-    if sc.getCheckpointDir() is None:
-        sc.setCheckpointDir(sc.getConf().get("spark.checkpoint.dir") or tempfile.mkdtemp(prefix="joindash-"))
-    return sc.getCheckpointDir()
+    named = sc.getCheckpointDir() or sc.getConf().get("spark.checkpoint.dir")
+    if named:
+        return named
+    if not re.fullmatch(r"local(\[[^\]]*\])?", sc.master):
+        raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+    if sc.applicationId not in _own:
+        _own[sc.applicationId] = tempfile.mkdtemp(prefix="joindash-")
+    return _own[sc.applicationId]
 
 
 def new_path(spark: SparkSession, kind: str) -> str:
@@ -30,6 +43,19 @@ def remove_path(spark: SparkSession, path: str) -> None:
     hadoop.getFileSystem(spark._jsc.hadoopConfiguration()).delete(hadoop, True)
 
 
+def path_exists(spark: SparkSession, path: str) -> bool:
+    hadoop = spark._jvm.org.apache.hadoop.fs.Path(path)
+    return hadoop.getFileSystem(spark._jsc.hadoopConfiguration()).exists(hadoop)
+
+
+def snapshot(spark: SparkSession, path: str) -> str:
+    """Place and state of a file or folder: any rewrite changes it."""
+    hadoop = spark._jvm.org.apache.hadoop.fs.Path(path)
+    files = hadoop.getFileSystem(spark._jsc.hadoopConfiguration())
+    status, content = files.getFileStatus(hadoop), files.getContentSummary(hadoop)
+    return f"{status.getPath()} {status.getModificationTime()} {content.getLength()} {content.getFileCount()}"
+
+
 def path_bytes(spark: SparkSession, path: str) -> int:
     hadoop = spark._jvm.org.apache.hadoop.fs.Path(path)
     return hadoop.getFileSystem(spark._jsc.hadoopConfiguration()).getContentSummary(hadoop).getLength()

@@ -6,7 +6,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from joindash.plans.graph import JoinGraph, Relation
+from joindash.plans.graph import JoinGraph, Relation, content_ident
+from joindash.runtime import snapshot
 
 #: relation -> (table, [(expression, canonical name)], key, distinct)
 LAYOUT: dict[str, tuple[str, list[tuple[str, str]], tuple[str, ...], bool]] = {
@@ -45,7 +46,13 @@ def relation(spark: SparkSession, sf_dir: str, name: str) -> Relation:
     items = [e if e == a else f"{e} AS {a}" for e, a in cols]
     df = read_table(spark, sf_dir, table).selectExpr(*items)
     df = df.distinct() if distinct else df
-    return Relation(name, df, (frozenset(key),) if key else (), f"SELECT {'DISTINCT ' if distinct else ''}{', '.join(items)} FROM {table}")
+    sql = f"SELECT {'DISTINCT ' if distinct else ''}{', '.join(items)} FROM {table}"
+    return Relation(name, df, (frozenset(key),) if key else (), sql, ident=table_ident(spark, sf_dir, sql, table))
+
+
+def table_ident(spark: SparkSession, sf_dir: str, sql: str, *names: str) -> str:
+    """The contents of a SELECT over tables, by the tables' place and state."""
+    return content_ident(sql, *[snapshot(spark, f"{sf_dir}/{n}.parquet") for n in names])
 
 
 def graph(spark: SparkSession, sf_dir: str, names: list[str]) -> JoinGraph:

@@ -10,10 +10,10 @@ from pyspark.sql import functions as F
 from pyspark.sql.streaming import StreamingQuery
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
-from joindash.plans.calibrate import append_rows
+from joindash.plans.calibrate import append_rows, appended_version
 from joindash.plans.messages import Engine
 from joindash.plans.query import Bound
-from joindash.runtime import importable, new_path
+from joindash.runtime import importable, new_path, path_exists
 
 
 def stream_table(spark: SparkSession, path: str, files_per_trigger: int | None = None) -> DataFrame:
@@ -56,16 +56,17 @@ def paired(left: DataFrame, right: DataFrame, key: str, left_time: str, right_ti
     return a.join(b, F.expr(f"{key} = right_{key} AND {right_time} >= {left_time} AND {right_time} <= {left_time} + interval {within}"))
 
 
-def latest_per_key(df: DataFrame, key: str, value: str) -> DataFrame:
-    """The current interaction of each session: state holds the last value and the number of changes."""
+def latest_per_key(df: DataFrame, key: str, value: str, order: list[str]) -> DataFrame:
+    """The current interaction of each session: state holds the last value and the number of changes.
+
+    ``order``: columns by which a batch's rows of one session follow each other."""
     importable(df.sparkSession)
 
     def update(k: tuple, frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
         last, n = state.get if state.exists else ("", 0)
-        for frame in frames:
-            for v in frame[value]:
-                n += int(v != last)
-                last = v
+        for v in pd.concat(list(frames)).sort_values(order, kind="stable")[value]:
+            n += int(v != last)
+            last = v
         state.update((last, n))
         yield pd.DataFrame({key: [k[0]], "latest": [last], "changes": [n]})
 
@@ -81,18 +82,31 @@ def drained(df: DataFrame, name: str, mode: str = "append") -> DataFrame:
     return spark.table(name)
 
 
-def maintain(engine: Engine, stream: DataFrame, relation: str, bounds: list[Bound], versions: list[int]) -> StreamingQuery:
-    """Append each micro-batch to a relation and bring its messages up to date; a batch that is replayed
-    after a failure is applied once."""
-    done: set[int] = set()
+def maintain(engine: Engine, stream: DataFrame, relation: str, bounds: list[Bound], versions: list[int], folder: str | None = None) -> StreamingQuery:
+    """Append each micro-batch to a relation and bring its messages up to date.
+
+    ``folder``, shared and kept over restarts, holds the stream's checkpoint and one file of rows per batch.
+    A batch that is replayed after a failure writes the same file again, so its rows count once; a process
+    that starts anew first takes up the batches that earlier ones appended."""
+    spark, folder = engine.spark, folder or new_path(engine.spark, "stream")
+    rel = engine.tree.graph.relations[relation]
+    of = lambda batch_id: f"{folder}/batch-{batch_id}"
+    last = last_batch(spark, folder)
+    earlier = [of(i) for i in range(last + 1) if of(i) not in rel.appended and path_exists(spark, of(i))]
+    if earlier:
+        rel.appended += earlier
+        versions.append(rel.add_version(appended_version(rel, rel.appended)))
 
     def apply(batch: DataFrame, batch_id: int) -> None:
-        if batch_id in done or batch.isEmpty():
+        if of(batch_id) in rel.appended:  # replayed: its rows are there
             return
-        columns = engine.tree.graph.relations[relation].df.columns
-        kept = batch.select(columns).persist()
-        kept.count()
-        versions.append(append_rows(engine, relation, kept, bounds))
-        done.add(batch_id)
+        versions.append(append_rows(engine, relation, batch, bounds, of(batch_id)))
+
+    return stream.writeStream.foreachBatch(apply).option("checkpointLocation", f"{folder}/checkpoint").trigger(availableNow=True).start()
+
 
-    return stream.writeStream.foreachBatch(apply).option("checkpointLocation", new_path(engine.spark, "stream")).trigger(availableNow=True).start()
+def last_batch(spark: SparkSession, folder: str) -> int:
+    """The greatest batch that has a complete file in the folder, or -1."""
+    pattern = spark._jvm.org.apache.hadoop.fs.Path(f"{folder}/batch-*/_SUCCESS")
+    found = pattern.getFileSystem(spark._jsc.hadoopConfiguration()).globStatus(pattern)
+    return max((int(f.getPath().getParent().getName()[6:]) for f in found or []), default=-1)

@@ -20,7 +20,7 @@ from joindash.plans.baselines import naive_sql
 from joindash.plans.graph import JoinGraph, JoinTree, Relation
 from joindash.plans.messages import Engine
 from joindash.plans.query import SpjaQuery
-from joindash.plans.session import Dashboard, Session
+from joindash.plans.session import Answer, Dashboard, Session
 from joindash.plans.store import MessageStore
 from joindash.sources import tables
 from joindash.sources.tables import STAR
@@ -230,7 +230,17 @@ def shown(spark: SparkSession, sf_dir: str, name: str, chart: str) -> DataFrame:
 def interaction(spark: SparkSession, sf_dir: str, name: str, chart: str, step: int, online: bool = True, calibrated: int | None = None) -> DataFrame:
     """The answer after ``step`` interactions, each from its pivot.  ``calibrated`` bounds the messages
     stored in think-time (None: all)."""
-    w, d = WORKLOADS[name], board(spark, sf_dir, name)
+    return _interact(board(spark, sf_dir, name), name, chart, step, online, calibrated).rows
+
+
+def fresh_interaction(spark: SparkSession, sf_dir: str, name: str, chart: str, step: int, online: bool = True, calibrated: int | None = None) -> Answer:
+    """The same on a dashboard and a store of its own, so that nothing but this session's calibration is
+    reused; the answer's trace says what was."""
+    return _interact(board(spark, sf_dir, name, fresh=True), name, chart, step, online, calibrated)
+
+
+def _interact(d: Dashboard, name: str, chart: str, step: int, online: bool, calibrated: int | None) -> Answer:
+    w = WORKLOADS[name]
     d.calibrate_offline([chart])
     s = Session(d, online=online)
     todo = [w.query(chart, step)] if w.each else [w.query(chart, k) for k in range(1, step + 1)]
@@ -238,7 +248,7 @@ def interaction(spark: SparkSession, sf_dir: str, name: str, chart: str, step: i
         a = s.interact(chart, query=q)
         if online and k + 1 < len(todo):
             s.calibrate_online(chart, limit=calibrated)
-    return a.rows
+    return a
 
 
 def sql(name: str, chart: str, step: int) -> str:

@@ -13,7 +13,7 @@ from joindash.operators import aggs, joins
 from joindash.plans import baselines as base
 from joindash.plans import calibrate as cal
 from joindash.plans import measure
-from joindash.plans.graph import JoinTree, ear_removal
+from joindash.plans.graph import Condition, JoinGraph, JoinTree, Relation, ear_removal
 from joindash.plans.messages import Engine, Trace
 from joindash.plans.planner import answer
 from joindash.plans.query import SpjaQuery, bind
@@ -23,6 +23,11 @@ from joindash.sources import tables
 from joindash.workloads import dashboards, regression, toys
 from joindash.workloads.dashboards import PRICE, QUANTITY, REVENUE, WORKLOADS, board, interaction, naive_sql, shown
 
+#: messages that an interaction computes anew after so many messages of think-time; and by strategy, with
+#: whether the fact is read: fixed by the shape of the join tree
+SENSITIVITY = {0: 2, 1: 2, 2: 2, 3: 2, 5: 0, 8: 0}
+CASE_STUDY = {"factorized": (4, True), "offline": (2, True), "online": (0, False)}
+
 Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
 SQL: dict[str, str] = {}
@@ -83,7 +88,17 @@ def _exists(spark: SparkSession, d: str) -> DataFrame:
 
 
 add("ring_exists", _exists, naive_sql(dashboards._shape(WORKLOADS["flight"]), SpjaQuery(ExistsRing(), ("p_type", "r_name_c"), ("l_returnflag = 'R'", "l_quantity > 49"))))
-add("ring_approx_distinct", lambda s, d: single(board(s, d, "flight").engine, SpjaQuery(SketchRing("lineitem", "partkey"), ("r_name_s",))))
+
+
+def _sketched(spark: SparkSession, d: str) -> DataFrame:
+    """Whether the sketches stay within five of their standard errors (0.8 %) of the exact counts."""
+    e = board(spark, d, "flight").engine
+    exact = single(e, SpjaQuery(ExistsRing(), ("r_name_s", "partkey"))).groupBy("r_name_s").agg(F.count(F.lit(1)).alias("exact"))
+    both = single(e, SpjaQuery(SketchRing("lineitem", "partkey"), ("r_name_s",))).join(exact, "r_name_s")
+    return both.select("r_name_s", (F.abs(F.col("approx_distinct") - F.col("exact")) <= 0.04 * F.col("exact")).alias("within"))
+
+
+add("ring_approx_distinct", _sketched, "SELECT DISTINCT r_name AS r_name_s, TRUE AS within FROM lineitem JOIN supplier ON l_suppkey = s_suppkey JOIN nation ON s_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey")
 
 
 def _quantile(spark: SparkSession, d: str) -> DataFrame:
@@ -93,10 +108,21 @@ def _quantile(spark: SparkSession, d: str) -> DataFrame:
 
 _WIDE = naive_sql(dashboards._shape(WORKLOADS["flight"]), SpjaQuery(count_ring())).replace("SELECT COUNT(*) AS cnt", "SELECT r_name_s, l_quantity")
 add("ring_quantile", _quantile, f"SELECT r_name_s, quantile_disc(l_quantity, 0.5) AS quantile FROM ({_WIDE}) AS w GROUP BY r_name_s")
+
+
+def _clusters(spark: SparkSession, d: str, dims: int = 64) -> DataFrame:
+    """What k-means needs of each cluster, its size and vector sum, as one ring element per label."""
+    rows = tables.read_table(spark, d, "embeddings", ["label", "embedding"])
+    points = Relation("points", rows.select("label", *[F.get("embedding", F.lit(i)).alias(f"x{i}") for i in range(dims)]))
+    ms = tuple(Measure(f"x{i}", "points", f"CAST(x{i} AS DOUBLE)", 6) for i in range(dims))
+    e = Engine(spark, JoinTree.from_graph(JoinGraph.of(points)), MessageStore(spark, "memory"))
+    sums = e.factorized(SpjaQuery(MomentRing(ms, 1, (("count", "n", ()), *[("sum", f"x{i}", (f"x{i}",)) for i in range(dims)])), ("label",)))
+    each = F.explode(F.array(*[F.struct(F.lit(i).alias("pos"), F.col(f"x{i}").alias("total")) for i in range(dims)])).alias("e")
+    return sums.select("label", "n", each).select("label", "e.pos", "n", F.round("e.total", 6).alias("total"))
+
+
 add(
-    "ring_cluster_moments",
-    lambda s, d: tables.read_table(s, d, "embeddings", ["label", "embedding"]).select("label", F.posexplode("embedding").alias("pos", "x")).groupBy("label", "pos")
-    .agg(F.count(F.lit(1)).alias("n"), F.round(F.sum(F.round(F.col("x").cast("double") * 1e6).cast("long")) / F.lit(1e6), 6).alias("total")),
+    "ring_cluster_moments", _clusters,
     "SELECT label, CAST(pos - 1 AS INTEGER) AS pos, COUNT(*) AS n, ROUND(CAST(SUM(CAST(ROUND(CAST(x AS DOUBLE) * 1e6) AS BIGINT)) AS DOUBLE) / 1e6, 6) AS total "
     "FROM (SELECT label, unnest(embedding) AS x, generate_subscripts(embedding, 1) AS pos FROM embeddings) AS e GROUP BY label, pos",
 )
@@ -129,11 +155,12 @@ add("multi_relation_bag", _multi, naive_sql(dashboards._shape(_CRM), SpjaQuery(s
 spja("cyclic_prejoin", "q5", SpjaQuery(sum_ring(REVENUE), ("n_name",)), single)
 
 
-def _theta(spark: SparkSession, d: str) -> DataFrame:
+def _theta(spark: SparkSession, d: str, root: str = "bands") -> DataFrame:
     """A range condition as an edge: events fall into value bands, counted by band."""
-    bands = constant(spark, [(i, i * 10.0, i * 10.0 + 10.0) for i in range(10)], "band int, low double, high double")
-    ev = tables.read_table(spark, d, "events", ["event_type", "value"])
-    return joins.range_join(ev, bands, "value", "low", "high", 10.0).groupBy("band", "event_type").agg(F.count(F.lit(1)).alias("cnt"))
+    bands = Relation("bands", constant(spark, [(i, i * 10.0, i * 10.0 + 10.0) for i in range(10)], "band int, low double, high double"))
+    tree = JoinTree.from_graph(tables.graph(spark, d, ["events"])).attach(bands, Condition.between("event_value", "low", "high", 10.0))
+    e, q = Engine(spark, tree, MessageStore(spark, "memory")), SpjaQuery(count_ring(), ("band", "event_type"))
+    return e.absorb(bind(tree, q, root), root)
 
 
 add("theta_join_edge", _theta, "SELECT CAST(b AS INTEGER) AS band, event_type, COUNT(*) AS cnt FROM events JOIN range(10) AS r(b) ON value >= b * 10 AND value < b * 10 + 10 GROUP BY ALL")
@@ -141,11 +168,10 @@ add("theta_join_edge", _theta, "SELECT CAST(b AS INTEGER) AS band, event_type, C
 
 def _outer(spark: SparkSession, d: str) -> DataFrame:
     """Customers without events keep multiplicity one; only the measure's part is missing."""
-    g = tables.graph(spark, d, ["customer", "events"])
-    m = g.relations["events"].df.groupBy("custkey").agg(F.count(F.lit(1)).alias("__c"), F.sum(F.round(F.col("event_value") * 100).cast("decimal(38,0)")).alias("__s"))
-    rows = g.relations["customer"].df.join(m, "custkey", "left")
-    some = F.coalesce("__c", F.lit(1))
-    return rows.groupBy("c_mktsegment").agg(F.sum(some).alias("cnt"), (F.sum(F.coalesce("__s", F.lit(0))).cast("double") / 100).alias("total"))
+    tree = JoinTree.from_graph(tables.graph(spark, d, ["customer"])).attach(tables.relation(spark, d, "events"), optional=True)
+    ring = multi_ring([("count", "cnt", None), ("sum", "total", Measure("event_value", "events", "event_value", 2))])
+    e = Engine(spark, tree, MessageStore(spark, "memory"))
+    return e.factorized(SpjaQuery(ring, ("c_mktsegment",)))
 
 
 add("outer_join_edge", _outer, "SELECT c_mktsegment, COUNT(*) AS cnt, CAST(COALESCE(SUM(CAST(ROUND(value * 100) AS HUGEINT)), 0) AS DOUBLE) / 100 AS total FROM customer LEFT JOIN events ON c_custkey = user_id GROUP BY c_mktsegment")
@@ -354,8 +380,19 @@ _B = SpjaQuery(sum_ring(PRICE), ("r_name_s",), ("p_type = 'PROMO'",))
 spja("base_naive", "crm", _B, base.naive)
 spja("base_factorized", "crm", _B, lambda e, q: Engine(e.spark, e.tree, None, elide=False).factorized(q))
 spja("base_factorized_elided", "crm", _B, single)
-add("base_offline_only", lambda s, d: interaction(s, d, "flight", "v2", 2, online=False), dashboards.sql("flight", "v2", 2))
-add("base_online", lambda s, d: interaction(s, d, "flight", "v2", 2, online=True), dashboards.sql("flight", "v2", 2))
+
+
+def _counted(a: dashboards.Answer) -> DataFrame:
+    """An answer's rows beside the number of messages that it computed anew."""
+    return a.rows.withColumn("computed", F.lit(a.trace.count("computed")))
+
+
+def counted_sql(name: str, chart: str, step: int, computed: int) -> str:
+    return f"SELECT *, CAST({computed} AS INTEGER) AS computed FROM ({dashboards.sql(name, chart, step)}) AS q"
+
+
+for _name, _online, _n in (("base_offline_only", False, 2), ("base_online", True, 0)):
+    add(_name, lambda s, d, on=_online: _counted(dashboards.fresh_interaction(s, d, "flight", "v2", 2, online=on)), counted_sql("flight", "v2", 2, _n))
 
 
 def _all_roots(spark: SparkSession, d: str) -> DataFrame:
@@ -388,9 +425,28 @@ def _steps(name: str, prefix: str) -> None:
 
 _steps("crm", "crm")
 _steps("flight", "flight")
-for _k in range(4):
-    add(f"sensitivity_k{_k}", lambda s, d, k=_k: interaction(s, d, "flight", "v3", 2, calibrated=k), dashboards.sql("flight", "v3", 2))
-add("case_study_answer", lambda s, d: interaction(s, d, "flight", "v2", 2), dashboards.sql("flight", "v2", 2))
+for _k, _n in SENSITIVITY.items():
+    add(f"sensitivity_k{_k}", lambda s, d, k=_k: _counted(dashboards.fresh_interaction(s, d, "flight", "v3", 2, calibrated=k)), counted_sql("flight", "v3", 2, _n))
+
+
+def _case_study(spark: SparkSession, d: str) -> DataFrame:
+    """The second interaction of the second chart under three strategies, each on a store of its own: the
+    messages computed for it, whether the fact table is read, and the answer's total."""
+    w, out = WORKLOADS["flight"], []
+    for strategy in ("factorized", "offline", "online"):
+        if strategy == "factorized":
+            e, trace = board(spark, d, "flight", fresh=True).engine, Trace()
+            rows = e.factorized(w.query("v2", 2), trace=trace)
+        else:
+            a = dashboards.fresh_interaction(spark, d, "flight", "v2", 2, online=strategy == "online")
+            rows, trace = a.rows, a.trace
+        touched = {u for u, _ in trace.edges("computed")} | {u for u, _ in trace.edges("absorbed")}
+        out.append((strategy, trace.count("computed"), "lineitem" in touched, rows.agg(F.round(F.sum("amount"), 2)).first()[0]))
+    return constant(spark, out, "strategy string, computed int, reads_fact boolean, total double")
+
+
+add("case_study_answer", _case_study, "SELECT s AS strategy, CAST(n AS INTEGER) AS computed, f AS reads_fact, (SELECT ROUND(SUM(amount), 2) FROM "
+    f"({dashboards.sql('flight', 'v2', 2)}) AS q) AS total FROM (VALUES " + ", ".join(f"('{k}', {n}, {f})" for k, (n, f) in CASE_STUDY.items()) + ") AS t(s, n, f)")
 
 
 def _tpch(name: str, finish: Callable[[DataFrame], DataFrame], sql_finish: str) -> None:

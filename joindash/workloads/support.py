@@ -82,9 +82,13 @@ def _(s, d):
 # ---- projection and filters -------------------------------------------------------------------
 
 
-@add("op_project", "SELECT l_orderkey AS orderkey, l_linenumber, ROUND(l_extendedprice * (1 - l_discount), 2) AS revenue FROM lineitem")
+# in whole ten-thousandths: doubles on the edge of rounding differ between engines
+_REVENUE = "CAST(ROUND(l_extendedprice * 100) AS BIGINT) * (100 - CAST(ROUND(l_discount * 100) AS BIGINT))"
+
+
+@add("op_project", f"SELECT l_orderkey AS orderkey, l_linenumber, {_REVENUE} AS revenue_e4 FROM lineitem")
 def _(s, d):
-    return relational.project(t(s, d, "lineitem"), {"orderkey": "l_orderkey", "l_linenumber": "l_linenumber", "revenue": "ROUND(l_extendedprice * (1 - l_discount), 2)"})
+    return relational.project(t(s, d, "lineitem"), {"orderkey": "l_orderkey", "l_linenumber": "l_linenumber", "revenue_e4": _REVENUE})
 
 
 _PRED = "(p_size BETWEEN 5 AND 15 AND p_type IN ('PROMO', 'SMALL') OR p_name LIKE '%red%') AND NOT p_brand = 'Brand#11' AND p_name IS NOT NULL"
@@ -111,12 +115,20 @@ def _(s, d):
     return relational.scale_out(t(s, d, "customer", "c_custkey", "c_mktsegment"), {"c_custkey": 1_000_000}, 3)
 
 
-@add("op_data_scaler")
+@add("op_data_scaler", """SELECT p_type, TRUE AS share_kept, CAST(0 AS BIGINT) AS orphans, TRUE AS size_kept
+    FROM lineitem JOIN part ON l_partkey = p_partkey GROUP BY p_type""")
 def _(s, d):
-    """Wide rows resampled to twice their number and cut into a fact and two dimensions again."""
+    """Wide rows resampled to twice their number and cut into a fact and two dimensions again: each type
+    keeps its share, every key resolves, and the size is the one asked for."""
     wide = t(s, d, "lineitem", "l_quantity", "l_partkey", "l_suppkey").join(t(s, d, "part", "p_partkey", "p_type"), F.expr("l_partkey = p_partkey")).join(t(s, d, "supplier", "s_suppkey", "s_nationkey"), F.expr("l_suppkey = s_suppkey"))
-    parts = relational.resample_normalised(wide.select("l_quantity", "p_type", "s_nationkey"), 2 * wide.count(), {"kind": ["p_type"], "place": ["s_nationkey"]})
-    return parts["fact"].join(parts["kind"], "kind_key").join(parts["place"], "place_key").groupBy("p_type").agg(N().alias("n"))
+    wanted = 2 * wide.count()
+    parts = relational.resample_normalised(wide.select("l_quantity", "p_type", "s_nationkey"), wanted, {"kind": ["p_type"], "place": ["s_nationkey"]})
+    fact = parts["fact"].join(parts["kind"], "kind_key", "left").join(parts["place"], "place_key", "left")
+    lost = (F.col("p_type").isNull() | F.col("s_nationkey").isNull()).cast("long")
+    sums = fact.agg(F.sum(lost).alias("orphans"), (F.abs(N() - wanted) <= 0.05 * wanted).alias("size_kept"), N().alias("all_rows"))
+    grown = fact.groupBy("p_type").agg(N().alias("n")).crossJoin(F.broadcast(sums))  # one row
+    before = wide.groupBy("p_type").agg((N() / (wanted / 2)).alias("share"))
+    return grown.join(before, "p_type").select("p_type", (F.abs(F.col("n") / F.col("all_rows") - F.col("share")) < 0.02).alias("share_kept"), "orphans", "size_kept")
 
 
 # ---- joins --------------------------------------------------------------------------------------
@@ -233,9 +245,11 @@ def _(s, d):
     return t(s, d, "orders").groupBy("o_orderstatus").agg(F.countDistinct("o_custkey").alias("n"))
 
 
-@add("op_approx_distinct")
+@add("op_approx_distinct", "SELECT o_orderstatus, TRUE AS within FROM orders GROUP BY o_orderstatus")
 def _(s, d):
-    return t(s, d, "orders").groupBy("o_orderstatus").agg(F.approx_count_distinct("o_custkey").alias("n"))
+    """Whether the sketch stays within four of its standard errors (2 %) of the exact count."""
+    both = t(s, d, "orders").groupBy("o_orderstatus").agg(F.approx_count_distinct("o_custkey", 0.02).alias("n"), F.countDistinct("o_custkey").alias("exact"))
+    return both.select("o_orderstatus", (F.abs(F.col("n") - F.col("exact")) <= 0.08 * F.col("exact")).alias("within"))
 
 
 @add("op_percentile", "SELECT l_returnflag, quantile_cont(l_quantity, 0.9) AS p90, median(l_quantity) AS med FROM lineitem GROUP BY l_returnflag")
@@ -444,10 +458,10 @@ def _(s, d):
     return _run(streams.paired(a, b, "user_id", "ts", "right_ts", "1 hour"), "append").agg(N().alias("n"))
 
 
-@add("st_latest_state", "SELECT COUNT(DISTINCT user_id) AS sessions FROM events")
+@add("st_latest_state", """SELECT user_id, arg_max(event_type, n) AS latest, CAST(SUM(CASE WHEN event_type IS DISTINCT FROM prev THEN 1 ELSE 0 END) AS INTEGER) AS changes
+    FROM (SELECT user_id, event_type, row_number() OVER w AS n, lag(event_type) OVER w AS prev FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)) AS q GROUP BY user_id""")
 def _(s, d):
-    out = _run(streams.latest_per_key(_events(s, d).select("user_id", "event_type"), "user_id", "event_type"), "update")
-    return out.agg(F.countDistinct("user_id").alias("sessions"))
+    return _run(streams.latest_per_key(_events(s, d).select("user_id", "event_type", "ts", "event_id"), "user_id", "event_type", ["ts", "event_id"]), "update")
 
 
 @add("st_append_delta", "SELECT c_mktsegment, COUNT(*) AS cnt FROM events JOIN customer ON user_id = c_custkey GROUP BY c_mktsegment")

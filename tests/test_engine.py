@@ -352,3 +352,137 @@ def test_scaled_copies_join_with_copies(spark, sf):
     big = JoinGraph.of(*[Relation(n, scale_out(r.df, {"orderkey": 10_000_000}, 3), r.unique) for n, r in g.relations.items()])
     one = Engine(spark, JoinTree.from_graph(g)).factorized(SpjaQuery(count_ring())).first()[0]
     assert Engine(spark, JoinTree.from_graph(big)).factorized(SpjaQuery(count_ring())).first()[0] == 3 * one
+
+
+def test_relations_of_one_name_do_not_share_messages(spark, sf):
+    """The same name over other rows gets messages of its own."""
+    d = dashboards.board(spark, sf, "crm", fresh=True)
+    s = Session(d)
+    name = next(iter(d.charts))
+    every = spark.read.parquet(f"{sf}/supplier.parquet").selectExpr("s_suppkey AS suppkey", "1 AS flag")
+    totals = []
+    for rows in (every, every.limit(0), every):
+        a = s.join_table(name, Relation("extra", rows, (frozenset({"suppkey"}),)))
+        e = Engine(spark, a.plan.bound.tree, d.engine.store)
+        cal.calibrate(e, a.plan.bound, a.plan.root)
+        totals.append(e.absorb(replace(bind(e.tree, SpjaQuery(count_ring()))), "lineitem").first()["cnt"])
+    assert totals[0] == totals[2] == spark.read.parquet(f"{sf}/lineitem.parquet").count() and totals[1] == 0
+
+
+def test_saved_messages_serve_another_engine(spark, sf, tmp_path):
+    root, q = str(tmp_path / "messages"), SpjaQuery(sum_ring(PRICE), ("p_type",))
+
+    def engine():
+        e = Engine(spark, JoinTree.from_graph(WORKLOADS["crm"].join_graph(spark, sf)), MessageStore(spark, root=root))
+        return e, bind(e.tree, q), e.store.load()
+
+    e, b, found = engine()
+    cal.calibrate(e, b)
+    e.store.save()
+    again, b2, taken = engine()
+    t = Trace()
+    cal.calibrate(again, b2, trace=t)
+    assert found == 0 and taken == len(e.store.refs) > 0 and t.count("computed") == 0
+    assert values(again.absorb(b2, "part")) == values(base.naive(e, q))
+    lineitem = again.tree.graph.relations["lineitem"]
+    lineitem.ident = "another state of the table"
+    changed = bind(again.tree, q)
+    assert cal.missing(again, changed, changed.tree.directed())
+
+
+def test_large_messages_are_bucketed(spark, star):
+    store = MessageStore(spark, bucket_rows=1)
+    e = Engine(spark, star.tree, store, elide=False)
+    b = bind(star.tree, SpjaQuery(toys.ring(toys.STAR_ROWS)))
+    cal.calibrate(e, b)
+    tables_ = [r.table for r in store.refs.values() if r.table]
+    assert tables_ and e.absorb(b, "S").first()["cnt"] == 120
+    store.clear()
+    assert not any(spark.catalog.tableExists(x) for x in tables_)
+
+
+def test_condition_edges(spark):
+    from joindash.operators.joins import UnboundedJoin
+    from joindash.plans.graph import Condition
+
+    rows = [(i % 3, float(i % 17)) for i in range(120)]
+    spans = [(j, j * 4.0, j * 4.0 + 6.0) for j in range(5)]
+    a, b = Relation("a", spark.createDataFrame(rows, "k int, x double")), Relation("b", spark.createDataFrame(spans, "j int, lo double, hi double"))
+    want = {}
+    for (k, x), (j, lo, hi) in itertools.product(rows, spans):
+        if lo <= x < hi:
+            want[k, j] = want.get((k, j), 0) + 1
+    q = SpjaQuery(count_ring(), ("k", "j"))
+    for condition in (Condition.between("x", "lo", "hi", 4.0), Condition("x >= lo AND x < hi")):
+        tree = JoinTree.from_graph(JoinGraph.of(a)).attach(b, condition)
+        e = Engine(spark, tree)
+        for root in ("a", "b"):
+            bound = bind(tree, q, root)
+            cal.calibrate(e, bound)
+            assert {(r.k, r.j): r.cnt for r in e.absorb(bound, root).collect()} == want
+        assert {(r.k, r.j): r.cnt for r in base.naive(e, q).collect()} == want
+    big = spark.range(20_000).selectExpr("id AS y")
+    far = JoinTree.from_graph(JoinGraph.of(Relation("c", big))).attach(Relation("d", big.withColumnRenamed("y", "z")), Condition("y < z"))
+    with pytest.raises(UnboundedJoin):
+        Engine(spark, far).factorized(SpjaQuery(count_ring())).collect()
+
+
+def test_outer_edges_keep_rows(spark):
+    left = Relation("l", spark.createDataFrame([(1, "a"), (2, "a"), (3, "b")], "k int, g string"))
+    right = Relation("r", spark.createDataFrame([(1, 5.0), (1, 7.0), (3, 1.0)], "k int, v double"))
+    tree = JoinTree.from_graph(JoinGraph.of(left)).attach(right, optional=True)
+    e, ring = Engine(spark, tree), MomentRing((Measure("v", "r", "v", 0),), 1, (("count", "n", ()), ("sum", "v", ("v",))))
+    q = SpjaQuery(ring, ("g",))
+    assert {r.g: (r.n, r.v) for r in e.factorized(q).collect()} == {"a": (3, 12.0), "b": (1, 1.0)} == {r.g: (r.n, r.v) for r in base.naive(e, q).collect()}
+    bound = bind(tree, q, "l")
+    cal.calibrate(e, bound)
+    rows, plan = answer(e, bound, q.with_filter("v > 5"))
+    assert plan.root == "l" and {r.g: (r.n, r.v) for r in rows.collect()} == {"a": (2, 7.0), "b": (1, 0.0)}
+
+
+def test_candidates_side_by_side_equal_one_by_one(spark, sf):
+    from joindash.plans.augment import sparse_block
+    from joindash.workloads import regression
+
+    a = regression.augmenter(spark, sf)
+    cands = regression.stored_candidates(spark, sf, 3)
+    keys = cands[0].df.select("suppkey")
+    cands.append(Relation("partial", keys.limit(4).selectExpr("suppkey", "CAST(suppkey AS DOUBLE) AS v"), (frozenset({"suppkey"}),)))
+    t = Trace()
+    together = a.evaluate_all(cands, trace=t)
+    assert t.count("computed") <= 3
+    for c, f in zip(cands, together, strict=True):
+        one = a.evaluate(c)
+        assert f.r2 == pytest.approx(one.r2, abs=1e-9) and f.rows == one.rows
+    rows = sparse_block(a.engine, [a.target], ["r_name_s", "p_type"]).collect()
+    by = {(r.feature_a, r.value_a, r.feature_b, r.value_b): r.cnt for r in rows}
+    total = a.base().rows
+    for f in (("r_name_s", "r_name_s"), ("r_name_s", "p_type"), ("p_type", "p_type")):
+        assert sum(n for (x, _, y, _), n in by.items() if (x, y) == f) == total
+
+
+def test_streams_take_up_what_was_appended(spark, sf, tmp_path):
+    from joindash.streaming import streams
+
+    folder, source = str(tmp_path / "state"), str(tmp_path / "in")
+    events = spark.read.parquet(f"{sf}/events.parquet").selectExpr("event_id", "user_id AS custkey", "event_type", "value AS event_value")
+    parts = [events.filter(f"event_id % 3 = {k}") for k in range(3)]
+    q = SpjaQuery(count_ring(), ("c_mktsegment",))
+
+    def run(arrive):
+        for k in arrive:
+            parts[k].write.mode("append").parquet(source)
+        g = tables.graph(spark, sf, ["customer", "events"])
+        g.relations["events"].df = parts[0]
+        e = Engine(spark, JoinTree.from_graph(g), MessageStore(spark))
+        b, versions = bind(e.tree, q, "customer"), []
+        cal.calibrate(e, b)
+        streams.maintain(e, spark.readStream.schema(parts[0].schema).parquet(source), "events", [b], versions, folder).awaitTermination()
+        new = replace(b, versions=(("events", versions[-1]),), memo={})
+        scans = e.tree.graph.relations["events"].at(versions[-1])._jdf.queryExecution().optimizedPlan().toString().count("Relation [")
+        return {r.c_mktsegment: r.cnt for r in e.absorb(new, "customer").collect()}, scans
+
+    first, _ = run([1])
+    second, scans = run([2])  # another process: the first batch is taken up, the second one arrives
+    have = lambda df: {r.c_mktsegment: r["count"] for r in df.join(tables.relation(spark, sf, "customer").df, "custkey").groupBy("c_mktsegment").count().collect()}
+    assert first == have(parts[0].unionByName(parts[1])) and second == have(events) and scans <= 2

@@ -6,8 +6,10 @@ columns start with ``__jd_``, a prefix that callers leave free.
 
 from __future__ import annotations
 
+import re
 import tempfile
 import uuid
+from collections.abc import Callable
 from pathlib import Path
 
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -27,32 +29,63 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+_own: dict[str, str] = {}
+
+
 def shared_dir(spark: SparkSession) -> str:
-    """The folder all executors share; one of our own only where the session names none."""
+    """The folder that the driver and all executors share, from the session's ``spark.checkpoint.dir``.
+
+    Where none is named, a session whose executors are threads of the driver gets a folder of its own;
+    on a cluster that would be another disk on each machine, so it is refused there.
+    """
     sc = spark.sparkContext
-    if sc.getCheckpointDir() is None:
-        sc.setCheckpointDir(sc.getConf().get("spark.checkpoint.dir") or tempfile.mkdtemp(prefix="joindash-"))
-    return sc.getCheckpointDir()
+    named = sc.getCheckpointDir() or sc.getConf().get("spark.checkpoint.dir")
+    if named:
+        return named
+    if not re.fullmatch(r"local(\[[^\]]*\])?", sc.master):
+        raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+    if sc.applicationId not in _own:
+        _own[sc.applicationId] = tempfile.mkdtemp(prefix="joindash-")
+    return _own[sc.applicationId]
+
+
+def _hadoop(spark: SparkSession, path: str):
+    hadoop = spark._jvm.org.apache.hadoop.fs.Path(path)
+    return hadoop, hadoop.getFileSystem(spark._jsc.hadoopConfiguration())
+
+
+def new_path(spark: SparkSession, kind: str = "t") -> str:
+    """A fresh path in the shared folder that goes when the session ends."""
+    path = f"{shared_dir(spark)}/{kind}-{uuid.uuid4().hex}"
+    hadoop, files = _hadoop(spark, path)
+    files.deleteOnExit(hadoop)
+    return path
+
+
+def remove_path(spark: SparkSession, path: str) -> None:
+    hadoop, files = _hadoop(spark, path)
+    files.delete(hadoop, True)
 
 
 def written(df: DataFrame) -> DataFrame:
     """Write ``df`` to the shared folder and read it back: lineage is cut, a lost executor costs no
     recomputation, and the table goes when the session ends."""
     spark = df.sparkSession
-    path = f"{shared_dir(spark)}/t-{uuid.uuid4().hex}"
+    path = new_path(spark)
     df.write.parquet(path)
-    hadoop = spark._jvm.org.apache.hadoop.fs.Path(path)
-    hadoop.getFileSystem(spark._jsc.hadoopConfiguration()).deleteOnExit(hadoop)
     return spark.read.schema(df.schema).parquet(path)
 
 
 def drop_written(df: DataFrame) -> None:
     """Remove the files of a table made by ``written`` that nothing reads any more."""
-    spark = df.sparkSession
     for name in {f.rsplit("/", 1)[0] for f in df.inputFiles()}:
-        hadoop = spark._jvm.org.apache.hadoop.fs.Path(name)
         if "/t-" in name:
-            hadoop.getFileSystem(spark._jsc.hadoopConfiguration()).delete(hadoop, True)
+            remove_path(df.sparkSession, name)
+
+
+def few(keys: DataFrame, most: int = 2_000_000) -> DataFrame:
+    """``keys``, a narrow written table, to be broadcast where its rows were counted and are few enough."""
+    return F.broadcast(keys) if keys.count() <= most else keys
 
 
 def without(df: DataFrame, names) -> DataFrame:
@@ -61,6 +94,15 @@ def without(df: DataFrame, names) -> DataFrame:
     return df.select(*[F.col(f"`{c}`") for c in df.columns if c.lower() not in names])
 
 
+def set_aside(df: DataFrame, names) -> tuple[DataFrame, Callable[[DataFrame], DataFrame]]:
+    """``df`` with the columns that clash with an operator's under other names, and the way back to ``df``'s own
+    columns from the operator's output."""
+    names = {n.lower() for n in names}
+    other = {c: f"__jd_own_{i}" if c.lower() in names else c for i, c in enumerate(df.columns)}
+    own = df.select(*[F.col(f"`{c}`").alias(o) for c, o in other.items()])
+    return own, lambda out: out.select(*[F.col(f"`{o}`").alias(c) for c, o in other.items()])
+
+
 def struct_with(df: DataFrame, fields: list[tuple[str, T.DataType]]) -> T.StructType:
     """The output schema of a Python step over ``df``; sees to it that workers can import this package."""
     importable(df.sparkSession)

@@ -7,7 +7,7 @@ Fingerprints are 64-bit majority sketches of word shingles.  Linking works on di
   them below one node at the depth of these blocks.  More rows give longer leading parts.
 * Every such node is a subtree that is joined with itself: pairs of nodes descend together, differing
   bits add up, and a pair whose sum exceeds the budget is pruned.  All subtrees of a partition
-  descend at once, level by level, in numpy.
+  descend at once, level by level, in numpy; only two single values are compared directly.
 * A node with too many fingerprints is first split, as a distributed table of node pairs, by the same
   rule, until each unit of work is bounded.
 * Units return spanning links only; components come from rounds of contraction, all distributed.
@@ -29,7 +29,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from joindash.llm.common import bytes_of, drop_written, struct_with, table, without, written
+from joindash.llm.common import bytes_of, drop_written, few, struct_with, table, without, written
 
 #: BITS[v] holds the eight bits of the byte v, lowest first.
 BITS = ((np.arange(256)[:, None] >> np.arange(8)) & 1).astype(np.int64)
@@ -68,7 +68,11 @@ def shingle_digests(data: bytes | None, p: SimHashParams) -> list[int]:
 
 def fingerprint(data: bytes | None, p: SimHashParams) -> int:
     """Signed 64-bit fingerprint of a text in UTF-8."""
-    hashes = shingle_digests(data, p)
+    return majority(shingle_digests(data, p))
+
+
+def majority(hashes: list[int]) -> int:
+    """The signed 64-bit number whose bits are set in over half of the digests; zero for none."""
     if not hashes:
         return 0
     counts = np.zeros(64, np.int64)
@@ -147,26 +151,23 @@ def _prefix(value: Column, bits: int) -> Column:
 # ---- joining subtrees -----------------------------------------------------------------------
 
 
-def trie_links(values: np.ndarray, starts: np.ndarray, ends: np.ndarray, budget: int, leaf: int = 64) -> tuple[np.ndarray, np.ndarray]:
-    """Spanning links among the sorted ``values`` of each subtree [start, end), as index arrays.
+def trie_links(values: np.ndarray, starts: np.ndarray, ends: np.ndarray, budget: int) -> tuple[np.ndarray, np.ndarray, dict[str, int]]:
+    """Spanning links among the sorted distinct ``values`` of each subtree [start, end), as index arrays,
+    and how many node pairs were visited, were pruned, and came down to two single values.
 
-    ``leaf``: a node pair with at most so many combinations is compared directly.
+    A node is a stretch of values, its children are the stretches with a zero and a one in the next bit.
+    Pairs of nodes descend together, all subtrees at once; the bits in which the paths differ add up.  Two
+    single values have no branches left, so the rest of their paths is one comparison.
     """
     label = np.arange(len(values))
     keep = ends - starts > 1
     a0, a1 = starts[keep].astype(np.int64), ends[keep].astype(np.int64)
     b0, b1 = a0, a1
     diff = np.zeros(len(a0), np.int64)
-    for bit in range(63, -2, -1):
+    seen = {"visited": len(a0), "pruned": 0, "single": 0}
+    for bit in range(63, -1, -1):
         if not len(a0):
             break
-        small = ((a1 - a0) * (b1 - b0) <= leaf) | (bit < 0)
-        if small.any():
-            _compare(values, label, a0[small], a1[small], b0[small], b1[small], budget)
-            big = ~small
-            a0, a1, b0, b1, diff = a0[big], a1[big], b0[big], b1[big], diff[big]
-            if not len(a0):
-                break
         ones = np.concatenate(([0], np.cumsum((values >> np.uint64(bit)) & np.uint64(1)).astype(np.int64)))
         am, bm = a1 - (ones[a1] - ones[a0]), b1 - (ones[b1] - ones[b0])
         same = a0 == b0
@@ -177,26 +178,23 @@ def trie_links(values: np.ndarray, starts: np.ndarray, ends: np.ndarray, budget:
             (am[~same], a1[~same], b0[~same], bm[~same], diff[~same] + 1),
         ]
         a0, a1, b0, b1, diff = (np.concatenate(x) for x in zip(*parts, strict=True))
-        alive = (diff <= budget) & (a1 > a0) & (b1 > b0) & ~((a0 == b0) & (a1 - a0 < 2))
+        there = (a1 > a0) & (b1 > b0) & ~((a0 == b0) & (a1 - a0 < 2))
+        alive = there & (diff <= budget)
+        single = alive & (a1 - a0 == 1) & (b1 - b0 == 1)
+        seen["visited"] += int(there.sum())
+        seen["pruned"] += int(there.sum() - alive.sum())
+        seen["single"] += int(single.sum())
+        _compare(values, label, a0[single], b0[single], budget)
+        alive &= ~single
         a0, a1, b0, b1, diff = a0[alive], a1[alive], b0[alive], b1[alive], diff[alive]
     at = np.flatnonzero(label != np.arange(len(values)))
-    return at, label[at]
+    return at, label[at], seen
 
 
-def _compare(values, label, a0, a1, b0, b1, budget, block: int = 1 << 21) -> None:
-    """Compare all combinations of small node pairs and merge the labels of those within the budget."""
-    size = (a1 - a0) * (b1 - b0)
-    done = np.concatenate(([0], np.cumsum(size)))
-    first = 0
-    while first < len(size):
-        last = max(first + 1, int(np.searchsorted(done, done[first] + block, side="right")) - 1)
-        n = size[first:last]
-        at = np.arange(done[last] - done[first]) - np.repeat(done[first:last] - done[first], n)
-        wide = np.repeat(b1[first:last] - b0[first:last], n)
-        i, j = np.repeat(a0[first:last], n) + at // wide, np.repeat(b0[first:last], n) + at % wide
-        near = np.flatnonzero(np.bitwise_count(values[i] ^ values[j]) <= budget)
-        merge(label, i[near], j[near])
-        first = last
+def _compare(values: np.ndarray, label: np.ndarray, i: np.ndarray, j: np.ndarray, budget: int) -> None:
+    """Merge the labels of those pairs of single values that are within the budget."""
+    near = np.flatnonzero(np.bitwise_count(values[i] ^ values[j]) <= budget)
+    merge(label, i[near], j[near])
 
 
 def merge(label: np.ndarray, i: np.ndarray, j: np.ndarray) -> None:
@@ -223,7 +221,7 @@ def _join_units(routed: DataFrame, routes: Routes, p: SimHashParams) -> DataFram
         order = np.lexsort((value, unit, k))
         k, unit, value = k[order], unit[order], value[order]
         new = np.flatnonzero(np.concatenate(([True], (unit[1:] != unit[:-1]) | (k[1:] != k[:-1]))))
-        at, root = trie_links(value, new, np.append(new[1:], len(value)), p.budget)
+        at, root, _ = trie_links(value, new, np.append(new[1:], len(value)), p.budget)
         a, b = routes.undo(k[at], value[at]), routes.undo(k[root], value[root])
         return pa.RecordBatch.from_arrays([pa.array(a.view(np.int64)), pa.array(b.view(np.int64))], names=["src", "dst"])
 
@@ -369,18 +367,18 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text: str = "text",
 
 def one_per_group(docs: DataFrame, id_col: str = "doc_id", text: str = "text", p: SimHashParams | None = None) -> DataFrame:
     """``docs`` with one row of every near-duplicate group: the row with the least id, or any row of a
-    group in which no row has an id."""
+    group in which no row has an id.  Rows carry a number of their own, so ids may repeat."""
     p = p or SimHashParams()
-    own, classes = near_classes(docs, id_col, text, p)
-    heads = own.join(classes, "fp").filter(F.col("id") == F.col("component_id"))
-    heads = heads.groupBy(F.col("id").alias("__jd_id")).agg(F.count(F.lit(1)).alias("__jd_n"))
-    kept = docs.join(heads, docs[id_col] == heads["__jd_id"])
-    single = kept.filter("__jd_n = 1")
-    repeated = kept.filter("__jd_n > 1").dropDuplicates(["__jd_id"])
-    nameless = docs.filter(F.col(id_col).isNull()).withColumn("__jd_text", F.col(text))
-    roots = classes.filter("component_id is null").select(F.col("fp").alias("__jd_fp"), F.col("root").alias("__jd_root"))
-    bare = fingerprints(nameless, "__jd_text", p).join(roots, "__jd_fp").dropDuplicates(["__jd_root"])
-    return single.unionByName(repeated).drop("__jd_id", "__jd_n").unionByName(bare.drop("__jd_fp", "__jd_root"))
+    base = written(docs.withColumn("__jd_uid", F.monotonically_increasing_id()))
+    slim = base.select(F.col("__jd_uid").alias("uid"), F.col(f"`{id_col}`").alias("id"), F.col(f"`{text}`").alias("text"))
+    own = written(fingerprints(slim, "text", p, "fp"))
+    first = F.min(F.struct(F.col("id").isNull().alias("bare"), "id", "uid")).alias("first")
+    prints = written(own.groupBy("fp").agg(first))
+    label = components(fingerprint_links(prints.select("fp"), p))
+    rooted = prints.join(label, prints["fp"] == label["node"], "left").select("first", F.coalesce("root", "fp").alias("root"))
+    heads = rooted.groupBy("root").agg(F.min("first").alias("first")).select(F.col("first.uid").alias("uid"))
+    dropped = written(own.select("uid").join(heads, "uid", "left_anti").select(F.col("uid").alias("__jd_uid")))
+    return base.join(few(dropped), "__jd_uid", "left_anti").select(*[F.col(f"`{c}`") for c in docs.columns])
 
 
 def op1_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

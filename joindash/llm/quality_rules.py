@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import types as T
 
-from joindash.llm.common import bytes_of, struct_with, table, without
+from joindash.llm.common import bytes_of, set_aside, struct_with, table, without
 
 WHITE = b" \t\n\r\x0b\x0c"
 SYMBOLS = b"#*$%&|<>"
@@ -180,6 +180,12 @@ def quality_rules(docs: DataFrame, text: str = "text", bands: CompressionBands |
     return docs.withColumn("__jd_bytes", bytes_of(text)).mapInArrow(run, schema)
 
 
+def passing(docs: DataFrame, text: str = "text", bands: CompressionBands | None = None) -> DataFrame:
+    """The documents that pass, with their own columns, whatever their names."""
+    own, back = set_aside(docs, [n for n, _ in OUT])
+    return back(quality_rules(own, text, bands).filter("kept"))
+
+
 def op6_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     out = quality_rules(table(spark, sf_dir, "documents").select("doc_id", "text"))
     return out.select("doc_id", *[n for n, _ in OUT])

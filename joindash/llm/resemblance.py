@@ -1,20 +1,23 @@
-"""Near-duplicate groups by exact resemblance, for the pipeline.
+"""Near-duplicate groups by SimHash and exact resemblance, for the pipeline.
 
 Two texts are linked where the Jaccard similarity of their sets of five-word shingles is at least four
 fifths; groups are the components of these links, and one row of each group is kept.  Equal sets meet by
-their digest.  Candidate pairs meet in one of ``bands`` MinHash bands of ``rows`` values each – a pair at
-the threshold is missed with probability (1 - 0.8^4)^24, about 3 in a million – and every one is verified
-on the sets themselves.  Bits of a SimHash are no substitute here: pairs at the threshold differ in ten of
-64 bits on average, where a trie prunes next to nothing.
-
-A band's bucket is a clique only where its members are alike, so pairs are not simply listed: each member
-is first compared with the head of its fullest bucket, then with the heads of its other buckets, and only
-where a bucket still holds several components are the pairs between these compared.  In the end every
-pair that met in a bucket is either compared or known to lie in one component.
+their digest.  Every other pair is found in one of three rounds, and decided on the sets themselves:
+
+1. SimHash: fingerprints within the budget of the trie self-join of ``simhash``.  Pairs at the threshold
+   differ in ten of 64 bits on average, where a trie prunes next to nothing, so two more rounds follow.
+2. MinHash: rows with a value in common in one of ``bands`` bands meet in a bucket – a pair at the
+   threshold is missed with probability (1 - 0.8^4)^24, about 3 in a million – and each is compared with
+   the head of its fullest bucket.
+3. What still shares a bucket with another component is joined by rare shingles: in any order of all
+   shingles, two sets that are similar enough share one among the first few of each.  With the rarest
+   first, shared passages and the common body of unlike copies make no pairs, so a large group whose
+   members lie just below the threshold costs little, and no pair of these rows is left out.
 
 Defined results: null, empty and blank texts are alike; a text with fewer words than a shingle is one
 shingle; ids may be null or repeat, because rows carry a number of their own; the row kept is the one
-with the least id, or any row of a group in which no row has an id; an empty table gives an empty result.
+with the least id, or any row of a group in which no row has an id; extra columns pass through, whatever
+their names; an empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -28,8 +31,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from joindash.llm.common import bytes_of, drop_written, struct_with, written
-from joindash.llm.simhash import SimHashParams, components, shingle_digests
+from joindash.llm.common import bytes_of, drop_written, few, struct_with, written
+from joindash.llm.simhash import SimHashParams, components, fingerprint_links, majority, shingle_digests
 
 
 @dataclass(frozen=True)
@@ -37,14 +40,19 @@ class ResemblanceParams:
     width: int = 5
     #: least similarity as a fraction, so that the comparison is one of whole numbers
     least: tuple[int, int] = (4, 5)
+    #: differing bits of the fingerprints of the first round
+    budget: int = 3
     bands: int = 24
     rows: int = 4
     seed: int = 42
 
+    def simhash(self) -> SimHashParams:
+        return SimHashParams(width=self.width, budget=self.budget, seed=self.seed)
+
 
 def shingle_set(data: bytes | None, p: ResemblanceParams) -> np.ndarray:
     """The distinct shingle digests of a text in UTF-8, in order."""
-    return np.unique(np.array(shingle_digests(data, SimHashParams(width=p.width, seed=p.seed)), np.uint64))
+    return np.unique(np.array(shingle_digests(data, p.simhash()), np.uint64))
 
 
 def band_keys(digests: np.ndarray, p: ResemblanceParams) -> list[int]:
@@ -78,16 +86,18 @@ def _over_texts(rows: DataFrame, text: str, fields: list[tuple[str, T.DataType]]
 
 
 def sketches(rows: DataFrame, text: str, p: ResemblanceParams) -> DataFrame:
-    """``rows`` without its text, with the digest, the size and the band keys of the shingle set."""
+    """``rows`` without its text, with the fingerprint, and the digest, size and band keys of the shingle set."""
 
     def make(data):
         import xxhash
 
-        own = shingle_set(data, p)
+        every = shingle_digests(data, p.simhash())
+        own = np.unique(np.array(every, np.uint64))
         digest = np.array([xxhash.xxh64_intdigest(own.astype("<u8").tobytes(), p.seed)], np.uint64).view(np.int64)
-        return int(digest[0]), len(own), band_keys(own, p) if len(own) else []
+        return majority(every), int(digest[0]), len(own), band_keys(own, p) if len(own) else []
 
-    return _over_texts(rows, text, [("set_digest", T.LongType()), ("n", T.LongType()), ("keys", T.ArrayType(T.LongType()))], make)
+    fields = [("fp", T.LongType()), ("set_digest", T.LongType()), ("n", T.LongType()), ("keys", T.ArrayType(T.LongType()))]
+    return _over_texts(rows, text, fields, make)
 
 
 def shingle_sets(rows: DataFrame, text: str, p: ResemblanceParams) -> DataFrame:
@@ -104,38 +114,85 @@ def verified(pairs: DataFrame, sets: DataFrame, p: ResemblanceParams) -> DataFra
     return both.filter((num + den) * shared >= num * (F.size("x") + F.size("y"))).select("src", "dst")
 
 
-def _candidates(stage: str, open_: DataFrame) -> DataFrame:
-    """(src, dst, sizes and components of both) from the rows (key, uid, n, count, root) of open buckets."""
+def ordered(a: str, b: str):
+    return F.least(a, b).alias("src"), F.greatest(a, b).alias("dst")
+
+
+def print_pairs(rows: DataFrame, p: ResemblanceParams) -> DataFrame:
+    """Pairs of ``rows`` (uid, fp) that hold the links between fingerprints within the budget: rows with one
+    fingerprint are paired with its least row, and the trie's links are drawn between these."""
+    heads = written(rows.groupBy("fp").agg(F.min("uid").alias("head")))
+    same = rows.join(heads, "fp").filter("uid != head").select(*ordered("uid", "head"))
+    links = fingerprint_links(heads.select("fp"), p.simhash())
+    ends = links.join(heads.select(F.col("fp").alias("src"), F.col("head").alias("a")), "src")
+    ends = ends.join(heads.select(F.col("fp").alias("dst"), F.col("head").alias("b")), "dst")
+    return same.unionByName(ends.select(*ordered("a", "b"))).filter("src != dst").distinct()
+
+
+def bucket_pairs(open_: DataFrame, p: ResemblanceParams) -> DataFrame:
+    """Each row (key, uid, n, count, root) of a bucket with several components, with the head of its fullest one."""
+    num, den = p.least
     side = lambda s: F.struct(*[F.col(c).alias(f"{c}_{s}") for c in ("uid", "n", "root")])
-    if stage == "pairs":
-        a = open_.select("key", side("a").alias("a"))
-        return a.join(open_.select("key", side("b").alias("b")), "key").select("a.*", "b.*").filter("uid_a < uid_b")
     heads = open_.groupBy("key").agg(F.min_by(side("a"), F.xxhash64("uid", "key")).alias("a"))
-    if stage == "fullest":
-        open_ = open_.groupBy("uid", "n", "root").agg(F.max(F.struct("count", "key")).alias("m")).select("uid", "n", "root", "m.key")
-    return open_.select("key", side("b").alias("b")).join(heads, "key").select("a.*", "b.*").filter("uid_a != uid_b")
+    fullest = open_.groupBy("uid", "n", "root").agg(F.max(F.struct("count", "key")).alias("m")).select("m.key", side("b").alias("b"))
+    pairs = fullest.join(heads, "key").select("a.*", "b.*").filter("root_a != root_b")
+    return pairs.filter(den * F.least("n_a", "n_b") >= num * F.greatest("n_a", "n_b")).select(*ordered("uid_a", "uid_b")).distinct()
 
 
-def resemblance_links(members: DataFrame, sets: DataFrame, p: ResemblanceParams) -> DataFrame | None:
-    """(node, root) of every row that is linked to another; ``members``: (key, uid, n, count)."""
+def rare_pairs(sets: DataFrame, p: ResemblanceParams) -> DataFrame:
+    """Pairs of ``sets`` (uid, root, digests) of unlike roots that can be similar enough, by shared rare shingles.
+
+    With the shingles of every set in one order, the rarest first, and ``need`` the least number of shingles
+    that similar sets of these sizes share, a similar pair shares one within the first size - need + 1 of both.
+    """
     num, den = p.least
-    label, links, tested = None, None, None
-    for stage in ("fullest", "heads", "pairs"):
-        now = members.withColumn("root", F.col("uid"))
-        if label is not None:
-            now = members.join(label, members["uid"] == label["node"], "left").select(*members.columns, F.coalesce("root", "uid").alias("root"))
-        now = written(now)
+    each = written(sets.select("uid", "root", F.size("digests").alias("n"), F.explode("digests").alias("digest")))
+    shared = each.groupBy("digest").agg(F.count(F.lit(1)).alias("df"), F.min("root").alias("lo"), F.max("root").alias("hi")).filter("df > 1")
+    # a shingle of one set alone comes first and makes no pair; the others follow by how many sets hold them
+    held = each.join(shared, "digest").groupBy("uid", "root", "n").agg(F.array_sort(F.collect_list(F.struct("df", "digest", (F.col("lo") != F.col("hi")).alias("mixed")))).alias("rest"))
+    alone = F.col("n") - F.size("rest")
+    # the longest prefix that any partner asks for: the one of the least size that is similar enough
+    longest = F.col("n") - F.ceil(F.col("n") * num / den) + 1
+    first = F.slice("rest", 1, F.greatest(longest - alone, F.lit(0)).cast("int"))
+    rows = held.select("uid", "root", "n", alone.alias("alone"), F.posexplode(first).alias("i", "t")).filter("t.mixed")
+    rows = written(rows.select("uid", "root", "n", (F.col("alone") + F.col("i")).alias("place"), "t.digest"))
+    x, y = (rows.select("digest", *[F.col(c).alias(f"{c}_{s}") for c in ("uid", "root", "n", "place")]) for s in "xy")
+    # the shorter set's prefix is the shorter one: its partner has as many shingles at least
+    short = x.filter(F.col("place_x") <= F.col("n_x") - F.ceil(F.col("n_x") * 2 * num / (num + den)))
+    need = F.ceil((F.col("n_x") + F.col("n_y")) * num / (num + den))
+    later = (F.col("n_x") < F.col("n_y")) | ((F.col("n_x") == F.col("n_y")) & (F.col("uid_x") < F.col("uid_y")))
+    near = (F.col("place_x") <= F.col("n_x") - need) & (F.col("place_y") <= F.col("n_y") - need)
+    met = short.join(y, (short["digest"] == y["digest"]) & later & near & (F.col("root_x") != F.col("root_y")))
+    return met.select(*ordered("uid_x", "uid_y")).distinct()
+
+
+def resemblance_links(rows: DataFrame, texts: DataFrame, p: ResemblanceParams) -> DataFrame | None:
+    """(node, root) of every row that is linked to another; ``rows``: (uid, n, fp, keys) of distinct sets,
+    ``texts``: (uid, text) of all rows."""
+    bands = rows.select("uid", "n", F.explode("keys").alias("key"))
+    met = bands.groupBy("key").agg(F.count(F.lit(1)).alias("count")).filter(F.col("count") > 1)
+    members = written(bands.join(met, "key").select("key", "uid", "n", "count"))
+    alike = written(print_pairs(rows.filter("n > 0").select("uid", "fp"), p))
+    wanted = written(members.select("uid").unionByName(alike.select(F.explode(F.array("src", "dst")).alias("uid"))).distinct())
+    sets = written(shingle_sets(texts.join(few(wanted), "uid", "left_semi"), "text", p))
+    links = written(verified(alike, sets, p))
+    label = components(links)
+
+    def rooted(df: DataFrame) -> DataFrame:
+        return df.join(label, df["uid"] == label["node"], "left").select(*df.columns, F.coalesce("root", "uid").alias("root"))
+
+    def still_open() -> DataFrame:
+        now = written(rooted(members))
         several = now.groupBy("key").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).filter("lo != hi").select("key")
-        pairs = _candidates(stage, now.join(several, "key", "left_semi")).filter("root_a != root_b")
-        pairs = pairs.filter(den * F.least("n_a", "n_b") >= num * F.greatest("n_a", "n_b"))
-        pairs = pairs.select(F.least("uid_a", "uid_b").alias("src"), F.greatest("uid_a", "uid_b").alias("dst")).distinct()
-        pairs = written(pairs if tested is None else pairs.join(tested, ["src", "dst"], "left_anti"))
-        drop_written(now)
-        if not pairs.isEmpty():
-            good = written(verified(pairs, sets, p))
-            links = good if links is None else links.unionByName(good)
-            label = components(links)
-        tested = pairs if tested is None else tested.unionByName(pairs)
+        return now.join(several, "key", "left_semi")
+
+    links = links.unionByName(written(verified(bucket_pairs(still_open(), p), sets, p)))
+    label = components(links)
+    unsure = written(still_open().select("uid").distinct())
+    pairs = written(rare_pairs(rooted(sets.join(few(unsure), "uid", "left_semi")), p))
+    label = components(links.unionByName(written(verified(pairs, sets, p))))
+    for t in (members, alike, wanted):
+        drop_written(t)
     return label
 
 
@@ -143,18 +200,14 @@ def one_of_resembling(docs: DataFrame, id_col: str = "doc_id", text: str = "text
     """``docs`` with one row of every group of texts that resemble each other."""
     p = p or ResemblanceParams()
     base = written(docs.withColumn("__jd_uid", F.monotonically_increasing_id()))
-    uid = F.col("__jd_uid").alias("uid")
-    own = written(sketches(base.select(uid, F.col(f"`{id_col}`").alias("id"), F.col(f"`{text}`").alias("text")), "text", p))
+    texts = base.select(F.col("__jd_uid").alias("uid"), F.col(f"`{text}`").alias("text"))
+    rows = base.select(F.col("__jd_uid").alias("uid"), F.col(f"`{id_col}`").alias("id"), F.col(f"`{text}`").alias("text"))
+    own = written(sketches(rows, "text", p))
     first = F.min(F.struct(F.col("id").isNull().alias("bare"), "id", "uid")).alias("first")
     distinct = written(own.groupBy("set_digest").agg(F.min("uid").alias("uid"), first))
-    bands = own.join(distinct.select("uid"), "uid", "left_semi").select("uid", "n", F.explode("keys").alias("key"))
-    met = bands.groupBy("key").agg(F.count(F.lit(1)).alias("count")).filter(F.col("count") > 1)
-    members = written(bands.join(met, "key").select("key", "uid", "n", "count"))
-    drop_written(own)
-    texts = base.select(uid, F.col(f"`{text}`").alias("text")).join(members.select("uid").distinct(), "uid", "left_semi")
-    label = resemblance_links(members, written(shingle_sets(texts, "text", p)), p)
-    rooted = distinct.withColumn("root", F.col("uid"))
-    if label is not None:
-        rooted = distinct.join(label, distinct["uid"] == label["node"], "left").select("first", F.coalesce("root", "uid").alias("root"))
-    heads = rooted.groupBy("root").agg(F.min("first").alias("first")).select(F.col("first.uid").alias("__jd_uid"))
-    return base.join(heads, "__jd_uid", "left_semi").select(*[F.col(f"`{c}`") for c in docs.columns])
+    rows = written(own.join(distinct.select("uid"), "uid", "left_semi").select("uid", "n", "fp", "keys"))
+    label = resemblance_links(rows, texts, p)
+    rooted = distinct.join(label, distinct["uid"] == label["node"], "left").select("first", F.coalesce("root", "uid").alias("root"))
+    heads = rooted.groupBy("root").agg(F.min("first").alias("first")).select(F.col("first.uid").alias("uid"))
+    dropped = written(own.select("uid").join(heads, "uid", "left_anti").select(F.col("uid").alias("__jd_uid")))
+    return base.join(few(dropped), "__jd_uid", "left_anti").select(*[F.col(f"`{c}`") for c in docs.columns])

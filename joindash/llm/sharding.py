@@ -1,14 +1,15 @@
 """Operator 4 – sharding along a Hilbert curve.
 
-Metadata dimensions are quantised at sampled quantiles (equal-frequency cells that keep the order of
-values), each row gets the place of its cell on the Hilbert curve, rows are sorted by that place across
-the cluster and cut into runs.  Neighbouring rows agree in all dimensions, so a shard covers a small
-box and its file can be skipped by a filter on any of them.
+Metadata dimensions are quantised at quantiles (equal-frequency cells that keep the order of values,
+whole strings included), each row gets the place of its cell on the Hilbert curve, rows are sorted by that
+place across the cluster and cut into runs.  Neighbouring rows agree in all dimensions, so a shard covers
+a small box and its file can be skipped by a filter on any of them.  Rows of equal texts take the least of
+their places, so they stand together; only a cut between shards can part them.
 
 Laws: ``rows`` (shard sizes at most one row apart) and ``bytes`` (cuts at equal shares of the bytes).
 
-Defined results: null metadata fall in the lowest cell; equal places are ordered by checksum and id, so
-equal texts stand together; repeated rows are interchangeable; more shards than rows leave shards
+Defined results: null metadata fall in the lowest cell; a null text and an empty one are equal; equal
+places are ordered by text and id; repeated rows are interchangeable; more shards than rows leave shards
 empty; an empty table gives an empty result; input columns named like an output column are replaced.
 """
 
@@ -19,11 +20,11 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from joindash.llm.common import bytes_of, global_position, struct_with, table, without
+from joindash.llm.common import bytes_of, drop_written, global_position, struct_with, table, without, written
 
 
 @dataclass(frozen=True)
@@ -35,13 +36,35 @@ class ShardParams:
     overhead: int = 16
 
 
-def ordered_number(df: DataFrame, name: str) -> Column:
-    """A number that keeps the order of a column's values (strings by their first six bytes)."""
+def string_cuts(df: DataFrame, name: str, cells: int) -> list[str]:
+    """At most ``cells`` - 1 values that cut a string column into cells of equal frequency.
+
+    Whole strings are counted and the distinct ones sorted across the cluster; one sum per partition and
+    the cuts are all that meets on the driver.
+    """
+    counted = df.filter(F.col(name).isNotNull()).groupBy(F.col(name).alias("v")).agg(F.count(F.lit(1)).alias("n"))
+    dealt = written(counted.repartitionByRange("v").withColumn("part", F.spark_partition_id()))
+    starts, total = [], 0
+    for part, n in sorted(tuple(r) for r in dealt.groupBy("part").agg(F.sum("n")).collect()):
+        starts.append((part, total))
+        total += n
+    if not total:
+        return []
+    start = F.broadcast(df.sparkSession.createDataFrame(starts, "part int, start long"))  # one row per partition
+    end = F.col("start") + F.sum("n").over(Window.partitionBy("part").orderBy("v"))
+    ends = dealt.join(start, "part").select("v", "n", end.alias("end"))
+    cell = lambda rows: F.floor(rows * cells / F.lit(total))
+    cuts = ends.filter(cell(F.col("end")) > cell(F.col("end") - F.col("n"))).select("v").collect()
+    return sorted(r.v for r in cuts)[: cells - 1]
+
+
+def ordered_number(df: DataFrame, name: str, cells: int) -> Column:
+    """A number that keeps the order of a column's values; of a string, the cell it falls in."""
     kind = df.schema[name].dataType
     col = F.col(f"`{name}`")
     if isinstance(kind, T.StringType):
-        head = F.rpad(F.hex(F.substring(col.cast("binary"), 1, 6)), 12, "0")
-        return F.conv(head, 16, 10).cast("double")
+        above = [(col > F.lit(c)).cast("double") for c in string_cuts(df, name, cells)]
+        return F.when(col.isNotNull(), sum(above, F.lit(0.0)))
     if isinstance(kind, (T.DateType, T.TimestampType, T.TimestampNTZType)):
         return F.unix_micros(col.cast("timestamp")).cast("double")
     return col.cast("double")
@@ -98,6 +121,15 @@ def curve_places(df: DataFrame, dims: list[Column], p: ShardParams) -> DataFrame
     return named.mapInArrow(run, schema)
 
 
+def with_equal_texts(placed: DataFrame, text_key: list[str]) -> DataFrame:
+    """``placed`` with one place for all rows of a text: the least of theirs.  Only the texts whose rows
+    differ in metadata are joined; they are counted per task before they are shuffled."""
+    lo, hi = F.min("__jd_place").alias("__jd_lo"), F.max("__jd_place").alias("__jd_hi")
+    several = written(placed.groupBy(*text_key).agg(lo, hi).filter("__jd_lo < __jd_hi").drop("__jd_hi"))
+    both = placed.join(several, text_key, "left")
+    return both.withColumn("__jd_place", F.coalesce("__jd_lo", "__jd_place")).select(*placed.columns)
+
+
 OUT = ["size", "text_crc32", "law", "shard", "slot", "grown_shard"]
 
 
@@ -111,9 +143,13 @@ def assign_shards(docs: DataFrame, dims: list[str], id_col: str = "doc_id", text
         *[F.col(f"`{d}`").alias(f"__jd_v{i}") for i, d in enumerate(dims)],
         (length + p.overhead).alias("size"),
         F.crc32(F.coalesce(raw, F.lit(b""))).alias("text_crc32"),
+        F.xxhash64(F.coalesce(raw, F.lit(b""))).alias("__jd_text"),
     )
-    numbers = [*[ordered_number(slim, f"__jd_v{i}") for i in range(len(dims))], F.col("size").cast("double")]
-    placed = global_position(curve_places(slim, numbers, p), ["__jd_place", "text_crc32", "__jd_id"], "__jd_pos")
+    slim = written(slim)
+    numbers = [*[ordered_number(slim, f"__jd_v{i}", 1 << p.bits) for i in range(len(dims))], F.col("size").cast("double")]
+    curve = with_equal_texts(written(curve_places(slim, numbers, p)), ["size", "text_crc32", "__jd_text"])
+    placed = global_position(curve, ["__jd_place", "text_crc32", "__jd_text", "__jd_id"], "__jd_pos")
+    drop_written(slim)
     n, k = placed.count(), p.shards
     pos = F.col("__jd_pos")
     if p.law == "rows":
@@ -139,14 +175,10 @@ def assign_shards(docs: DataFrame, dims: list[str], id_col: str = "doc_id", text
 
 def _cut_by_bytes(placed: DataFrame, k: int, block: int = 4096) -> DataFrame:
     """Cuts at equal shares of the bytes: running sums inside blocks of rows, then over the blocks."""
-    from pyspark.sql import Window as W
-
-    from joindash.llm.common import written
-
-    inside = W.partitionBy("__jd_block").orderBy("__jd_pos")
+    inside = Window.partitionBy("__jd_block").orderBy("__jd_pos")
     rows = written(placed.withColumn("__jd_block", F.floor(F.col("__jd_pos") / block)).withColumn("__jd_sum", F.sum("size").over(inside) - F.col("size")))
     sums = rows.groupBy("__jd_block").agg(F.sum("size").alias("__jd_n"))
-    before = W.partitionBy("__jd_super").orderBy("__jd_block")  # two more levels, so no task sees all blocks
+    before = Window.partitionBy("__jd_super").orderBy("__jd_block")  # two more levels, so no task sees all blocks
     sums = sums.withColumn("__jd_super", F.floor(F.col("__jd_block") / block))
     tops = sorted(sums.groupBy("__jd_super").agg(F.sum("__jd_n")).collect())
     total, starts = 0, []

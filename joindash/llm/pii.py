@@ -11,7 +11,9 @@ spreads to patterns that hold discovered identifiers.  Everything is DataFrame e
 The patterns are written without backtracking into repeated groups, so very long digit or letter runs
 cost linear time and no stack; ``\\G`` keeps what a search that goes on after a match would find.
 
-Defined results: null texts count as empty; empty texts have no spans; repeated rows each get their
+Rows carry a number of their own, so ids may be null or repeat; identifiers and contexts are of any length.
+
+Defined results: null texts count as empty, and stay null where texts are masked; empty texts have no spans; repeated rows each get their
 spans; overlapping spans of different kinds all count, and are masked as one stretch; an empty table
 gives an empty result; input columns named like an output column are replaced.
 """
@@ -24,7 +26,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from joindash.llm.common import drop_written, table, written
-from joindash.llm.spans import located
+from joindash.llm.spans import bound, located
 
 #: kind -> (a fixed substring that every match holds, pattern)
 BASE = {
@@ -35,7 +37,7 @@ BASE = {
 }
 KINDS = [*BASE, "contextual"]
 #: An identifier: a stretch of word characters and joiners with a digit in it.
-CANDIDATE = r"(?<![A-Za-z0-9@._%+-])(?=[A-Za-z@._%+-]{0,63}+[0-9])[A-Za-z0-9@._%+-]++"
+CANDIDATE = r"(?<![A-Za-z0-9@._%+-])(?=[A-Za-z@._%+-]*+[0-9])[A-Za-z0-9@._%+-]++"
 
 
 @dataclass(frozen=True)
@@ -52,8 +54,8 @@ class PiiParams:
     #: shape of an unseen identifier; seeds have the shape of their kind
     least_chars: int = 6
     least_digits: int = 1
-    most_chars: int = 64
-    context_chars: int = 48
+    #: characters beside a span that are read first; the whole text is where they hold too few words
+    near_chars: int = 64
 
 
 def _digits(m: Column) -> Column:
@@ -96,40 +98,62 @@ def _of_kind(number: int) -> Column:
     return F.filter("base", lambda s: s["kind"] == number)
 
 
+def _words(text: Column) -> Column:
+    return F.filter(F.split(text, r"\s+"), lambda w: w != "")
+
+
+def _pattern(mark: str, words: Column) -> Column:
+    """Words as a pattern: in lower case, with ``#`` for those that hold digits."""
+    plain = F.transform(words, lambda w: F.when(w.rlike("[0-9]"), "#").otherwise(F.lower(w)))
+    return F.concat(F.lit(mark), F.array_join(plain, " "))
+
+
 def contexts(text: Column, start: Column, end: Column, p: PiiParams) -> Column:
-    """The patterns in which the span stands, cut from the whole text."""
-    begin = F.greatest(start - p.context_chars, F.lit(0))
-    plain = lambda c: F.regexp_replace(F.regexp_replace(F.lower(c), r"\S*[0-9]\S*", "#"), r"\s+", " ")
-    before, after = F.substring(text, begin + 1, start - begin), F.substring(text, end + 1, F.lit(p.context_chars))
-    two = F.concat(F.lit("<"), plain(F.regexp_extract(before, r"(\S+\s+\S+)\s*$", 1)))
-    label = plain(F.regexp_extract(before, r"(?:^|\s)(\S*[:=#])\s*$", 1))
-    first = F.when(begin == 0, plain(F.regexp_extract(before, r"^\s*(\S+)\s*$", 1))).otherwise("")
-    right = F.concat(F.lit(">"), plain(F.regexp_extract(after, r"^[\s,;.]*(\S+\s+\S+)(?=\s|$)", 1)))
-    one = F.concat(F.lit("-"), F.when(label != "", label).otherwise(first))
-    return F.array_distinct(F.filter(F.array(two, one, right), lambda c: F.rlike(c, F.lit(r"\p{L}"))))
-
-
-def extract(docs: DataFrame, id_col: str, text: str, p: PiiParams) -> DataFrame:
-    """(id, text hash, base spans by start and kind, instances: base spans and unseen candidates with their contexts)."""
-    body = F.coalesce(F.col(text), F.lit(""))
-    slim = docs.select(F.col(id_col).alias("id"), body.alias("t"))
+    """The patterns in which the span stands.  Three words are enough: the outer one may be cut."""
+    near, empty = p.near_chars, F.expr("cast(array() as array<string>)")
+    rest = lambda after: _words(F.regexp_replace(after, r"^[\s,;.]++", ""))
+    close_by = _words(F.substring(text, F.greatest(start - near, F.lit(0)) + 1, F.least(start, F.lit(near))))
+    before = bound(close_by, lambda w: F.when((F.size(w) > 2) | (start <= near), w).otherwise(_words(F.substring(text, F.lit(1), start))))
+    close_by = rest(F.substring(text, end + 1, F.lit(near)))
+    to_end = lambda: rest(F.substring(text, end + 1, F.length(text)))
+    after = bound(close_by, lambda w: F.when((F.size(w) > 2) | (F.length(text) <= end + near), w).otherwise(to_end()))
+
+    def left(w: Column) -> Column:
+        label = F.slice(w, -1, 1)
+        two = _pattern("<", F.when(F.size(w) > 1, F.slice(w, F.greatest(F.size(w) - 1, F.lit(1)), F.lit(2))).otherwise(empty))
+        one = F.size(w) == 1
+        return F.array(two, _pattern("-", F.when(one | F.exists(label, lambda x: x.rlike("[:=#]$")), label).otherwise(empty)))
+
+    right = bound(after, lambda w: F.array(_pattern(">", F.when(F.size(w) > 1, F.slice(w, 1, 2)).otherwise(empty))))
+    sides = F.concat(bound(before, lambda w: F.when(F.size(w) > 0, left(w)).otherwise(empty)), right)
+    return F.array_distinct(F.filter(sides, lambda c: F.rlike(c, F.lit(r"\p{L}"))))
+
+
+def extract(docs: DataFrame, text: str, p: PiiParams) -> DataFrame:
+    """``docs`` with __jd_row, __jd_base (base spans by start and kind) and __jd_words (instances: base spans
+    and unseen candidates with their contexts)."""
+    body = F.coalesce(F.col(f"`{text}`"), F.lit(""))
+    own = [F.col(f"`{c}`") for c in docs.columns]
+    slim = docs.select(*own, F.monotonically_increasing_id().alias("__jd_row"), body.alias("__jd_t"))
     for k, (kind, (needs, pattern)) in enumerate(BASE.items()):
-        slim = slim.withColumn(kind, _base_spans(located(F.col("t"), pattern, needs), kind, k))
-    words = F.filter(
-        located(F.col("t"), CANDIDATE, None),
-        lambda s: F.length(s["value"]).between(p.least_chars, p.most_chars) & (F.length(_digits(s["value"])) >= p.least_digits),
+        slim = slim.withColumn(f"__jd_{kind}", _base_spans(located(F.col("__jd_t"), pattern, needs), kind, k))
+    candidates = F.filter(
+        located(F.col("__jd_t"), CANDIDATE, None),
+        lambda s: (F.length(s["value"]) >= p.least_chars) & (F.length(_digits(s["value"])) >= p.least_digits),
     )
-    slim = slim.select("id", "t", F.array_sort(F.concat(*BASE)).alias("base"), words.alias("words"))
-    known = lambda s: F.exists("base", lambda b: (b["start"] < s["end"]) & (s["start"] < b["end"]))
+    base = F.array_sort(F.concat(*[f"__jd_{kind}" for kind in BASE]))
+    slim = slim.select(*own, "__jd_row", "__jd_t", base.alias("__jd_base"), candidates.alias("__jd_c"))
+    known = lambda s: F.exists("__jd_base", lambda b: (b["start"] < s["end"]) & (s["start"] < b["end"]))
+    t = F.col("__jd_t")
 
     def instance(s: Column, seed: bool) -> Column:
-        value = F.substring(F.col("t"), s["start"] + 1, s["end"] - s["start"])
-        return F.struct(s["start"].alias("start"), s["end"].alias("end"), value.alias("value"), contexts(F.col("t"), s["start"], s["end"], p).alias("contexts"), F.lit(seed).alias("seed"))
+        value = F.substring(t, s["start"] + 1, s["end"] - s["start"])
+        return F.struct(s["start"].alias("start"), s["end"].alias("end"), value.alias("value"), contexts(t, s["start"], s["end"], p).alias("contexts"), F.lit(seed).alias("seed"))
 
-    seeds = F.transform("base", lambda s: instance(s, True))
-    unseen = F.transform(F.filter("words", lambda s: ~known(s)), lambda s: instance(s, False))
+    seeds = F.transform("__jd_base", lambda s: instance(s, True))
+    unseen = F.transform(F.filter("__jd_c", lambda s: ~known(s)), lambda s: instance(s, False))
     each = F.filter(F.concat(seeds, unseen), lambda s: F.size(s["contexts"]) > 0)
-    return slim.select("id", F.xxhash64("t").alias("hash"), "base", each.alias("words"))
+    return slim.select(*own, "__jd_row", "__jd_base", each.alias("__jd_words"))
 
 
 def score_graph(edges: DataFrame, p: PiiParams) -> DataFrame:
@@ -159,20 +183,28 @@ def score_graph(edges: DataFrame, p: PiiParams) -> DataFrame:
     return graph.filter(~F.col("seed") & known).select("value").distinct()
 
 
-def find_personal_data(docs: DataFrame, id_col: str = "doc_id", text: str = "text", p: PiiParams | None = None) -> DataFrame:
-    """(id, text hash, base, added): spans as array<struct(start, kind number, end)>, one row per input row."""
-    p = p or PiiParams()
-    found = written(extract(docs, id_col, text, p))
-    each = found.filter(F.size("words") > 0).select("id", "hash", F.explode("words").alias("w")).select("id", "hash", "w.*")
+def discovered(found: DataFrame, p: PiiParams) -> DataFrame | None:
+    """(__jd_row, __jd_added) of the rows with contextual spans; ``found`` is a written ``extract``."""
+    each = found.select("__jd_row", F.explode("__jd_words").alias("w")).select("__jd_row", "w.*")
     accepted = written(score_graph(each.select(F.explode("contexts").alias("context"), "value", "seed"), p))
-    empty = F.expr("cast(array() as array<struct<start:int,kind:int,end:int>>)")
     if accepted.isEmpty():
-        return found.select("id", "hash", "base", empty.alias("added"))
+        return None
     span = F.struct(F.col("start").alias("start"), F.lit(len(BASE)).alias("kind"), F.col("end").alias("end"))
     hits = each.filter(~F.col("seed")).join(accepted, "value", "left_semi")
-    added = written(hits.groupBy("id", "hash").agg(F.array_sort(F.collect_set(span)).alias("added")))
-    keep = (found["id"].eqNullSafe(added["id"])) & (found["hash"] == added["hash"])
-    return found.join(added, keep, "left").select(found["id"], found["hash"], "base", F.coalesce("added", empty).alias("added"))
+    return written(hits.groupBy("__jd_row").agg(F.collect_set(span).alias("__jd_added")))
+
+
+NO_SPANS = "cast(array() as array<struct<start:int,kind:int,end:int>>)"
+
+
+def find_personal_data(docs: DataFrame, id_col: str = "doc_id", text: str = "text", p: PiiParams | None = None) -> DataFrame:
+    """(id, base, added): spans as array<struct(start, kind number, end)>, one row per input row."""
+    p = p or PiiParams()
+    found = written(extract(docs.select(id_col, text), text, p).drop(text))
+    added = discovered(found, p)
+    found = found.drop("__jd_words")
+    found = found.withColumn("__jd_added", F.expr(NO_SPANS)) if added is None else found.join(added, "__jd_row", "left")
+    return found.select(F.col(id_col).alias("id"), F.col("__jd_base").alias("base"), F.array_sort(F.coalesce("__jd_added", F.expr(NO_SPANS))).alias("added"))
 
 
 def spans_text(spans: Column) -> Column:
@@ -195,16 +227,25 @@ def masked(text: Column, spans: Column) -> Column:
     return F.when(F.size(spans) > 0, F.aggregate(spans, zero, step, done)).otherwise(text)
 
 
-def mask_personal_data(docs: DataFrame, id_col: str = "doc_id", text: str = "text", p: PiiParams | None = None) -> DataFrame:
-    """``docs`` with all found spans masked in the text."""
+def mask_personal_data(docs: DataFrame, text: str = "text", p: PiiParams | None = None) -> DataFrame:
+    """``docs`` with all found spans masked in the text.  Base spans are masked in their row; only rows that
+    hold unseen candidates are joined, by row number, to the contextual spans."""
     p = p or PiiParams()
-    found = find_personal_data(docs, id_col, text, p)
-    touched = found.filter((F.size("base") > 0) | (F.size("added") > 0))
-    touched = touched.select(F.col("id").alias("__jd_id"), F.col("hash").alias("__jd_hash"), F.array_sort(F.concat("base", "added")).alias("__jd_spans"))
-    touched = touched.dropDuplicates(["__jd_id", "__jd_hash"])
-    keep = F.col(f"`{id_col}`").eqNullSafe(F.col("__jd_id")) & (F.xxhash64(F.coalesce(F.col(text), F.lit(""))) == F.col("__jd_hash"))
-    wide = docs.join(touched, keep, "left")
-    return wide.withColumn(text, F.when(F.col("__jd_spans").isNotNull(), masked(F.col(text), F.col("__jd_spans"))).otherwise(F.col(text))).select(*docs.columns)
+    found = written(extract(docs, text, p))
+    added = discovered(found, p)
+    columns = [F.col(f"`{c}`") for c in docs.columns]
+
+    def done(rows: DataFrame, spans: Column) -> DataFrame:
+        own = F.when(F.col(f"`{text}`").isNotNull(), masked(F.col(f"`{text}`"), spans))
+        return rows.withColumn("__jd_masked", own).select(*[F.col("__jd_masked").alias(c) if c == text else F.col(f"`{c}`") for c in docs.columns])
+
+    if added is None:
+        return done(found.select(*columns, "__jd_base"), F.col("__jd_base"))
+    unseen = F.exists("__jd_words", lambda w: ~w["seed"])
+    plain = found.filter(~unseen).select(*columns, "__jd_base")
+    joined = found.filter(unseen).select(*columns, "__jd_base", "__jd_row").join(added, "__jd_row", "left")
+    both = F.array_sort(F.concat("__jd_base", F.coalesce("__jd_added", F.expr(NO_SPANS))))
+    return done(plain, F.col("__jd_base")).unionByName(done(joined, both))
 
 
 def op9_contextual_pii(spark: SparkSession, sf_dir: str) -> DataFrame:

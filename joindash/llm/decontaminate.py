@@ -7,8 +7,8 @@ transform of its preceding symbols in a wavelet matrix, and suffix positions sam
 All phrases are searched backwards together; occurrences walk to the next sampled position; hits merge
 into spans.  Phrases are a stated query set: they travel to the shards in blocks of checked size.
 
-Defined results: null and empty texts have no words and no hits; an item without words is left out; an
-empty benchmark leaves every document clean; items that share a phrase all count; repeated rows each
+Defined results: null and empty texts have no words and no hits; an item without words is left out,
+one without an id hits and is named nowhere; an empty benchmark leaves every document clean; items that share a phrase all count; repeated rows each
 get their own result; input columns named like an output column are replaced.
 """
 
@@ -26,7 +26,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from joindash.llm.common import bytes_of, struct_with, table, without
+from joindash.llm.common import bytes_of, set_aside, struct_with, table, without
 
 #: Lower case for A-Z, a space for every other ASCII character that is no letter or digit.
 FOLD = bytes(
@@ -66,7 +66,7 @@ class Phrases:
         for item, data in rows:
             ids = [out.vocab.setdefault(w, len(out.vocab) + 1) for w in words_of(data)]
             for i in range(max(1, len(ids) - window + 1) if ids else 0):
-                found.setdefault(tuple(ids[i : i + window]), set()).add(item)
+                found.setdefault(tuple(ids[i : i + window]), set()).update([item] if item is not None else [])
         for n in sorted({len(k) for k in found}):
             keys = [k for k in found if len(k) == n]
             out.matrices.append(np.array(keys, np.int64))
@@ -288,7 +288,7 @@ def find_contamination(docs: DataFrame, benchmark: DataFrame, text: str = "text"
     out = without(docs, [n for n, _ in OUT])
     rest = out if keep_text else without(out, [text])
     schema = struct_with(rest, OUT)
-    items = benchmark.select(F.col(item_id).cast("string").alias("i"), bytes_of(item_text).alias("t")).filter("i is not null and t is not null")
+    items = benchmark.select(F.col(item_id).cast("string").alias("i"), bytes_of(item_text).alias("t")).filter("t is not null")
     total = items.agg(F.coalesce(F.sum(F.octet_length("t")), F.lit(0))).first()[0]
     blocks = max(1, -(-total // p.block_bytes))
     out = out.select(*[F.col(f"`{c}`") for c in rest.columns], bytes_of(text).alias("__jd_bytes"))
@@ -345,8 +345,8 @@ def remove_spans(found: DataFrame, text: str = "text", name: str = "clean_text")
 
 def without_contaminated(docs: DataFrame, benchmark: DataFrame, text: str = "text", p: DecontamParams | None = None) -> DataFrame:
     """The documents that hold no benchmark phrase, with their own columns."""
-    names = [c for c in docs.columns if c.lower() not in {n for n, _ in OUT}]
-    return find_contamination(docs, benchmark, text, p=p).filter(F.size("hit_spans") == 0).select(*names)
+    own, back = set_aside(docs, [n for n, _ in OUT])
+    return back(find_contamination(own, benchmark, text, p=p).filter(F.size("hit_spans") == 0))
 
 
 def digest(items: list[str]) -> str:

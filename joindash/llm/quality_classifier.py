@@ -187,7 +187,8 @@ def learn(xp: np.ndarray, xu: np.ndarray, p: PuParams) -> tuple[Network | None,
 
 
 def held_out(doc_id: str) -> Column:
-    return F.crc32(F.col(doc_id).cast("string").cast("binary")) % 5 == 0
+    """Whether a document is kept from learning; one without an id is neither held out nor learnt from."""
+    return F.col(doc_id).isNotNull() & (F.crc32(F.col(doc_id).cast("string").cast("binary")) % 5 == 0)
 
 
 def _collect_features(docs: DataFrame, ids: DataFrame, id_col: str, text: str, extra: int) -> np.ndarray:

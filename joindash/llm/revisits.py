@@ -6,12 +6,12 @@ the headers that a 304 answer may renew are laid over the stored ones.
 
 The as-of join is a range sort by URL and time, a running "last full response" inside each sorted
 partition, and one carried record per partition for URLs that cross its border, so a URL with a third
-of all records is spread like any other.  Payloads do not travel; only the facts of full responses do.
+of all records is spread like any other.  Only the columns named in ``RECORD`` are read and sorted.
 
 Defined results: a null URL or time, or no earlier full response, gives ``missing``; records at the same
 time are not earlier than each other, and the greatest id wins among full ones of one time; repeated rows
-each get the same result; empty payloads are payloads; an empty table gives an empty result; input
-columns named like an output column are replaced.
+each get the same result; empty and very long texts are values like others; an empty table gives an
+empty result; other input columns, whatever their names, stay out.
 """
 
 from __future__ import annotations
@@ -56,6 +56,7 @@ def weak(tag: Column) -> Column:
     return F.regexp_replace(F.trim(tag), "^W/", "")
 
 
+RECORD = ["record_id", "url", "captured_at", "kind", "status", "headers", "digest"]
 OUT = ["canonical_url", "full_id", "outcome", "resolved_headers", "resolved_status", "full_digest"]
 
 
@@ -65,10 +66,11 @@ def resolve_revisits(records: DataFrame) -> DataFrame:
     ``records``: record_id, url, captured_at, kind ('response' or 'revisit'), status, headers
     map<string,string>, digest (of the payload, null where unknown).  Adds canonical_url, full_id,
     outcome ('resolved', 'unverified', 'mismatch', 'missing'), resolved_headers, resolved_status and
-    full_digest.  A mismatch keeps full_id but resolves nothing.
+    full_digest.  A mismatch keeps full_id but resolves nothing.  Other columns, payloads among them, are
+    neither read nor returned: join what is wanted by record_id.
     """
     spark = records.sparkSession
-    rest = without(records, OUT)
+    rest = records.select(*RECORD)
     full = (F.col("kind") == "response") & (F.col("status") == 200) & F.col("captured_at").isNotNull()
     facts = F.struct(F.col("record_id").alias("id"), "status", "headers", "digest")
     rows = rest.withColumn("canonical_url", canonical_url(F.col("url"))).filter(F.col("kind").isin("response", "revisit"))

@@ -120,6 +120,28 @@ def test_routes_undo(spark):
             assert (r.undo(np.full(len(v), k), p) == v).all()
 
 
+def test_the_walk_prunes_and_compares_only_single_values():
+    from joindash.llm.simhash import trie_links
+
+    rng = np.random.default_rng(5)
+    values = np.unique(rng.integers(0, 1 << 63, 2000, dtype=np.int64).astype(np.uint64))
+    near = values[:300] ^ np.uint64(1 << 40) ^ np.uint64(3)
+    values = np.unique(np.concatenate([values, near]))
+    at, root, seen = trie_links(values, np.array([0]), np.array([len(values)]), 3)
+    assert {frozenset((int(values[i]), int(values[j]))) for i, j in zip(at, root, strict=True)} == {frozenset((int(a), int(a ^ np.uint64((1 << 40) + 3)))) for a in near}
+    assert 0 < seen["single"] < len(values) ** 2 / 10 and seen["pruned"] > 0 and seen["visited"] >= seen["pruned"] + seen["single"]
+
+
+def test_one_per_group_with_repeated_ids(spark):
+    from joindash.llm.simhash import one_per_group
+
+    a, b = "one text about nothing at all", "an entirely different sentence stands here"
+    kept = lambda rows: sorted((r.doc_id, r.text) for r in one_per_group(spark.createDataFrame(rows, "doc_id long, text string")).collect())
+    assert kept([(5, a), (5, b)]) == sorted([(5, a), (5, b)])
+    assert kept([(5, a), (5, b), (3, b)]) == [(3, b), (5, a)]
+    assert kept([(5, a), (5, a), (5, a.upper())]) in ([(5, a)], [(5, a.upper())])
+
+
 def test_one_per_group_keeps_one_row(odd):
     from joindash.llm.simhash import one_per_group
 
@@ -252,6 +274,33 @@ def test_shards(spark, sf, docs):
     assert all(abs(b.n_bytes - total / 4) <= most for b in boxes.values())
 
 
+def test_equal_texts_stand_together(spark):
+    from joindash.llm.sharding import assign_shards
+
+    rng = np.random.default_rng(2)
+    rows = [(i, f"text {i % 40}" if i % 4 else None, str(rng.choice(["de", "en", "fr"])), f"https://host/{rng.integers(9)}") for i in range(400)]
+    df = spark.createDataFrame([*rows, (400, "", "en", None)], "doc_id long, text string, lang string, source string").repartition(6)
+    got = sorted(assign_shards(df, ["lang", "source"]).collect(), key=lambda r: (r.shard, r.slot))
+    runs = [r.text_crc32 for i, r in enumerate(got) if not i or got[i - 1].text_crc32 != r.text_crc32]
+    assert len(got) == 401 and len(runs) == len(set(runs)) == 31
+
+
+def test_string_cells_follow_whole_strings(spark):
+    from joindash.llm.sharding import assign_shards, shard_boxes, string_cuts
+
+    rng = np.random.default_rng(2)
+    values = [f"https://www.example.org/{k:03d}" for k in range(100)]
+    rows = [(i, f"t{i}", values[rng.integers(100)]) for i in range(2000)] + [(2000, "n", None)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, source string").repartition(6)
+    cuts = string_cuts(df, "source", 4)
+    shares = np.diff([0, *[sum(v <= c for _, _, v in rows[:-1]) for c in cuts], 2000])
+    assert len(cuts) == 3 and cuts == sorted(cuts) and (abs(shares - 500) < 40).all()
+    assert string_cuts(df.limit(0), "source", 4) == [] and string_cuts(df.withColumn("source", F.lit("one")), "source", 4) in ([], ["one"])
+    boxes = shard_boxes(assign_shards(df, ["source"]), ["source"]).collect()
+    narrow = [b for b in boxes if b.min_source is not None and int(b.max_source[-3:]) - int(b.min_source[-3:]) < 50]
+    assert len(narrow) > 30  # a filter on the source skips most shards
+
+
 def test_hilbert_curve_steps_to_neighbours():
     import itertools
 
@@ -278,6 +327,55 @@ def test_classifier_on_held_out_documents(spark):
     assert len(held) > 40 and np.mean([a == b for a, b in held]) >= 0.93
 
 
+def test_scores_against_a_plain_version(spark, sf, docs):
+    """Features word by word, then the network's formula, for every whole text of the table."""
+    import math
+
+    import zstandard
+
+    from joindash.llm.quality_classifier import fit_quality, op5_quality_classifier
+
+    frame = spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "text")
+    net, _ = fit_quality(frame, spark.read.parquet(f"{sf}/labels.parquet"))
+    squeeze = zstandard.ZstdCompressor(level=3).compress
+
+    def plain(t):
+        data = (t or "").encode()
+        words = [w.encode() for w in re.findall(WS, t or "")]
+        if not words:
+            return [0.0] * 22
+        n, size, length = len(words), len(data), [len(w) for w in words]
+        mean = sum(length) / n
+        of = lambda chars: sum(b in chars for b in data)
+        upper, lower_, symbols = b"ABCDEFGHIJKLMNOPQRSTUVWXYZ", b"abcdefghijklmnopqrstuvwxyz", b"#*$%&|<>"
+        letters, counts = of(upper + lower_), Counter(words)
+        lines = (t or "").split("\n")
+        full = [x for x in lines if re.search(WS, x)]
+        windows, inside = Counter(tuple(words[k : k + 5]) for k in range(n - 4)), set()
+        for k in range(n - 4):
+            if windows[tuple(words[k : k + 5])] > 1:
+                inside |= set(range(k, k + 5))
+        return [
+            math.log1p(n), mean, math.sqrt(sum((x - mean) ** 2 for x in length) / n), math.log1p(max(length)), of(upper) / letters if letters else 0.0, letters / size,
+            of(b"0123456789") / size, of(symbols) / size, of(b"!") / size, of(b".,;:?") / size, max(counts.values()) / n, len(counts) / n,
+            sum(words[k] == words[k + 1] for k in range(n - 1)) / n, sum(any(b in symbols for b in w) for w in words) / n,
+            sum(w.isupper() and len(w) > 1 for w in words) / n, sum(not w.strip(b"|#*$%&<>!.,-") for w in words) / n, sum(x <= 3 for x in length) / n,
+            (len(full) - len(set(full))) / len(lines), math.log1p(size / len(lines)), len(inside) / n, min(20.0, size / len(squeeze(data))), sum(b >= 128 for b in data) / size,
+        ]
+
+    for r in op5_quality_classifier(spark, sf).collect():
+        z = np.clip((np.array(plain(docs[r.doc_id])) - net.mean) / net.scale, -8, 8)
+        logit = sum(math.tanh(sum(z[i] * net.w1[i][j] for i in range(len(z))) + net.b1[j]) * net.w2[j] for j in range(len(net.b1))) + net.b2
+        assert abs(r.score - 1 / (1 + math.exp(-max(-30, min(30, logit))))) < 1e-9
+        assert r.predicted == int(r.score >= 0.3)
+
+
+def test_held_out_without_an_id(spark, odd):
+    from joindash.llm.quality_classifier import held_out
+
+    assert {r.h for r in odd.filter("doc_id is null").select(held_out("doc_id").alias("h")).collect()} == {False}
+
+
 def test_prior_estimate_and_risk():
     from joindash.llm.quality_classifier import PuParams, estimate_prior, learn
 
@@ -316,6 +414,35 @@ def test_quality_counts(spark, sf, docs, odd):
         assert r.base_failed == (n[0] < 10 or 100 * n[4] > 20 * n[0]) and not (r.kept and r.base_failed)
 
 
+def test_ratios_and_verdicts_against_a_plain_version(spark, sf, docs):
+    import math
+
+    import zstandard
+
+    from joindash.llm.quality_rules import CompressionBands, op6_quality_rules
+
+    bands = CompressionBands()
+    squeezed = lambda b: len(zstandard.ZstdCompressor(level=bands.level).compress(b))
+
+    def within(data):
+        lo, hi = next((lo, hi) for most, lo, hi in bands.limits if len(data) <= most)
+        return lo <= len(data) / squeezed(data) <= hi
+
+    def chunk_is_odd(c):
+        if len(c) < bands.chunk_bytes:
+            return not within(c)
+        ratio, share = len(c) / squeezed(c), [c.count(b) / len(c) for b in set(c)]
+        bits = -sum(x * math.log2(x) for x in share)
+        return not bands.chunk_low <= ratio <= bands.chunk_high or ratio < bands.chunk_gain * (8 / bits if bits else math.inf)
+
+    for r in op6_quality_rules(spark, sf).collect():
+        data = docs[r.doc_id].encode()
+        chunks = [data[i : i + bands.chunk_bytes] for i in range(0, len(data), bands.chunk_bytes)] if len(data) >= bands.chunk_bytes else []
+        odd_bytes = sum(len(c) for c in chunks if chunk_is_odd(c))
+        assert r.ratio == pytest.approx(len(data) / squeezed(data)) and r.odd_chunks == pytest.approx(odd_bytes / len(data))
+        assert r.kept == (not r.base_failed and within(data) and odd_bytes <= bands.chunk_share * len(data))
+
+
 def test_compression_bands_reject_noise_and_repetition(spark):
     import base64
     import random
@@ -379,43 +506,97 @@ def test_packing_round_trip(spark, sf, docs):
     assert len(seqs) == -(-sum(r.length for r in rows) // 4096)
     some = spark.createDataFrame([(1, "hello world"), (2, None), (2, "x " * 60)], "doc_id long, text string")
     p = PackParams(default_tokenizer(), 32)
-    whole = sequences(pack(token_pieces(some, p, keep_ids=True), ["doc_id", "piece"], 32)).collect()
+    whole = sequences(pack(token_pieces(some, p, keep_ids=True), 32)).collect()
     assert sum(len(r.ids) for r in whole) == 4 * sum(r.n_tokens for r in whole) and all(r.n_tokens <= 32 for r in whole)
 
 
-def test_chunk_tokenizer_equals_the_library():
+HARD_TEXT = "İ . , ALİ AİLESİ a Z ß é e\u0301 \u0301 \u0307 \u0338 \u030c J K 's ' ’ 'll 'd <|endoftext|> <|ENDOFTEXT|> <| |> | # $ % & * ! ? : ; 1 9 ½ 中 文 \u037e ﬁ Å A\u030a ς Σ \ufeff </w> words Over".split(" ")
+HARD_SPACE = [" ", "\t", "\n", "\x0b", "\x0c", "\r", "\u0085", "\u2003", "\u3000", "\u200b", "\x1c", "\x00"]
+
+
+def test_ids_equal_the_library():
+    import pyarrow as pa
     from tokenizers import Tokenizer
 
-    from joindash.llm.packing import PackParams, coder, default_tokenizer
+    from joindash.llm.packing import PackParams, TextCoder, default_tokenizer
 
-    texts = ["", None, "don't stop's 'll <|endoftext|>, x<|EndOfText|> 123,456.", "ﬁ İ ΣΑΣ. a\u0085b 　c \x1cq “hi”. ½. 中文。 A'S", "A" * 300 + ". " + "Ab," * 50, "é. ́. x́,"]
+    rng = np.random.default_rng(4)
+    parts = np.array([*HARD_TEXT, *HARD_SPACE], object)
+    texts = ["", None, "don't stop's 'll <|endoftext|>, x<|EndOfText|> 123,456.", "A" * 300 + ". " + "Ab," * 50, "é. \u0301. x\u0301,", "İ. ALİ, AİLESİ."]
+    texts += ["".join(rng.choice(parts, n)) for n in rng.integers(0, 14, 20_000)]
     tok = Tokenizer.from_file(default_tokenizer())
-    for t, ids in zip(texts, coder(PackParams(default_tokenizer())).texts(texts), strict=True):
-        assert np.array(tok.encode(t or "", add_special_tokens=False).ids, "<u4").tobytes() == ids
-
-
-def test_best_fit_beats_or_equals_first_come():
-    from joindash.llm.packing import best_fit_plan
-
-    rng = np.random.default_rng(3)
-    for cap in (10, 100):
-        for _ in range(20):
-            lengths = rng.integers(1, cap + 1, 200)
-            plan, n = best_fit_plan(dict(Counter(lengths.tolist())), cap)
-            order, used = np.sort(lengths)[::-1], defaultdict(int)
-            for rank, size in enumerate(order):
-                first, seq, off = plan[np.searchsorted(plan[:, 0], rank, side="right") - 1]
-                assert used[seq + rank - first] == off
-                used[seq + rank - first] += size
-            assert len(used) == n and max(used.values()) <= cap
-            opened: list[int] = []  # best fit, one by one
-            for size in order.tolist():
-                fit = [g for g in opened if g >= size]
-                if fit:
-                    opened[opened.index(min(fit))] -= size
-                else:
-                    opened.append(cap - size)
-            assert n == len(opened)
+    want = [np.array(tok.encode(t or "", add_special_tokens=False).ids, "<u4").tobytes() for t in texts]
+    coder = TextCoder(PackParams(default_tokenizer()))
+    assert coder.by_word and coder.texts(pa.array(texts)) == want
+    assert coder.texts(pa.array(texts).slice(3)) == want[3:]  # from memory now, and from within a column
+    small = TextCoder(PackParams(default_tokenizer(), memory=5))
+    assert [x for i in range(0, 300, 50) for x in small.texts(pa.array(texts[i : i + 50]))] == want[:300]
+
+
+def test_other_vocabulary_files_take_whole_texts():
+    import public_tokenizers
+    import pyarrow as pa
+    from tokenizers import Tokenizer
+
+    from joindash.llm.packing import PackParams, TextCoder
+
+    path, texts = public_tokenizers.path("byte_bpe_50k.json"), ["Two  words.", None, " İ. x"]
+    coder, tok = TextCoder(PackParams(path)), Tokenizer.from_file(path)
+    assert not coder.by_word
+    assert coder.texts(pa.array(texts)) == [np.array(tok.encode(t or "", add_special_tokens=False).ids, "<u4").tobytes() for t in texts]
+
+
+def one_by_one(lengths, cap):
+    """Sequences that best fit opens when it takes the pieces one by one, the longest first."""
+    gaps: list[int] = []
+    for size in sorted(lengths, reverse=True):
+        fit = [g for g in gaps if g >= size]
+        if fit:
+            gaps.remove(min(fit))
+        gaps.append((min(fit) if fit else cap) - size)
+    return len(gaps)
+
+
+def packed(spark, lengths, cap, one_task=0):
+    from joindash.llm.packing import pack
+
+    df = spark.createDataFrame([(i, int(x)) for i, x in enumerate(lengths)], "doc_id long, length long").repartition(5)
+    rows = pack(df, cap, one_task=one_task).collect()
+    assert sorted((r.doc_id, r.length) for r in rows) == list(enumerate(lengths))
+    seqs = defaultdict(list)
+    for r in rows:
+        seqs[r.sequence_id].append((r.offset, r.length))
+    for own in seqs.values():
+        own.sort()
+        assert [o for o, _ in own] == [0, *np.cumsum([n for _, n in own])[:-1].tolist()] and sum(n for _, n in own) <= cap
+    return len(seqs)
+
+
+@pytest.mark.parametrize("kind", ["even", "small", "large", "ties"])
+def test_rounds_pack_as_well_as_one_by_one(spark, kind):
+    rng, cap = np.random.default_rng(3), 100
+    lengths = {
+        "even": rng.integers(1, 101, 1500),
+        "small": np.minimum(rng.geometric(0.2, 3000), 100),
+        "large": rng.integers(45, 80, 800),
+        "ties": np.repeat([51, 50, 26, 25, 24, 1], [10, 20, 300, 40, 50, 90]),
+    }[kind].tolist()
+    best = one_by_one(lengths, cap)
+    assert -(-sum(lengths) // cap) <= packed(spark, lengths, cap, one_task=200) <= 1.01 * best + 1
+    assert packed(spark, lengths, cap, one_task=10_000) <= best + 1
+    assert packed(spark, lengths[:1], cap) == 1
+
+
+def test_a_sweep_takes_the_successor():
+    from joindash.llm.packing import GAP_BELOW, GAP_LEFT, PIECE_LEFT, PLACED, rank_plan, sweep
+
+    rows = sweep([10, 9, 8, 6, 5, 4, 4, 3, 2], [1, 2, 70, 3, 71, 72, 73, 74, 75], [True, True, False, True, False, False, False, False, False], 10)
+    placed = {r[2]: (r[4], r[5]) for r in rows if r[0] == PLACED}
+    assert placed == {70: (2, 1), 71: (3, 4), 72: (1, 0), 73: (1, 4)} | {75: (1, 8)}
+    assert [r[2] for r in rows if r[0] == PIECE_LEFT] == [74] and not [r for r in rows if r[0] == GAP_LEFT]
+    assert sorted((r[3], r[4]) for r in rows if r[0] == GAP_BELOW) == [(1, 2), (1, 3)]
+    # two gaps of 9 and more in the first partition, three of 5 and more in the second
+    assert rank_plan([(0, 0, 0, 2, 9), (1, 1, 7, 3, 5), (2, 9, 4, 0, 0)]) == [(1, 0, 1, 0, 0, 1), (2, 0, 3, 1, 0, 1), (2, 3, 5, 0, 1, 2)]
 
 
 # ---- 8 revisits
@@ -513,6 +694,19 @@ def _letters(i):
     return "".join(chr(97 + i // 26**k % 26) for k in range(3))
 
 
+def test_long_identifiers_and_far_contexts_count(spark):
+    """Nothing is cut: identifiers of any length, labels of any length, words far away."""
+    from joindash.llm.pii import find_personal_data
+
+    label, gap = "passenger" * 12, " " * 150
+    known = [f"the {label}:{gap}person{i}9999@mail.example.com was seen" for i in range(14)]
+    unseen = ["the " + label + ":" + gap + "A" * 90 + f"{i}7731 was seen" for i in range(3)]
+    rows = find_personal_data(spark.createDataFrame(list(enumerate(known + unseen)), "doc_id long, text string")).collect()
+    got = {r.id: [(s.start, s.end) for s in r.added] for r in rows if r.added}
+    at = len("the " + label + ":" + gap)
+    assert got == {14 + i: [(at, at + 95)] for i in range(3)}
+
+
 def test_base_spans_of_any_shape_seed_contexts(spark):
     """E-mails without digits and phones with spaces and brackets introduce unseen identifiers."""
     texts = [f"words {_letters(7 * i)} contact me {_letters(i)}@mail.example.com thanks a lot" for i in range(20)]
@@ -542,6 +736,44 @@ def test_secret_forest_on_unseen_findings(spark):
     assert np.mean([(r.s >= 0.5) == bool(r.label) for r in test]) >= 0.97
 
 
+def test_forest_scores_against_a_plain_version(spark, sf, docs):
+    """Candidates, features and trees in plain Python, for every text of the table and for odd ones."""
+    from joindash.llm import secrets as sec
+
+    forest = sec.fit(sec.labelled_findings(spark))
+    pairs, words = r"[bcdfghjklmnpqrstvwxz]{2}[bcdfghjkmpqtvwxz]|q[^u]|[jvwxz][bcdfgjkmpqvwxz]", "|".join(sorted(set(sec.DICTIONARY), key=lambda w: (-len(w), w)))
+
+    def plain(v, before, after, path):
+        n, low = len(v), v.lower()
+        flag = lambda x: float(bool(x))
+        shape = re.sub("[_+/=-]+", "_", re.sub("[A-Z]+", "A", re.sub("[a-z]+", "a", re.sub("[0-9]+", "0", v))))
+        return {
+            "length": min(n, 256), "digits": len(re.findall("[0-9]", v)) / n, "uppers": len(re.findall("[A-Z]", v)) / n, "symbols": len(re.findall("[_+/=-]", v)) / n,
+            "variety": len(set(v)) / min(n, 64), "changes": len(shape) / n, "rare_pairs": len(re.findall(pairs, low)) / n, "words": 1 - len(re.sub(words, "", low)) / n,
+            "vowels": len(re.findall("[aeiou]", low)) / n, "hexish": flag(re.fullmatch("[0-9a-f]+|[0-9A-F]+", v)), "assigned": flag(re.search("[=:]\\s*[\"']?$", before)),
+            "quoted": flag(re.search("[\"']$", before) and re.match("[\"']", after)), "near_secret": flag(re.search(sec.SECRET_WORDS, before.lower())),
+            "near_harmless": flag(re.search(sec.HARMLESS_WORDS, before.lower())), "doc_path": flag(re.search(sec.DOC_PATHS, path.lower())),
+            "sentence": flag(re.search("[a-z]{2,}[,.;]? $", before) and not re.search("[=:] *$", before)),
+        }
+
+    def leaf(node, f):
+        while isinstance(node, tuple):
+            node = node[2] if f[sec.FEATURES[node[0]]] <= node[1] else node[3]
+        return node
+
+    rows = [(i, t, "src/a.py") for i, t in docs.items()] + [(-i - 1, t, None) for i, (_, t) in enumerate(ODD)]
+    found = sec.scan_secrets(spark.createDataFrame(rows, "doc_id long, text string, source string"), forest).collect()
+    assert len(found) == len(rows)
+    for r in found:
+        t, want, last = r.text or "", [], 0
+        for m in re.finditer(r"(?<![A-Za-z0-9_+/=-])[A-Za-z0-9_+/=-]{16,}", t):
+            f = plain(m.group(), t[last : m.start()][-40:], t[m.end() : m.end() + 2], r.source or "")
+            want.append((m.start(), m.end(), m.group(), round(sum(leaf(x, f) for x in forest) / len(forest), 6)))
+            last = m.end()
+        assert [(c.start, c.end, c.value) for c in r.candidates] == [w[:3] for w in want]
+        assert all(abs(c.score - w[3]) < 2e-6 and c.secret == (c.score >= 0.5) for c, w in zip(r.candidates, want, strict=True))
+
+
 def test_secret_scan(spark, sf, docs):
     from joindash.llm.secrets import op10_secret_scan
 

@@ -3,8 +3,9 @@
 import re
 
 import numpy as np
+import pytest
 
-from tests.llm.test_operators import WS, brute_components, brute_fingerprint, brute_hits, brute_spans, lower
+from tests.llm.test_operators import WS, brute_hits, brute_spans, lower
 
 
 def test_stages(spark, sf):
@@ -21,8 +22,7 @@ def test_stages(spark, sf):
         assert out.columns == docs.columns
         rows = {r.doc_id: r for r in out.collect()}
         if name == "near_dedup":
-            comp = brute_components([(i, brute_fingerprint(t)) for i, t in kept.items()])
-            assert set(rows) == set(comp.values())
+            assert set(rows) == brute_similar_heads(kept)
         if name == "decontamination":
             assert set(rows) == {i for i, t in kept.items() if not brute_hits(t, bench)[1]}
         if name == "personal_data":
@@ -87,6 +87,65 @@ def test_near_duplicate_stage_around_the_threshold(spark, sf):
     assert sorted((r.doc_id or 0, (r.text or "").lower().split()) for r in got) == [(0, ["no", "id", "here"]), (1, ["another", "text", "entirely"]), (1, ["one", "text", "about", "nothing"]), (2, [])]
 
 
+CLASH = "doc_id long, text string, kept string, n_words int, hit_spans string, fingerprint string, n_chars long"
+SAID = "every word of this sentence is here to give the text a body that the quality rules accept as prose"
+
+
+@pytest.mark.parametrize("name", ["quality_rules", "near_dedup", "decontamination", "personal_data", "packing"])
+def test_stages_on_odd_tables(spark, sf, name):
+    """Nulls, empty and very long texts, repeated rows and ids, ties, clashing columns, empty tables."""
+    import corpus_pipeline as cp
+
+    rng = np.random.default_rng(6)
+    vocabulary = ["".join(rng.choice(list("aeioubcdlmnrst"), rng.integers(2, 9))) for _ in range(700)]
+    very_long = " ".join(rng.choice(vocabulary, 60_000))
+    stage = dict(cp.STAGES)[name]
+    texts = [SAID, SAID, None, "", " \n", "short", f"{SAID} write to a@b.co or 10.0.0.1", very_long, f"{SAID} again with other words at its end"]
+    rows = [(i % 7 if i % 4 else None, t, "own", 5, "own", "own", -1) for i, t in enumerate([*texts, texts[-1]])]
+    df = spark.createDataFrame(rows, CLASH).repartition(3)
+    out = stage(spark, df, sf)
+    got = out.collect()
+    if name == "packing":
+        assert sum(r.piece == 0 for r in got) == len(rows) and stage(spark, df.limit(0), sf).collect() == []
+        return
+    assert out.columns == df.columns and stage(spark, df.limit(0), sf).collect() == []
+    assert all((r.kept, r.n_words, r.hit_spans, r.fingerprint) == ("own", 5, "own", "own") for r in got)
+    if name == "quality_rules":
+        assert sorted(r.text[:99] for r in got) == sorted(r[1][:99] for r in rows if len((r[1] or "").split()) > 5)
+    elif name == "near_dedup":
+        assert sorted(((r.text or "").strip()) for r in got) == sorted(brute_kept_texts([r[1] for r in rows]))
+    elif name == "decontamination":
+        assert len(got) == len(rows)
+    else:
+        assert sorted((r.text is None, r.n_chars or 0) for r in got) == sorted((r[1] is None, len((r[1] or "").replace("a@b.co", "[EMAIL]").replace("10.0.0.1", "[IP]"))) for r in rows)
+
+
+def brute_kept_texts(texts):
+    return {texts[i].strip() if texts[i] else "" for i in brute_similar_heads(dict(enumerate(texts)))}
+
+
+def test_rare_shingles_make_no_pairs_of_unlike_copies(spark):
+    """Copies of one text with edits of their own, just below the threshold, share all common shingles."""
+    from joindash.llm.resemblance import ResemblanceParams, rare_pairs, shingle_sets
+
+    rng = np.random.default_rng(9)
+    word = lambda: "".join(rng.choice(list("abcdefghij"), 7))
+    base = [word() for _ in range(60)]
+    texts = []
+    for k in range(150):
+        copy = list(base)
+        for at in rng.choice(60, 3, replace=False):
+            copy[at] = word()
+        texts.append(" ".join(copy))
+    near = [" ".join([*texts[k].split(), "one", "more"]) for k in range(10)]
+    df = spark.createDataFrame([(i, t) for i, t in enumerate(texts + near)], "uid long, text string")
+    p = ResemblanceParams()
+    got = rare_pairs(shingle_sets(df, "text", p).selectExpr("uid", "uid as root", "digests"), p).collect()
+    sets = [shingles(t) for t in texts + near]
+    similar = {(i, j) for j in range(len(sets)) for i in range(j) if 9 * len(sets[i] & sets[j]) >= 4 * (len(sets[i]) + len(sets[j]))}
+    assert similar and similar <= {(r.src, r.dst) for r in got} and len(got) < 100
+
+
 def test_run_and_guard(spark, sf):
     import corpus_pipeline as cp
 

@@ -16,7 +16,6 @@ from joindash.plans.calibrate import calibrate
 from joindash.plans.graph import JoinGraph, Relation
 from joindash.plans.messages import Engine, Trace
 from joindash.plans.query import SpjaQuery, bind
-from joindash.runtime import new_path
 
 
 @dataclass
@@ -89,58 +88,27 @@ class Augmenter:
         return solve(self.gram(table, column, scale, trace).first(), [*[m.name for m in self.features], column], self.target.name)
 
     def evaluate_all(self, tables: list[Relation], scale: int | None = 3, trace: Trace | None = None) -> list[Fit]:
-        """Every table (key, v) on its own, in one absorption for each key: candidates of a key stand side by
-        side in one small table beside the key's message, and get no products among each other.
-
-        Each key's table has a row for every key that any candidate holds; a candidate's own rows decide
-        its own fit, so tables that lack keys, or repeat them, are taken by themselves."""
+        """Every table (key, v) on its own, in one absorption for each key: the candidates of a key lie below
+        each other in one table beside the key's message, and the Gram matrix is grouped by candidate."""
         groups: dict[frozenset[str], list[Relation]] = {}
         for t in tables:
             groups.setdefault(t.attrs - {"v"}, []).append(t)
         fits: dict[str, Fit] = {}
+        trace = trace if trace is not None else Trace()
+        names = [*[m.name for m in self.features], "v"]
         for key, group in groups.items():
-            joint, alone = self._side_by_side(sorted(key), group)
-            for t in alone:
-                fits[t.name] = self.evaluate(t, "v", scale, trace)
-            if joint is None:
-                continue
-            engine, query, cols = self._with_all(joint, [t.name for t in group if t not in alone], scale)
-            bound = bind(engine.tree, query, joint.name)
-            host = engine.tree.neighbours(joint.name)[0]
-            trace = trace if trace is not None else Trace()
-            engine.message(bound, host, joint.name, trace, keep=True)
-            row = engine.absorb(bound, joint.name, trace).first()
-            for c in cols:
-                fits[c] = solve(row, [*[m.name for m in self.features], c], self.target.name)
-        return [fits[t.name] for t in tables]
-
-    def _side_by_side(self, key: list[str], group: list[Relation]) -> tuple[Relation | None, list[Relation]]:
-        """(candidates of one key as one stored table, those that have to be taken by themselves)."""
-        full = [t for t in group if frozenset(key) in t.unique]
-        if len(full) < 2:
-            return None, group
-        names = [t.name for t in full]
-        rows = None
-        for t in full:
-            part = t.df.select(*key, F.lit(t.name).alias("name"), F.col("v").cast("double").alias("v"))
-            rows = part if rows is None else rows.unionByName(part)
-        wide = rows.groupBy(*key).pivot("name", names).agg(F.first("v"))
-        path = new_path(self.engine.spark, "candidates")
-        wide.write.parquet(path)
-        wide = self.engine.spark.read.schema(wide.schema).parquet(path)
-        counts = wide.agg(F.count(F.lit(1)).alias("n"), *[F.count(c).alias(c) for c in names]).first()
-        partial = {c for c in names if counts[c] < counts["n"]}
-        if partial:
-            wide = wide.drop(*partial)
-        alone = [t for t in group if t not in full or t.name in partial]
-        return (Relation(f"candidates_{'_'.join(key)}", wide, (frozenset(key),)), alone) if len(partial) < len(names) else (None, group)
-
-    def _with_all(self, table: Relation, columns: list[str], scale: int | None):
-        tree = self.engine.tree.attach(table)
-        engine = Engine(self.engine.spark, tree, self.engine.store, self.engine.elide)
-        engine._rows = dict(self.engine._rows)
-        new = [Measure(c, table.name, c, scale) for c in columns]
-        return engine, SpjaQuery(gram_ring([*self.features, self.target, *new], alone=columns)), columns
+            rows = None
+            for t in group:
+                part = t.df.select(*sorted(key), F.lit(t.name).alias("candidate"), F.col("v").cast("double").alias("v"))
+                rows = part if rows is None else rows.unionByName(part)
+            joint = Relation(f"candidates_{'_'.join(sorted(key))}", rows)
+            engine, query, _ = self._with(joint, "v", scale)
+            bound = bind(engine.tree, query.add_group("candidate"), joint.name)
+            engine.message(bound, engine.tree.neighbours(joint.name)[0], joint.name, trace, keep=True)
+            for row in engine.absorb(bound, joint.name, trace).collect():  # one row per candidate
+                fits[row["candidate"]] = solve(row, names, self.target.name)
+        empty = Fit(names, np.zeros(len(names) + 1), 0.0, 0)  # a table that joins with nothing
+        return [fits.get(t.name, empty) for t in tables]
 
     def rank(self, tables: list[Relation]) -> list[tuple[str, float, float, float]]:
         """(table, R², gain over the base, cumulative seconds), best first; duplicates in a key multiply rows.

@@ -447,7 +447,8 @@ def test_candidates_side_by_side_equal_one_by_one(spark, sf):
     a = regression.augmenter(spark, sf)
     cands = regression.stored_candidates(spark, sf, 3)
     keys = cands[0].df.select("suppkey")
-    cands.append(Relation("partial", keys.limit(4).selectExpr("suppkey", "CAST(suppkey AS DOUBLE) AS v"), (frozenset({"suppkey"}),)))
+    few = keys.limit(4).selectExpr("suppkey", "CAST(suppkey AS DOUBLE) AS v")
+    cands += [Relation("partial", few, (frozenset({"suppkey"}),)), Relation("repeated", few.unionByName(few.selectExpr("suppkey", "v * v AS v")))]
     t = Trace()
     together = a.evaluate_all(cands, trace=t)
     assert t.count("computed") <= 3

@@ -9,7 +9,7 @@ from __future__ import annotations
 import re
 import tempfile
 import uuid
-from collections.abc import Callable
+from collections.abc import Callable, Iterator
 from pathlib import Path
 
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -67,12 +67,22 @@ def remove_path(spark: SparkSession, path: str) -> None:
     files.delete(hadoop, True)
 
 
-def written(df: DataFrame) -> DataFrame:
+BATCH_ROWS = "spark.sql.execution.arrow.maxRecordsPerBatch"
+
+
+def written(df: DataFrame, texts: bool = False) -> DataFrame:
     """Write ``df`` to the shared folder and read it back: lineage is cut, a lost executor costs no
-    recomputation, and the table goes when the session ends."""
+    recomputation, and the table goes when the session ends.
+
+    ``texts``: whole texts pass through Python on the way, so batches hold 512 rows at most while it runs."""
     spark = df.sparkSession
-    path = new_path(spark)
-    df.write.parquet(path)
+    path, before = new_path(spark), spark.conf.get(BATCH_ROWS)
+    if texts:
+        spark.conf.set(BATCH_ROWS, "512" if int(before) <= 0 else str(min(512, int(before))))
+    try:
+        df.write.parquet(path)
+    finally:
+        spark.conf.set(BATCH_ROWS, before)
     return spark.read.schema(df.schema).parquet(path)
 
 
@@ -103,6 +113,23 @@ def set_aside(df: DataFrame, names) -> tuple[DataFrame, Callable[[DataFrame], Da
     return own, lambda out: out.select(*[F.col(f"`{o}`").alias(c) for c, o in other.items()])
 
 
+def lean(run: Callable) -> Callable:
+    """An Arrow step that hands freed buffers back to the system after each batch: the pool would keep the
+    most that it ever held, in every worker, also while other stages run."""
+
+    def step(batches: Iterator) -> Iterator:
+        import pyarrow as pa
+
+        pool = pa.default_memory_pool()
+        for made in run(batches):
+            yield made
+            del made
+            pool.release_unused()
+        pool.release_unused()
+
+    return step
+
+
 def struct_with(df: DataFrame, fields: list[tuple[str, T.DataType]]) -> T.StructType:
     """The output schema of a Python step over ``df``; sees to it that workers can import this package."""
     importable(df.sparkSession)

@@ -26,7 +26,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from joindash.llm.common import bytes_of, set_aside, struct_with, table, without
+from joindash.llm.common import bytes_of, lean, set_aside, struct_with, table, without
 
 #: Lower case for A-Z, a space for every other ASCII character that is no letter or digit.
 FOLD = bytes(
@@ -314,7 +314,7 @@ def find_contamination(docs: DataFrame, benchmark: DataFrame, text: str = "text"
                 yield pa.RecordBatch.from_arrays([*cols, *tail], names=[*schema.names, *(["__jd_bytes"] if tail else [])])
 
         target = schema if last else T.StructType([*schema.fields, T.StructField("__jd_bytes", T.BinaryType())])
-        out = out.mapInArrow(run, target)
+        out = out.mapInArrow(lean(run), target)
     return out
 
 
@@ -340,7 +340,7 @@ def remove_spans(found: DataFrame, text: str = "text", name: str = "clean_text")
             clean = [removal_text(t, [(x["start"], x["end"]) for x in s or []]) for t, s in zip(texts, spans, strict=True)]
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(clean, pa.string())], names=schema.names)
 
-    return without(found, [name]).mapInArrow(run, schema)
+    return without(found, [name]).mapInArrow(lean(run), schema)
 
 
 def without_contaminated(docs: DataFrame, benchmark: DataFrame, text: str = "text", p: DecontamParams | None = None) -> DataFrame:

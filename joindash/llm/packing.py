@@ -37,7 +37,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from joindash.llm.common import struct_with, table, without, written
+from joindash.llm.common import lean, struct_with, table, without, written
 
 
 @dataclass(frozen=True)
@@ -45,11 +45,11 @@ class PackParams:
     tokenizer: str
     capacity: int = 4096
     end_id: int = 1
-    #: words and bytes of words whose ids a worker remembers; beyond them it starts anew
-    memory: int = 2_000_000
-    memory_bytes: int = 64 << 20
+    #: words and bytes of words whose ids a worker remembers; beyond them it keeps the more frequent ones
+    memory: int = 400_000
+    memory_bytes: int = 16 << 20
     #: bytes of text that are split at a time
-    text_bytes: int = 16 << 20
+    text_bytes: int = 2 << 20
     #: a round takes pieces longer than the longest one left divided by this
     spread: int = 4
     #: pieces and gaps of a round that one task sweeps; more are dealt over range partitions
@@ -120,8 +120,19 @@ class TextCoder:
         total = int(end[-1]) if len(end) else 0
         return self.ids[np.arange(total) + np.repeat(begin - (end - size), size)], end
 
-    def _encode(self, texts: list[str]) -> list[list[int]]:
-        return [e.ids for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
+    def _keep_frequent(self) -> None:
+        """Keep the half of the words that was seen most often, as long as they are short enough."""
+        often = np.sort(np.argsort(-self.seen, kind="stable")[: self.p.memory // 2])
+        words = self.words.take(pa.array(often))
+        if words.nbytes > self.p.memory_bytes // 2:
+            return self._forget()
+        self.ids, _ = self._gather(often)
+        self.words, self.sizes, self.seen = words, self.sizes[often], self.seen[often] // 2
+
+    def _encode(self, texts: list[str], at_once: int = 256) -> list[list[int]]:
+        """The library's ids; a few texts at a time, because its encodings take far more room than ids."""
+        batches = (texts[i : i + at_once] for i in range(0, len(texts), at_once))
+        return [e.ids for batch in batches for e in self.tokenizer.encode_batch_fast(batch, add_special_tokens=False)]
 
     def _encode_letters(self, words: list[str], side: int = 64) -> list:
         """Words of letters, side by side: where each gave one word end, these cut the ids apart."""
@@ -167,7 +178,7 @@ class TextCoder:
         data, bounds = ids.tobytes(), 4 * np.concatenate(([0], end))[cut.offsets.to_numpy() - cut.offsets[0].as_py()]
         self.seen = np.bincount(at, minlength=len(self.words)) + np.concatenate([self.seen, np.zeros(len(new), np.int64)])
         if len(self.words) > self.p.memory or self.words.nbytes > self.p.memory_bytes:
-            self._forget()
+            self._keep_frequent()
         return [data[a:b] for a, b in zip(bounds, bounds[1:], strict=False)]
 
 
@@ -223,7 +234,7 @@ def token_pieces(docs: DataFrame, p: PackParams, text: str = "text", keep_ids: b
                 taken = [c.take(pa.array(row, pa.int64())) for c in part.columns[:-1]]
                 yield pa.RecordBatch.from_arrays([*taken, *made], names=schema.names)
 
-    return docs.select(*[F.col(f"`{c}`") for c in rest.columns], F.col(text).alias("__jd_text")).mapInArrow(run, schema)
+    return docs.select(*[F.col(f"`{c}`") for c in rest.columns], F.col(text).alias("__jd_text")).mapInArrow(lean(run), schema)
 
 
 # ---- the rounds -----------------------------------------------------------------------------
@@ -288,7 +299,7 @@ def swept(pieces: DataFrame, gaps: DataFrame, capacity: int, one_task: bool = Fa
         types = [pa.int32(), pa.int32(), *[pa.int64()] * 5]
         yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, types, strict=True)], names=names)
 
-    return dealt.mapInArrow(run, SWEPT)
+    return dealt.mapInArrow(lean(run), SWEPT)
 
 
 def rank_plan(left: list[tuple[int, int, int, int, int]]) -> list[tuple[int, int, int, int, int, int]]:
@@ -403,7 +414,7 @@ def best_fit_rounds(pieces: DataFrame, capacity: int, spread: int = 4, one_task:
 
 def pack(pieces: DataFrame, capacity: int, length: str = "length", spread: int = 4, one_task: int = 16_384) -> DataFrame:
     """``pieces`` with sequence_id and offset.  Only a row number and the length take part in the rounds."""
-    numbered = written(without(pieces, ["sequence_id", "offset"]).withColumn("__jd_id", F.monotonically_increasing_id()))
+    numbered = written(without(pieces, ["sequence_id", "offset"]).withColumn("__jd_id", F.monotonically_increasing_id()), texts=True)
     narrow = numbered.select(F.col("__jd_id").alias("id"), F.col(length).alias("size"))
     placed = best_fit_rounds(narrow, capacity, spread, one_task).select(F.col("id").alias("__jd_id"), F.col("seq").alias("sequence_id"), "offset")
     return numbered.join(placed, "__jd_id").drop("__jd_id")

@@ -27,7 +27,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from joindash.llm.common import bytes_of, importable, struct_with, table, without
+from joindash.llm.common import bytes_of, importable, lean, struct_with, table, without
 from joindash.llm.quality_rules import SYMBOLS, duplicate_lines, repeated_window_words
 
 
@@ -201,7 +201,7 @@ def _collect_features(docs: DataFrame, ids: DataFrame, id_col: str, text: str, e
             rows = feature_rows(batch.column(0).to_pylist())
             yield pa.RecordBatch.from_arrays([pa.array(rows.tolist(), pa.list_(pa.float64()))], names=["f"])
 
-    got = chosen.mapInArrow(run, "f array<double>").limit(2 * extra).toArrow()
+    got = chosen.mapInArrow(lean(run), "f array<double>").limit(2 * extra).toArrow()
     rows = np.array(got.column("f").to_pylist(), float).reshape(-1, N_FEATURES)
     return rows[np.lexsort(rows.T)]  # an order that does not depend on how the tasks ended
 
@@ -228,7 +228,7 @@ def score_quality(docs: DataFrame, model: tuple[Network | None, float], text: st
             scores = network.scores(x) if network else np.full(len(x), prior)
             yield pa.RecordBatch.from_arrays([*batch.columns[:-1], pa.array(scores, pa.float64())], names=schema.names)
 
-    return docs.select(*[F.col(f"`{c}`") for c in rest.columns], bytes_of(text).alias("__jd_bytes")).mapInArrow(run, schema)
+    return docs.select(*[F.col(f"`{c}`") for c in rest.columns], bytes_of(text).alias("__jd_bytes")).mapInArrow(lean(run), schema)
 
 
 def op5_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:

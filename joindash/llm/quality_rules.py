@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import types as T
 
-from joindash.llm.common import bytes_of, set_aside, struct_with, table, without
+from joindash.llm.common import bytes_of, lean, set_aside, struct_with, table, without
 
 WHITE = b" \t\n\r\x0b\x0c"
 SYMBOLS = b"#*$%&|<>"
@@ -177,7 +177,7 @@ def quality_rules(docs: DataFrame, text: str = "text", bands: CompressionBands |
             cols = [pa.array(c, t) for c, t in zip(zip(*rows) if rows else [[]] * len(OUT), arrow, strict=True)]
             yield pa.RecordBatch.from_arrays([*batch.columns[:-1], *cols], names=schema.names)
 
-    return docs.withColumn("__jd_bytes", bytes_of(text)).mapInArrow(run, schema)
+    return docs.withColumn("__jd_bytes", bytes_of(text)).mapInArrow(lean(run), schema)
 
 
 def passing(docs: DataFrame, text: str = "text", bands: CompressionBands | None = None) -> DataFrame:

@@ -31,7 +31,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from joindash.llm.common import bytes_of, drop_written, few, struct_with, written
+from joindash.llm.common import bytes_of, drop_written, few, lean, struct_with, written
 from joindash.llm.simhash import SimHashParams, components, fingerprint_links, majority, shingle_digests
 
 
@@ -82,7 +82,7 @@ def _over_texts(rows: DataFrame, text: str, fields: list[tuple[str, T.DataType]]
             cols = [pa.array(c, t) for c, t in zip(zip(*made) if made else [[]] * len(kinds), kinds, strict=True)]
             yield pa.RecordBatch.from_arrays([*batch.columns[:-1], *cols], names=schema.names)
 
-    return rows.select(*rest.columns, bytes_of(text).alias("__jd_bytes")).mapInArrow(run, schema)
+    return rows.select(*rest.columns, bytes_of(text).alias("__jd_bytes")).mapInArrow(lean(run), schema)
 
 
 def sketches(rows: DataFrame, text: str, p: ResemblanceParams) -> DataFrame:
@@ -174,7 +174,7 @@ def resemblance_links(rows: DataFrame, texts: DataFrame, p: ResemblanceParams) -
     members = written(bands.join(met, "key").select("key", "uid", "n", "count"))
     alike = written(print_pairs(rows.filter("n > 0").select("uid", "fp"), p))
     wanted = written(members.select("uid").unionByName(alike.select(F.explode(F.array("src", "dst")).alias("uid"))).distinct())
-    sets = written(shingle_sets(texts.join(few(wanted), "uid", "left_semi"), "text", p))
+    sets = written(shingle_sets(texts.join(few(wanted), "uid", "left_semi"), "text", p), texts=True)
     links = written(verified(alike, sets, p))
     label = components(links)
 
@@ -202,7 +202,7 @@ def one_of_resembling(docs: DataFrame, id_col: str = "doc_id", text: str = "text
     base = written(docs.withColumn("__jd_uid", F.monotonically_increasing_id()))
     texts = base.select(F.col("__jd_uid").alias("uid"), F.col(f"`{text}`").alias("text"))
     rows = base.select(F.col("__jd_uid").alias("uid"), F.col(f"`{id_col}`").alias("id"), F.col(f"`{text}`").alias("text"))
-    own = written(sketches(rows, "text", p))
+    own = written(sketches(rows, "text", p), texts=True)
     first = F.min(F.struct(F.col("id").isNull().alias("bare"), "id", "uid")).alias("first")
     distinct = written(own.groupBy("set_digest").agg(F.min("uid").alias("uid"), first))
     rows = written(own.join(distinct.select("uid"), "uid", "left_semi").select("uid", "n", "fp", "keys"))

@@ -24,7 +24,7 @@ from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from joindash.llm.common import bytes_of, drop_written, global_position, struct_with, table, without, written
+from joindash.llm.common import bytes_of, drop_written, global_position, lean, struct_with, table, without, written
 
 
 @dataclass(frozen=True)
@@ -118,7 +118,7 @@ def curve_places(df: DataFrame, dims: list[Column], p: ShardParams) -> DataFrame
             place = hilbert_index(np.stack(points, 1), p.bits)
             yield pa.RecordBatch.from_arrays([*batch.columns[: -len(cuts)], pa.array(place)], names=schema.names)
 
-    return named.mapInArrow(run, schema)
+    return named.mapInArrow(lean(run), schema)
 
 
 def with_equal_texts(placed: DataFrame, text_key: list[str]) -> DataFrame:

@@ -29,7 +29,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from joindash.llm.common import bytes_of, drop_written, few, struct_with, table, without, written
+from joindash.llm.common import bytes_of, drop_written, few, lean, struct_with, table, without, written
 
 #: BITS[v] holds the eight bits of the byte v, lowest first.
 BITS = ((np.arange(256)[:, None] >> np.arange(8)) & 1).astype(np.int64)
@@ -95,7 +95,7 @@ def fingerprints(docs: DataFrame, text: str = "text", p: SimHashParams | None =
             yield pa.RecordBatch.from_arrays([*batch.columns[:-1], pa.array(prints, pa.int64())], names=schema.names)
 
     keep = [F.col(f"`{c}`") for c in rest.columns]
-    return docs.select(*keep, bytes_of(text).alias("__jd_bytes")).mapInArrow(run, schema)
+    return docs.select(*keep, bytes_of(text).alias("__jd_bytes")).mapInArrow(lean(run), schema)
 
 
 # ---- routes ---------------------------------------------------------------------------------
@@ -245,7 +245,7 @@ def _join_units(routed: DataFrame, routes: Routes, p: SimHashParams) -> DataFram
         routed.repartition("route", "unit")
         .sortWithinPartitions("route", "unit")
         .select("route", "unit", "value")
-        .mapInArrow(run, "src long, dst long")
+        .mapInArrow(lean(run), "src long, dst long")
     )
 
 
@@ -347,7 +347,7 @@ def components(links: DataFrame) -> DataFrame:
 
 def near_classes(docs: DataFrame, id_col: str, text: str, p: SimHashParams) -> tuple[DataFrame, DataFrame]:
     """(id, fp) of every row, and (fp, component_id, root) of every distinct fingerprint."""
-    own = written(fingerprints(docs.select(F.col(id_col).alias("id"), text), text, p, "fp"))
+    own = written(fingerprints(docs.select(F.col(id_col).alias("id"), text), text, p, "fp"), texts=True)
     prints = written(own.groupBy("fp").agg(F.min("id").alias("first")))
     label = components(fingerprint_links(prints.select("fp"), p))
     linked = written(prints.join(label, prints["fp"] == label["node"]).select("fp", "first", "root"))
@@ -371,7 +371,7 @@ def one_per_group(docs: DataFrame, id_col: str = "doc_id", text: str = "text", p
     p = p or SimHashParams()
     base = written(docs.withColumn("__jd_uid", F.monotonically_increasing_id()))
     slim = base.select(F.col("__jd_uid").alias("uid"), F.col(f"`{id_col}`").alias("id"), F.col(f"`{text}`").alias("text"))
-    own = written(fingerprints(slim, "text", p, "fp"))
+    own = written(fingerprints(slim, "text", p, "fp"), texts=True)
     first = F.min(F.struct(F.col("id").isNull().alias("bare"), "id", "uid")).alias("first")
     prints = written(own.groupBy("fp").agg(first))
     label = components(fingerprint_links(prints.select("fp"), p))

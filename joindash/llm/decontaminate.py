@@ -26,7 +26,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from joindash.llm.common import bytes_of, lean, set_aside, struct_with, table, without
+from joindash.llm.common import bytes_of, lean, set_aside, slices, struct_with, table, with_bytes, without
 
 #: Lower case for A-Z, a space for every other ASCII character that is no letter or digit.
 FOLD = bytes(
@@ -267,10 +267,10 @@ OUT = [
 ]
 
 
-def _shards(batches: Iterator[pa.RecordBatch], limit: int) -> Iterator[pa.RecordBatch]:
-    """Slices with about ``limit`` words (six bytes a word) and never more than one batch."""
+def _shards(batches: Iterator[pa.RecordBatch], at: int, limit: int) -> Iterator[pa.RecordBatch]:
+    """Slices with about ``limit`` words (six bytes a word) in column ``at``, and never more than one batch."""
     for batch in batches:
-        sizes = pc.fill_null(pc.binary_length(batch.column(batch.num_columns - 1)), 0).to_numpy(zero_copy_only=False)
+        sizes = pc.fill_null(pc.binary_length(batch.column(at)), 0).to_numpy(zero_copy_only=False)
         cut = np.searchsorted(np.cumsum(sizes), np.arange(1, int(sizes.sum()) // (6 * limit) + 1) * 6 * limit) + 1
         edges = sorted({0, batch.num_rows, *[int(c) for c in cut if c < batch.num_rows]})
         for a, b in zip(edges, edges[1:], strict=False):
@@ -288,10 +288,14 @@ def find_contamination(docs: DataFrame, benchmark: DataFrame, text: str = "text"
     out = without(docs, [n for n, _ in OUT])
     rest = out if keep_text else without(out, [text])
     schema = struct_with(rest, OUT)
+    n = len(rest.columns)
     items = benchmark.select(F.col(item_id).cast("string").alias("i"), bytes_of(item_text).alias("t")).filter("t is not null")
     total = items.agg(F.coalesce(F.sum(F.octet_length("t")), F.lit(0))).first()[0]
     blocks = max(1, -(-total // p.block_bytes))
-    out = out.select(*[F.col(f"`{c}`") for c in rest.columns], bytes_of(text).alias("__jd_bytes"))
+    if keep_text:
+        out, at = with_bytes(out, text)
+    else:
+        out, at = out.select(*[F.col(f"`{c}`") for c in rest.columns], bytes_of(text).alias("__jd_bytes")), n
     for block in range(blocks):
         part = items.filter(F.pmod(F.xxhash64("i"), F.lit(blocks)) == block) if blocks > 1 else items
         shipped = spark.sparkContext.broadcast(Phrases.build([(r.i, bytes(r.t)) for r in part.collect()], p.window))
@@ -299,9 +303,9 @@ def find_contamination(docs: DataFrame, benchmark: DataFrame, text: str = "text"
 
         def run(batches: Iterator[pa.RecordBatch], shipped=shipped, first=block == 0, last=last) -> Iterator[pa.RecordBatch]:
             phrases = shipped.value
-            for batch in _shards(batches, p.shard_words):
-                n = len(schema.names) - len(OUT)
-                found = shard_hits(batch.column(batch.num_columns - 1).to_pylist(), phrases, p)
+            place = at if at < n or first else n + len(OUT)
+            for batch in _shards(batches, place, p.shard_words):
+                found = shard_hits(batch.column(place).cast(pa.binary()).to_pylist(), phrases, p)
                 counts = pa.array([f[0] for f in found], pa.int64())
                 spans, names = [f[1] for f in found], [f[2] for f in found]
                 if not first:
@@ -310,10 +314,11 @@ def find_contamination(docs: DataFrame, benchmark: DataFrame, text: str = "text"
                     names = [sorted({*s, *o}) for s, o in zip(names, old[1], strict=True)]
                 spans = pa.array([[{"start": a, "end": b} for a, b in s] for s in spans], pa.list_(pa.struct([("start", pa.int32()), ("end", pa.int32())])))
                 cols = [*batch.columns[:n], counts, spans, pa.array(names, pa.list_(pa.string()))]
-                tail = [] if last else [batch.column(batch.num_columns - 1)]
-                yield pa.RecordBatch.from_arrays([*cols, *tail], names=[*schema.names, *(["__jd_bytes"] if tail else [])])
+                tail = [] if last or at < n else [batch.column(place)]
+                whole = pa.RecordBatch.from_arrays([*cols, *tail], names=[*schema.names, *(["__jd_bytes"] if tail else [])])
+                yield from slices(whole, at) if at < n else [whole]  # kept texts go back to the JVM in small batches
 
-        target = schema if last else T.StructType([*schema.fields, T.StructField("__jd_bytes", T.BinaryType())])
+        target = schema if last or at < n else T.StructType([*schema.fields, T.StructField("__jd_bytes", T.BinaryType())])
         out = out.mapInArrow(lean(run), target)
     return out
 

@@ -37,7 +37,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from joindash.llm.common import lean, struct_with, table, without, written
+from joindash.llm.common import lean, slices, struct_with, table, without, written
 
 
 @dataclass(frozen=True)
@@ -200,17 +200,6 @@ PIECE = [
 ]
 
 
-def _slices(batch: pa.RecordBatch, most: int) -> Iterator[pa.RecordBatch]:
-    """``batch`` in slices of about ``most`` bytes of text; a longer text is a slice of its own."""
-    done = np.cumsum(pc.binary_length(batch.column(batch.num_columns - 1)).fill_null(0).to_numpy())
-    first = 0
-    while first < batch.num_rows:
-        before = done[first - 1] if first else 0
-        last = max(first + 1, int(np.searchsorted(done, before + most, side="right")))
-        yield batch.slice(first, last - first)
-        first = last
-
-
 def token_pieces(docs: DataFrame, p: PackParams, text: str = "text", keep_ids: bool = False) -> DataFrame:
     """One row per piece: ``docs`` without its text, with the piece's place, length, checksum and ids."""
     rest = without(docs, [n for n, _ in PIECE] + ["ids", text])
@@ -221,7 +210,7 @@ def token_pieces(docs: DataFrame, p: PackParams, text: str = "text", keep_ids: b
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         own_coder = coder(p)
         for batch in batches:
-            for part in _slices(batch, p.text_bytes):
+            for part in slices(batch, batch.num_columns - 1, p.text_bytes):
                 row, cols = [], [[], [], [], [], []]
                 for i, ids in enumerate(own_coder.texts(part.column(part.num_columns - 1))):
                     ids += end

@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import types as T
 
-from joindash.llm.common import bytes_of, lean, set_aside, struct_with, table, without
+from joindash.llm.common import lean, set_aside, slices, struct_with, table, with_bytes, without
 
 WHITE = b" \t\n\r\x0b\x0c"
 SYMBOLS = b"#*$%&|<>"
@@ -167,17 +167,19 @@ def quality_rules(docs: DataFrame, text: str = "text", bands: CompressionBands |
     docs = without(docs, [n for n, _ in OUT])
     schema = struct_with(docs, OUT)
     arrow = [pa.int64()] * 5 + [pa.bool_()] + [pa.float64()] * 4 + [pa.bool_()]
+    own, (docs, at) = len(docs.columns), with_bytes(docs, text)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         import zstandard
 
         compressor = zstandard.ZstdCompressor(level=bands.level)
         for batch in batches:
-            rows = [measure(x.as_py(), bands, compressor) for x in batch.column(batch.num_columns - 1)]
-            cols = [pa.array(c, t) for c, t in zip(zip(*rows) if rows else [[]] * len(OUT), arrow, strict=True)]
-            yield pa.RecordBatch.from_arrays([*batch.columns[:-1], *cols], names=schema.names)
+            for part in slices(batch, at):  # what goes back to the JVM at once is small, however large its batches are
+                rows = [measure(x.as_py(), bands, compressor) for x in part.column(at).cast(pa.binary())]
+                cols = [pa.array(c, t) for c, t in zip(zip(*rows), arrow, strict=True)]
+                yield pa.RecordBatch.from_arrays([*part.columns[:own], *cols], names=schema.names)
 
-    return docs.withColumn("__jd_bytes", bytes_of(text)).mapInArrow(lean(run), schema)
+    return docs.mapInArrow(lean(run), schema)
 
 
 def passing(docs: DataFrame, text: str = "text", bands: CompressionBands | None = None) -> DataFrame:

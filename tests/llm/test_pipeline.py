@@ -150,3 +150,24 @@ def test_run_and_guard(spark, sf):
     import corpus_pipeline as cp
 
     assert cp.run(spark, sf).count() > 0
+
+
+def test_texts_cross_to_python_once(spark):
+    """Both stages that keep texts beside Python's columns send them once, and take any place of a text."""
+    from joindash.llm.common import slices
+    from joindash.llm.decontaminate import DecontamParams, find_contamination
+    from joindash.llm.quality_rules import quality_rules
+
+    texts = [SAID, None, "", "é ü " * 300, f"{SAID} {SAID}", "x " * 5000]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").coalesce(1)
+    inside = df.selectExpr("doc_id", "named_struct('text', text) AS s")
+    bench = spark.createDataFrame([(1, "every word of this sentence"), (2, "x x")], "item_id long, text string")
+    found = lambda d, **k: find_contamination(d, bench, p=DecontamParams(block_bytes=20), **k)
+    for run in (quality_rules, found):
+        assert "__jd_bytes" not in run(df)._jdf.queryExecution().toString()
+        cols = [c for c in run(df).columns if c not in ("doc_id", "text")]
+        one, two = (sorted(map(str, d.select("doc_id", *cols).collect())) for d in (run(df), run(inside, text="s.text")))
+        assert one == two and [r.text for r in run(df).orderBy("doc_id").collect()] == texts
+    batch = df.toArrow().combine_chunks().to_batches()[0]
+    parts = list(slices(batch, 1, 500))
+    assert [x for p in parts for x in p.column(1).to_pylist()] == texts and [p.num_rows for p in parts] == [3, 1, 1, 1]

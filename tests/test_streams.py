@@ -27,3 +27,14 @@ def test_drained_rows_stay_off_the_driver(spark, tmp_path, mode):
     (tmp_path / "none").mkdir()
     empty = spark.readStream.schema("id long").parquet(str(tmp_path / "none"))
     assert streams.drained(empty, f"drained_none_{mode}", "append").collect() == []
+
+
+def test_deduplicated_events_are_counted_from_files(spark, sf, monkeypatch):
+    from joindash.streaming import streams
+    from joindash.workloads import support
+
+    seen, drained = [], streams.drained
+    monkeypatch.setattr(streams, "drained", lambda *a: seen.append(drained(*a)) or seen[-1])
+    n = spark.read.parquet(f"{sf}/events.parquet").count()
+    assert [tuple(r) for r in support.QUERIES["st_dedupe"](spark, sf).collect()] == [(n, n)]
+    assert seen[0].inputFiles()

@@ -11,8 +11,10 @@ their digest.  Every other pair is found in one of three rounds, and decided on
    the head of its fullest bucket.
 3. What still shares a bucket with another component is joined by rare shingles: in any order of all
    shingles, two sets that are similar enough share one among the first few of each.  With the rarest
-   first, shared passages and the common body of unlike copies make no pairs, so a large group whose
-   members lie just below the threshold costs little, and no pair of these rows is left out.
+   first, shared passages and the common body of unlike copies make no pairs.  Copies with few edits do
+   share their body there, so each row is first compared with the head of its shingles, the copy with the
+   fewest shingles of its own; this links most of a group in as many comparisons as it has rows.  Then all
+   pairs of unlike components that still share such a shingle are compared, and none is left out.
 
 Defined results: null, empty and blank texts are alike; a text with fewer words than a shingle is one
 shingle; ids may be null or repeat, because rows carry a number of their own; the row kept is the one
@@ -44,6 +46,8 @@ class ResemblanceParams:
     budget: int = 3
     bands: int = 24
     rows: int = 4
+    #: most rounds of comparisons with the heads of rare shingles; the exact join takes whatever they leave
+    head_rounds: int = 3
     seed: int = 42
 
     def simhash(self) -> SimHashParams:
@@ -139,23 +143,47 @@ def bucket_pairs(open_: DataFrame, p: ResemblanceParams) -> DataFrame:
     return pairs.filter(den * F.least("n_a", "n_b") >= num * F.greatest("n_a", "n_b")).select(*ordered("uid_a", "uid_b")).distinct()
 
 
-def rare_pairs(sets: DataFrame, p: ResemblanceParams) -> DataFrame:
-    """Pairs of ``sets`` (uid, root, digests) of unlike roots that can be similar enough, by shared rare shingles.
+def rare_rows(sets: DataFrame, p: ResemblanceParams) -> DataFrame:
+    """(uid, n, alone, place, digest): the shingles of ``sets`` (uid, digests) by which a pair can be found.
 
     With the shingles of every set in one order, the rarest first, and ``need`` the least number of shingles
     that similar sets of these sizes share, a similar pair shares one within the first size - need + 1 of both.
+    ``alone`` counts the set's shingles that no other set holds.
     """
     num, den = p.least
-    each = written(sets.select("uid", "root", F.size("digests").alias("n"), F.explode("digests").alias("digest")))
-    shared = each.groupBy("digest").agg(F.count(F.lit(1)).alias("df"), F.min("root").alias("lo"), F.max("root").alias("hi")).filter("df > 1")
+    each = written(sets.select("uid", F.size("digests").alias("n"), F.explode("digests").alias("digest")))
+    shared = each.groupBy("digest").agg(F.count(F.lit(1)).alias("df")).filter("df > 1")
     # a shingle of one set alone comes first and makes no pair; the others follow by how many sets hold them
-    held = each.join(shared, "digest").groupBy("uid", "root", "n").agg(F.array_sort(F.collect_list(F.struct("df", "digest", (F.col("lo") != F.col("hi")).alias("mixed")))).alias("rest"))
+    held = each.join(shared, "digest").groupBy("uid", "n").agg(F.array_sort(F.collect_list(F.struct("df", "digest"))).alias("rest"))
     alone = F.col("n") - F.size("rest")
     # the longest prefix that any partner asks for: the one of the least size that is similar enough
     longest = F.col("n") - F.ceil(F.col("n") * num / den) + 1
     first = F.slice("rest", 1, F.greatest(longest - alone, F.lit(0)).cast("int"))
-    rows = held.select("uid", "root", "n", alone.alias("alone"), F.posexplode(first).alias("i", "t")).filter("t.mixed")
-    rows = written(rows.select("uid", "root", "n", (F.col("alone") + F.col("i")).alias("place"), "t.digest"))
+    rows = held.select("uid", "n", alone.alias("alone"), F.posexplode(first).alias("i", "t"))
+    rows = written(rows.select("uid", "n", "alone", (F.col("alone") + F.col("i")).alias("place"), "t.digest"))
+    drop_written(each)
+    return rows
+
+
+def mixed(rows: DataFrame, key: str) -> DataFrame:
+    """The ``rows`` (root and others) whose ``key`` is held by rows of several roots."""
+    several = rows.groupBy(key).agg(F.min("root").alias("lo"), F.max("root").alias("hi")).filter("lo != hi").select(key)
+    return rows.join(several, key, "left_semi")
+
+
+def head_pairs(rows: DataFrame, p: ResemblanceParams) -> DataFrame:
+    """Each of the ``rows`` (uid, root, n, alone, digest) with the head of its shingle: the row with the fewest
+    shingles of its own, which stands closest to what the others have in common."""
+    num, den = p.least
+    side = lambda s: F.struct(*[F.col(c).alias(f"{c}_{s}") for c in ("uid", "n", "root")])
+    heads = rows.groupBy("digest").agg(F.min_by(side("a"), F.struct("alone", F.xxhash64("uid"))).alias("a"))
+    pairs = rows.select("digest", side("b").alias("b")).join(heads, "digest").select("a.*", "b.*").filter("root_a != root_b")
+    return pairs.filter(den * F.least("n_a", "n_b") >= num * F.greatest("n_a", "n_b")).select(*ordered("uid_a", "uid_b")).distinct()
+
+
+def met_pairs(rows: DataFrame, p: ResemblanceParams) -> DataFrame:
+    """All pairs of ``rows`` (uid, root, n, place, digest) of unlike roots that can be similar enough."""
+    num, den = p.least
     x, y = (rows.select("digest", *[F.col(c).alias(f"{c}_{s}") for c in ("uid", "root", "n", "place")]) for s in "xy")
     # the shorter set's prefix is the shorter one: its partner has as many shingles at least
     short = x.filter(F.col("place_x") <= F.col("n_x") - F.ceil(F.col("n_x") * 2 * num / (num + den)))
@@ -166,6 +194,11 @@ def rare_pairs(sets: DataFrame, p: ResemblanceParams) -> DataFrame:
     return met.select(*ordered("uid_x", "uid_y")).distinct()
 
 
+def rare_pairs(sets: DataFrame, p: ResemblanceParams) -> DataFrame:
+    """Pairs of ``sets`` (uid, root, digests) of unlike roots that can be similar enough, by shared rare shingles."""
+    return met_pairs(mixed(rare_rows(sets, p).join(sets.select("uid", "root"), "uid"), "digest"), p)
+
+
 def resemblance_links(rows: DataFrame, texts: DataFrame, p: ResemblanceParams) -> DataFrame | None:
     """(node, root) of every row that is linked to another; ``rows``: (uid, n, fp, keys) of distinct sets,
     ``texts``: (uid, text) of all rows."""
@@ -182,14 +215,20 @@ def resemblance_links(rows: DataFrame, texts: DataFrame, p: ResemblanceParams) -
         return df.join(label, df["uid"] == label["node"], "left").select(*df.columns, F.coalesce("root", "uid").alias("root"))
 
     def still_open() -> DataFrame:
-        now = written(rooted(members))
-        several = now.groupBy("key").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).filter("lo != hi").select("key")
-        return now.join(several, "key", "left_semi")
+        return mixed(written(rooted(members)), "key")
 
     links = links.unionByName(written(verified(bucket_pairs(still_open(), p), sets, p)))
     label = components(links)
     unsure = written(still_open().select("uid").distinct())
-    pairs = written(rare_pairs(rooted(sets.join(few(unsure), "uid", "left_semi")), p))
+    meeting = written(mixed(written(rooted(rare_rows(sets.join(few(unsure), "uid", "left_semi"), p))), "digest"))
+    for _ in range(p.head_rounds):
+        found = written(verified(head_pairs(meeting, p), sets, p))
+        if found.isEmpty():
+            break
+        links = links.unionByName(found)
+        label = components(links)
+        meeting = written(mixed(written(rooted(meeting.drop("root"))), "digest"))
+    pairs = written(met_pairs(meeting, p))
     label = components(links.unionByName(written(verified(pairs, sets, p))))
     for t in (members, alike, wanted):
         drop_written(t)

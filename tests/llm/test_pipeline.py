@@ -146,6 +146,28 @@ def test_rare_shingles_make_no_pairs_of_unlike_copies(spark):
     assert similar and similar <= {(r.src, r.dst) for r in got} and len(got) < 100
 
 
+def test_copies_of_one_text_are_compared_with_few_others(spark, sf, monkeypatch):
+    """A text and copies of it with a few edits each are linked by comparisons that grow with their rows, not their pairs."""
+    import corpus_pipeline as cp
+    from joindash.llm import resemblance
+
+    rng = np.random.default_rng(10)
+    word = lambda: "".join(rng.choice(list("abcdefghij"), 7))
+    base = [word() for _ in range(150)]
+    texts = [" ".join(base)]
+    for _ in range(240):
+        copy = list(base)
+        for at in rng.choice(150, rng.integers(1, 5), replace=False):
+            copy[at] = word()
+        texts.append(" ".join(copy))
+    tested, verified = [], resemblance.verified
+    monkeypatch.setattr(resemblance, "verified", lambda pairs, *a: tested.append(pairs.count()) or verified(pairs, *a))
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    got = [r.doc_id for r in cp.drop_near_duplicates(spark, df, sf).collect()]
+    assert len(got) == len(set(got)) and set(got) == brute_similar_heads(dict(enumerate(texts)))
+    assert sum(tested) < 6 * len(texts)
+
+
 def test_run_and_guard(spark, sf):
     import corpus_pipeline as cp
 

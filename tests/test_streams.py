@@ -38,3 +38,20 @@ def test_deduplicated_events_are_counted_from_files(spark, sf, monkeypatch):
     n = spark.read.parquet(f"{sf}/events.parquet").count()
     assert [tuple(r) for r in support.QUERIES["st_dedupe"](spark, sf).collect()] == [(n, n)]
     assert seen[0].inputFiles()
+
+
+def test_deduplicated_state_lies_on_disk(spark, sf, monkeypatch):
+    from pathlib import Path
+    from urllib.parse import urlparse
+
+    from joindash.streaming import streams
+    from joindash.workloads import support
+
+    provider = "spark.sql.streaming.stateStore.providerClass"
+    seen, drained, before = [], streams.drained, spark.conf.get(provider, None)
+    monkeypatch.setattr(streams, "drained", lambda *a: seen.append(drained(*a)) or seen[-1])
+    support.QUERIES["st_dedupe"](spark, sf)
+    folder = urlparse(seen[0].inputFiles()[0]).path.partition("/rows/")[0]
+    kinds = {f.suffix for f in Path(folder, "checkpoint", "state").rglob("*") if not f.name.startswith(".")}
+    assert ".zip" in kinds and ".delta" not in kinds
+    assert spark.conf.get(provider, None) == before

@@ -37,7 +37,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from joindash.llm.common import lean, slices, struct_with, table, without, written
+from joindash.llm.common import held, lean, local_rows, slices, struct_with, table, without, written
 
 
 @dataclass(frozen=True)
@@ -46,10 +46,10 @@ class PackParams:
     capacity: int = 4096
     end_id: int = 1
     #: words and bytes of words whose ids a worker remembers; beyond them it keeps the more frequent ones
-    memory: int = 400_000
-    memory_bytes: int = 16 << 20
+    memory: int = 200_000
+    memory_bytes: int = 8 << 20
     #: bytes of text that are split at a time
-    text_bytes: int = 2 << 20
+    text_bytes: int = 1 << 20
     #: a round takes pieces longer than the longest one left divided by this
     spread: int = 4
     #: pieces and gaps of a round that one task sweeps; more are dealt over range partitions
@@ -182,14 +182,9 @@ class TextCoder:
         return [data[a:b] for a, b in zip(bounds, bounds[1:], strict=False)]
 
 
-_coders: dict[PackParams, TextCoder] = {}
-
-
 def coder(p: PackParams) -> TextCoder:
-    """This worker's coder; what it remembers lasts over the tasks that the worker runs."""
-    if p not in _coders:
-        _coders[p] = TextCoder(p)
-    return _coders[p]
+    """This worker's coder; what it remembers lasts over the tasks that the worker runs in a row."""
+    return held(p, lambda: TextCoder(p))
 
 
 PIECE = [
@@ -223,7 +218,7 @@ def token_pieces(docs: DataFrame, p: PackParams, text: str = "text", keep_ids: b
                 taken = [c.take(pa.array(row, pa.int64())) for c in part.columns[:-1]]
                 yield pa.RecordBatch.from_arrays([*taken, *made], names=schema.names)
 
-    return docs.select(*[F.col(f"`{c}`") for c in rest.columns], F.col(text).alias("__jd_text")).mapInArrow(lean(run), schema)
+    return docs.select(*[F.col(f"`{c}`") for c in rest.columns], F.col(text).alias("__jd_text")).mapInArrow(lean(run, holds=True), schema)
 
 
 # ---- the rounds -----------------------------------------------------------------------------
@@ -353,7 +348,7 @@ def best_fit_rounds(pieces: DataFrame, capacity: int, spread: int = 4, one_task:
     spark = pieces.sparkSession
     many = {r[0]: r[1] for r in pieces.groupBy("size").count().collect()}
     opened, low, top, left, done = 0, capacity + 1, capacity, None, []
-    gaps, tables = spark.createDataFrame([], "seq long, size long"), 0
+    gaps, tables = local_rows(spark, [], "seq long, size long"), 0
     while True:
         n, volume = 0, 0
         if left is not None:
@@ -383,7 +378,7 @@ def best_fit_rounds(pieces: DataFrame, capacity: int, spread: int = 4, one_task:
         left = rows.filter(F.col("kind") == PIECE_LEFT).select("part", "rank", "id", "size")
         fresh = rows.filter(F.col("kind").isin(GAP_LEFT, GAP_BELOW)).select("seq", "size")
         if plan:
-            steps = F.broadcast(spark.createDataFrame(plan, "to_part int, a long, b long, from_part int, first long, each long"))  # two rows per partition
+            steps = F.broadcast(local_rows(spark, plan, "to_part int, a long, b long, from_part int, first long, each long"))  # two rows per partition
             met = written(_matched(rows, steps, capacity))
             done.append(met.filter("id is not null").select("id", "seq", "offset"))
             fresh = met.filter("head").select("seq", F.col("rest").alias("size")).unionByName(rows.filter(F.col("kind") == GAP_BELOW).select("seq", "size"))
@@ -395,7 +390,7 @@ def best_fit_rounds(pieces: DataFrame, capacity: int, spread: int = 4, one_task:
         gaps, tables = gaps.filter(F.col("size") < low).unionByName(fresh.filter("size > 0")), tables + 1
         if tables == most_tables:  # plans stay short, however many rounds there are
             gaps, tables = written(gaps), 0
-    out = spark.createDataFrame([], "id long, seq long, offset long")
+    out = local_rows(spark, [], "id long, seq long, offset long")
     for d in done:
         out = out.unionByName(d)
     return out

@@ -193,3 +193,44 @@ def test_texts_cross_to_python_once(spark):
     batch = df.toArrow().combine_chunks().to_batches()[0]
     parts = list(slices(batch, 1, 500))
     assert [x for p in parts for x in p.column(1).to_pylist()] == texts and [p.num_rows for p in parts] == [3, 1, 1, 1]
+
+
+def test_few_rows_need_no_python_workers(spark):
+    from joindash.llm import packing
+    from joindash.llm.common import BATCH_ROWS, local_rows
+
+    schema, rows, before = "a int, b long, c long", [(1, 2, None), (1, 2, 3)], spark.conf.get(BATCH_ROWS)
+    try:
+        for most in ("10000", "1", "0", "-1"):
+            spark.conf.set(BATCH_ROWS, most)
+            made, none = local_rows(spark, rows, schema), local_rows(spark, [], schema)
+            assert [tuple(r) for r in made.collect()] == rows and none.collect() == []
+            for df in (made, none):
+                assert df.schema.simpleString() == "struct<a:int,b:bigint,c:bigint>"
+                assert "LocalTableScan" in df._jdf.queryExecution().executedPlan().toString()
+    finally:
+        spark.conf.set(BATCH_ROWS, before)
+    pieces = spark.range(300).selectExpr("id", "1 + id % 40 size")
+    out = packing.best_fit_rounds(pieces, 64, one_task=50)
+    assert out.count() == 300
+    assert "ExistingRDD" not in out._jdf.queryExecution().executedPlan().toString()
+
+
+def test_a_worker_drops_what_another_step_kept():
+    import pyarrow as pa
+
+    from joindash.llm import common, packing
+
+    p = packing.PackParams(packing.default_tokenizer())
+    seen = []
+
+    def packs(batches):
+        for b in batches:
+            seen.append(packing.coder(p))
+            yield b
+
+    batch = pa.RecordBatch.from_arrays([pa.array([1])], names=["a"])
+    packing_step = common.lean(packs, holds=True)
+    assert len([*packing_step(iter([batch, batch]))]) == 2 and len([*packing_step(iter([batch]))]) == 1
+    assert seen[0] is seen[1] is seen[2] and [*common._held] == [p]
+    assert [*common.lean(lambda batches: batches)(iter([batch]))] == [batch] and not common._held
